@@ -3,14 +3,32 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import exact_dedup, mixing, secrets
+from . import decontaminate, exact_dedup, language, mixing, quality, secrets, toxicity
+from .rows import fold_of
 
 
 def _read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def _held_out(scored: DataFrame, *cols: str) -> DataFrame:
+    return scored.select("doc_id", (fold_of(F.col("doc_id")) == 0).alias("held_out"), *cols)
+
+
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _read(spark, sf_dir, "documents")
+    model = toxicity.fit(docs, toxicity.train_labels(_read(spark, sf_dir, "labels")))
+    return _held_out(toxicity.score(docs, model, keep=["doc_id"]), "score", "predicted")
+
+
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _read(spark, sf_dir, "documents")
+    model = quality.fit(docs, toxicity.train_labels(_read(spark, sf_dir, "labels"), "quality"))
+    return _held_out(quality.score(docs, model, keep=["doc_id"]), "score", "predicted")
+
+
 def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_read(spark, sf_dir, "documents"))
 
@@ -19,12 +37,23 @@ def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan(_read(spark, sf_dir, "documents"))
 
 
+def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = decontaminate.contamination(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark"))
+    return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), decontaminate.item_digest(F.col("items")).alias("items_sha256"), "contaminated")
+
+
+def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _read(spark, sf_dir, "documents")
+    model = language.fit(docs, docs.where(fold_of(F.col("doc_id")) != 0))
+    return _held_out(language.score(docs, model, keep=["doc_id"]), "lang_pred", "score")
+
+
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(_read(spark, sf_dir, "documents"))
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op3_mix_sources, op4_secret_scan, op9_exact_dedup)}
+    return {f.__name__: f for f in (op1_toxicity, op2_quality, op3_mix_sources, op4_secret_scan, op5_decontaminate, op6_language, op9_exact_dedup)}
 
 
 _OP3 = r"""
@@ -84,6 +113,21 @@ SELECT doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_acc
 FROM documents LEFT JOIN a USING (doc_id)
 """
 
+_OP5 = r"""
+WITH dw AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+iw AS (SELECT item_id::VARCHAR AS item, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
+il AS (SELECT item, w, least(13, len(w)) AS k FROM iw WHERE len(w) > 0),
+win AS (SELECT DISTINCT item, k, array_to_string(w[s:s + k - 1], ' ') AS t FROM (SELECT item, w, k, unnest(range(1, len(w) - k + 2)) AS s FROM il)),
+ks AS (SELECT DISTINCT k FROM win),
+pos AS (SELECT doc_id, k, s, array_to_string(w[s:s + k - 1], ' ') AS t FROM (SELECT doc_id, w, k, unnest(range(1, len(w) - k + 2)) AS s FROM dw, ks WHERE len(w) >= k)),
+hit AS (SELECT doc_id, item, pos.k, s FROM pos JOIN win ON pos.k = win.k AND pos.t = win.t),
+cov AS (SELECT doc_id, count(DISTINCT p) AS n_hit FROM (SELECT doc_id, unnest(range(s, s + k)) AS p FROM hit) GROUP BY doc_id),
+its AS (SELECT doc_id, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items FROM (SELECT DISTINCT doc_id, item FROM hit) GROUP BY doc_id)
+SELECT dw.doc_id, len(dw.w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items, sha256(coalesce(items, '')) AS items_sha256,
+       coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(dw.w) AS contaminated
+FROM dw LEFT JOIN cov USING (doc_id) LEFT JOIN its USING (doc_id)
+"""
+
 _OP9 = """
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
 g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM d GROUP BY t)
@@ -92,4 +136,4 @@ SELECT d.doc_id, g.keep_id, g.group_size, d.doc_id = g.keep_id AS kept, sha256(d
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_mix_sources": _OP3, "op4_secret_scan": _OP4, "op9_exact_dedup": _OP9}
+    return {"op3_mix_sources": _OP3, "op4_secret_scan": _OP4, "op5_decontaminate": _OP5, "op9_exact_dedup": _OP9}
