@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, exact_dedup, language, mixing, quality, secrets, toxicity
+from ..plans.scratch import materialise
+from . import decontaminate, exact_dedup, language, licenses, mixing, quality, secrets, toxicity, warc
 from .rows import fold_of
 
 
@@ -48,12 +49,25 @@ def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _held_out(language.score(docs, model, keep=["doc_id"]), "lang_pred", "score")
 
 
+def op8_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents as a file tree: every 500th id is its source's licence file, every 100th that of a folder of 1,000 ids."""
+    i, top = F.col("doc_id"), F.concat(F.lit("/"), F.coalesce("source", F.lit("none")))
+    folder = F.concat_ws("/", top, F.floor(i / 1000).cast("string"))
+    path = F.when(i % 500 == 0, F.concat(top, F.lit("/LICENSE."), i.cast("string"))).when(i % 100 == 0, F.concat(folder, F.lit("/LICENSE."), i.cast("string"))).otherwise(F.concat(folder, F.lit("/"), i.cast("string"), F.lit(".txt")))
+    files = licenses.detect(_read(spark, sf_dir, "documents").withColumn("path", path), keep=["doc_id", "path"])
+    return licenses.inherit(materialise(files, "license-files")).select("doc_id", "path", "own_license", "own_score", "license", "inherited_from")
+
+
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(_read(spark, sf_dir, "documents"))
 
 
+def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(_read(spark, sf_dir, "pages"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_toxicity, op2_quality, op3_mix_sources, op4_secret_scan, op5_decontaminate, op6_language, op9_exact_dedup)}
+    return {f.__name__: f for f in (op1_toxicity, op2_quality, op3_mix_sources, op4_secret_scan, op5_decontaminate, op6_language, op8_licenses, op9_exact_dedup, op10_warc)}
 
 
 _OP3 = r"""
@@ -134,6 +148,14 @@ g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM d GROUP BY t
 SELECT d.doc_id, g.keep_id, g.group_size, d.doc_id = g.keep_id AS kept, sha256(d.t) AS text_sha256 FROM d JOIN g USING (t)
 """
 
+_OP10 = """
+WITH p AS (SELECT page_id, octet_length(encode(coalesce(html, '')))::BIGINT AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages),
+g AS (SELECT payload_digest, min(page_id) AS first_id FROM p WHERE payload_bytes >= 100 GROUP BY 1)
+SELECT page_id, payload_bytes, payload_digest, CASE WHEN first_id <> page_id THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN first_id <> page_id THEN first_id END AS refers_to
+FROM p LEFT JOIN g USING (payload_digest)
+"""
+
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_mix_sources": _OP3, "op4_secret_scan": _OP4, "op5_decontaminate": _OP5, "op9_exact_dedup": _OP9}
+    return {"op3_mix_sources": _OP3, "op4_secret_scan": _OP4, "op5_decontaminate": _OP5, "op9_exact_dedup": _OP9, "op10_warc": _OP10}
