@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.scratch import materialise
-from . import decontaminate, exact_dedup, language, licenses, mixing, quality, secrets, toxicity, warc
+from . import decontaminate, exact_dedup, jaccard, language, licenses, mixing, quality, secrets, toxicity, warc
 from .rows import fold_of
 
 
@@ -49,6 +49,10 @@ def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _held_out(language.score(docs, model, keep=["doc_id"]), "lang_pred", "score")
 
 
+def op7_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.similarity_classes(_read(spark, sf_dir, "documents"))
+
+
 def op8_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents as a file tree: every 500th id is its source's licence file, every 100th that of a folder of 1,000 ids."""
     i, top = F.col("doc_id"), F.concat(F.lit("/"), F.coalesce("source", F.lit("none")))
@@ -67,7 +71,7 @@ def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_toxicity, op2_quality, op3_mix_sources, op4_secret_scan, op5_decontaminate, op6_language, op8_licenses, op9_exact_dedup, op10_warc)}
+    return {f.__name__: f for f in (op1_toxicity, op2_quality, op3_mix_sources, op4_secret_scan, op5_decontaminate, op6_language, op7_ngram_jaccard, op8_licenses, op9_exact_dedup, op10_warc)}
 
 
 _OP3 = r"""
@@ -142,6 +146,18 @@ SELECT dw.doc_id, len(dw.w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_
 FROM dw LEFT JOIN cov USING (doc_id) LEFT JOIN its USING (doc_id)
 """
 
+_OP7 = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+g AS (SELECT DISTINCT doc_id, array_to_string(w[s:s + 3], ' ') AS t FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 3, least(len(w), 1)) + 1)) AS s FROM w)),
+n AS (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS i FROM g a JOIN g b ON a.t = b.t AND a.doc_id < b.doc_id GROUP BY 1, 2),
+l AS (SELECT a, b FROM p JOIN n x ON a = x.doc_id JOIN n y ON b = y.doc_id WHERE 100 * i >= 85 * (x.n + y.n - i)),
+e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+r AS (SELECT doc_id AS x, doc_id AS y FROM documents UNION SELECT r.x, e.b FROM r JOIN e ON r.y = e.a)
+SELECT c.x AS doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, c.component_id
+FROM (SELECT x, min(y) AS component_id FROM r GROUP BY x) c LEFT JOIN n ON n.doc_id = c.x
+"""
+
 _OP9 = """
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
 g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM d GROUP BY t)
@@ -158,4 +174,4 @@ FROM p LEFT JOIN g USING (payload_digest)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_mix_sources": _OP3, "op4_secret_scan": _OP4, "op5_decontaminate": _OP5, "op9_exact_dedup": _OP9, "op10_warc": _OP10}
+    return {"op3_mix_sources": _OP3, "op4_secret_scan": _OP4, "op5_decontaminate": _OP5, "op7_ngram_jaccard": _OP7, "op9_exact_dedup": _OP9, "op10_warc": _OP10}
