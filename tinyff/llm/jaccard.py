@@ -7,7 +7,7 @@ can matter are formed:
 * columns are put in one global order, frequent ones last (a task's frequent
   columns are summed over tasks; any consistent order is right, a good one is fast);
 * two documents that reach the similarity share a column among their first
-  n - ceil(t n) + 1, and the sizes and the positions of the first shared column
+  n - ceil(t n) + 1, and sizes, positions of the first shared column and parity bits
   bound the overlap, so pairs below these size-derived bounds are never formed;
 * for the pairs left, overlaps are accumulated over all columns in Arrow blocks.
 
@@ -28,7 +28,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -37,13 +37,15 @@ from .components import components
 from .kernel import BLANK_SPLIT, Lookup, Words, blocks, mix, sequence_hash, shingles
 
 #: Columns found this often inside one task's rows take part in the frequency order.
-LOCAL_LEAST = 3
+LOCAL_LEAST = 2
 #: At most so many frequent columns are ordered by frequency (and broadcast).
 MOST_FREQUENT = 1 << 20
 #: Rows of a column of at least this frequency are salted over tasks.
 HOT, SALTS = 1000, 64
+#: 64-bit words of parity bits: a bit is set if an odd number of a set's shingles fall on it.
+PARITY = 4
 #: Shingles that a task holds while it counts.
-CHUNK = 4_000_000
+CHUNK = 2_000_000
 
 
 def text_sets(data: np.ndarray, offsets: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -70,12 +72,27 @@ def _signatures(tokens: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.
     return sums[0], sums[1]
 
 
+def _parity(tokens: np.ndarray, bounds: np.ndarray) -> list[np.ndarray]:
+    """Parity words of each set; two sets' words differ in at most as many bits as the sets differ in shingles."""
+    bit = np.uint64(1) << (tokens & np.uint64(63))
+    word = (tokens >> np.uint64(6)) % np.uint64(PARITY)
+    out = []
+    for k in range(PARITY):
+        run = np.append(np.uint64(0), np.bitwise_xor.accumulate(np.where(word == k, bit, np.uint64(0))))
+        out.append((run[bounds[1:]] ^ run[bounds[:-1]]).view(np.int64))
+    return out
+
+
+_BITS = [f"p{k}" for k in range(PARITY)]
+
+
 def _profile(text_col: str, id_col: str, k: int):
     """One row per document (id, size, signature) and one per locally frequent column (token, documents)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
         seen: set = set()
+        names = ["column", "id", "n", "s1", "s2", *_BITS]
 
         def frequent() -> pa.RecordBatch:
             token, n = np.unique(np.concatenate(held) if held else np.zeros(0, np.uint64), return_counts=True)
@@ -83,7 +100,7 @@ def _profile(text_col: str, id_col: str, k: int):
             held.clear()
             seen.clear()
             none = pa.nulls(len(token), pa.int64())
-            return pa.RecordBatch.from_arrays([pa.array(np.ones(len(token), bool)), none, pa.array(n.astype(np.int64)), pa.array(token.view(np.int64)), none], names=["column", "id", "n", "s1", "s2"])
+            return pa.RecordBatch.from_arrays([pa.array(np.ones(len(token), bool)), none, pa.array(n.astype(np.int64)), pa.array(token.view(np.int64)), none, *[none] * PARITY], names=names)
 
         size = 0
         for rows, data, offsets in blocks(batches, text_col):
@@ -95,7 +112,7 @@ def _profile(text_col: str, id_col: str, k: int):
                     seen.add(key)
                     held.append(tokens[bounds[i] : bounds[i + 1]])
                     size += int(n[i])
-            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(n), bool)), rows.column(rows.schema.get_field_index(id_col)), pa.array(n), pa.array(s1.view(np.int64)), pa.array(s2.view(np.int64))], names=["column", "id", "n", "s1", "s2"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(n), bool)), rows.column(rows.schema.get_field_index(id_col)), pa.array(n), pa.array(s1.view(np.int64)), pa.array(s2.view(np.int64)), *map(pa.array, _parity(tokens, bounds))], names=names)
             if size >= CHUNK:
                 yield frequent()
                 size = 0
@@ -105,7 +122,10 @@ def _profile(text_col: str, id_col: str, k: int):
 
 
 def _postings(text_col: str, id_col: str, k: int, percent: int, order_of):
-    """(token, salt, id, n, pos) for the columns among which two similar documents must share one; equal sets of a task once."""
+    """(key, id, packed) for the columns among which two similar documents must share one; equal sets of a task once.
+
+    The key is the token, salted for hot columns; salt, size and position are packed into one number.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokens_of, counts = order_of()
@@ -131,13 +151,13 @@ def _postings(text_col: str, id_col: str, k: int, percent: int, order_of):
                 if len(first) < p:
                     rest = np.flatnonzero(r)
                     first = np.concatenate([first, rest[np.lexsort((tokens[a:b][rest], r[rest]))][: p - len(first)]])
-                out.append((tokens[a:b][first], np.full(p, ids[i], np.int64), np.full(p, n, np.int32), np.arange(p, dtype=np.int32), r[first] >= HOT))
+                out.append((tokens[a:b][first], np.full(p, ids[i], np.int64), np.full(p, n, np.int64), np.arange(p), r[first] >= HOT))
             if len(seen) > CHUNK:
                 seen.clear()
             if out:
                 token, who, n, pos, hot = (np.concatenate(x) for x in zip(*out, strict=True))
-                salt = np.where(hot, 1 + who % SALTS, 0).astype(np.int32)
-                yield pa.record_batch({"token": pa.array(token.view(np.int64)), "salt": pa.array(salt), "id": pa.array(who), "n": pa.array(n), "pos": pa.array(pos)})
+                salt = np.where(hot, 1 + who % SALTS, 0)
+                yield pa.record_batch({"key": pa.array(token.view(np.int64) ^ (salt << 40)), "id": pa.array(who), "packed": pa.array(salt << 56 | n << 28 | pos)})
 
     return run
 
@@ -150,6 +170,12 @@ def _possible(a: str, b: str, percent: int) -> Column:
     return sizes & (F.least(c(a, "n") - c(a, "pos"), c(b, "n") - c(b, "pos")) >= need)
 
 
+def _near(a: str, b: str, percent: int) -> Column:
+    """The parity bits that differ are no more than the shingles in which similar sets of these sizes may differ."""
+    differ = sum((F.bit_count(F.col(f"{a}.{p}").bitwiseXOR(F.col(f"{b}.{p}"))) for p in _BITS[1:]), F.bit_count(F.col(f"{a}.{_BITS[0]}").bitwiseXOR(F.col(f"{b}.{_BITS[0]}"))))
+    return differ * (100 + percent) <= (100 - percent) * (F.col(f"{a}.n") + F.col(f"{b}.n"))
+
+
 def _links(pairs: DataFrame, docs: DataFrame, id_col: str, text_col: str, k: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose overlap, accumulated over all columns, reaches the similarity."""
     involved = small_side(materialise(pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct(), "involved"))
@@ -183,9 +209,9 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     """One row per input row: id, ``n_shingles``, ``component_id`` (smallest id reachable by links of at least ``percent`` per cent)."""
     sc = docs.sparkSession.sparkContext
     base = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    schema = T.StructType([T.StructField("column", T.BooleanType()), *(T.StructField(c, T.LongType()) for c in ("id", "n", "s1", "s2"))])
+    schema = T.StructType([T.StructField("column", T.BooleanType()), *(T.StructField(c, T.LongType()) for c in ("id", "n", "s1", "s2", *_BITS))])
     rows = materialise(base.mapInArrow(_profile("text", "id", k), schema), "profile")
-    profile = rows.where("NOT column").select("id", "n", "s1", "s2")
+    profile = rows.where("NOT column").drop("column")
     frequent = rows.where("column").groupBy(F.col("s1").alias("token")).agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "token").limit(MOST_FREQUENT).toArrow()
     token, n = frequent.column("token").to_numpy().view(np.uint64), frequent.column("n").to_numpy()
     place = np.argsort(token)
@@ -194,12 +220,14 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     classes = profile.where("n > 0").groupBy("s1", "s2").agg(F.min("id").alias("rep"))
     members = materialise(profile.join(classes, ["s1", "s2"], "left").select("id", "n", F.when(F.col("n") > 0, F.col("rep")).alias("rep")), "classes")
 
-    postings = base.mapInArrow(_postings("text", "id", k, percent, lambda: order.value), "token long, salt int, id long, n int, pos int")
-    dealt = spread(postings, "token", "salt")
-    shared = dealt.groupBy("token", "salt").agg(F.count(F.lit(1)).alias("m")).where("m > 1 OR salt > 0").select("token", "salt")
-    lists = materialise(dealt.join(shared, ["token", "salt"], "left_semi").select("token", "id", "n", "pos"), "columns")
-    reps = members.where("rep IS NOT NULL").select("id", "rep").distinct()
-    lists = materialise(lists.join(reps, "id").select("token", F.col("rep").alias("id"), "n", "pos").distinct(), "class-columns")
+    # One shuffle of the necessary columns; hot ones are salted, so a key's group stays small.
+    postings = spread(base.mapInArrow(_postings("text", "id", k, percent, lambda: order.value), "key long, id long, packed long"), "key")
+    shared = postings.withColumn("m", F.count(F.lit(1)).over(Window.partitionBy("key"))).where((F.col("m") > 1) | (F.shiftright("packed", 56) > 0))
+    token = F.col("key").bitwiseXOR(F.shiftleft(F.shiftright("packed", 56), 40)).alias("token")
+    field = lambda at: F.shiftright("packed", at).bitwiseAND(F.lit((1 << 28) - 1))
+    lists = materialise(shared.select(token, "id", field(28).alias("n"), field(0).alias("pos")), "columns")
+    moved = small_side(materialise(members.where("id <> rep").select("id", "rep").distinct(), "copies"))
+    lists = lists.join(moved, "id", "left").select("token", F.coalesce("rep", "id").alias("id"), "n", "pos")
 
     me = F.struct("id", "n", "pos")
     leaders = lists.groupBy("token").agg(*[F.min_by(me, F.xxhash64("id", F.lit(seed))).alias(f"l{seed}") for seed in (1, 2)], F.count(F.lit(1)).alias("m")).where("m > 1")
@@ -212,9 +240,10 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     labelled = lists.join(small_side(found), "id", "left").select("token", "id", "n", "pos", F.coalesce("component", "id").alias("c"))
     sizes = labelled.groupBy("token", "c").agg(F.count(F.lit(1)).alias("m"))
     mixed = sizes.groupBy("token").agg(F.max_by("c", F.struct("m", "c")).alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1").select("token", "main")
-    open_lists = materialise(labelled.join(mixed, "token"), "open-columns")
+    parity = profile.select("id", *_BITS).dropDuplicates(["id"])
+    open_lists = materialise(labelled.join(mixed, "token").join(parity, "id").select("token", "id", "n", "pos", "c", "main", *_BITS), "open-columns")
     minor = open_lists.where("c <> main")
-    cross = (F.col("x.token") == F.col("y.token")) & (F.col("x.c") != F.col("y.c")) & ((F.col("y.c") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))) & _possible("x", "y", percent)
+    cross = (F.col("x.token") == F.col("y.token")) & (F.col("x.c") != F.col("y.c")) & ((F.col("y.c") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))) & _possible("x", "y", percent) & _near("x", "y", percent)
     second = _pairs(minor.alias("x").join(open_lists.alias("y"), cross)).join(first, ["a", "b"], "left_anti")
     more = _links(materialise(second, "cross-pairs"), base, "id", "text", k, percent)
     stars = found.where("id <> component").select(F.col("id").alias("a"), F.col("component").alias("b"))
