@@ -1,0 +1 @@
+"""The network, its training and compression, the four tasks, baselines, measures."""

@@ -1,0 +1 @@
+"""Tables with explicit schemas, file formats and model stores."""
