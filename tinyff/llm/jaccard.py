@@ -220,28 +220,39 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     classes = profile.where("n > 0").groupBy("s1", "s2").agg(F.min("id").alias("rep"))
     members = materialise(profile.join(classes, ["s1", "s2"], "left").select("id", "n", F.when(F.col("n") > 0, F.col("rep")).alias("rep")), "classes")
 
-    # One shuffle of the necessary columns; hot ones are salted, so a key's group stays small.
+    # One shuffle of the necessary columns; hot ones are salted, so a key's group stays small. Leaders are chosen in the same pass.
     postings = spread(base.mapInArrow(_postings("text", "id", k, percent, lambda: order.value), "key long, id long, packed long"), "key")
-    shared = postings.withColumn("m", F.count(F.lit(1)).over(Window.partitionBy("key"))).where((F.col("m") > 1) | (F.shiftright("packed", 56) > 0))
+    group = Window.partitionBy("key")
+    me = F.struct("id", "packed")
+    leader = lambda seed: F.min_by(me, F.xxhash64("id", F.lit(seed))).over(group).alias(f"l{seed}")
+    led = postings.select("key", "id", "packed", F.count(F.lit(1)).over(group).alias("m"), leader(1), leader(2)).where((F.col("m") > 1) | (F.shiftright("packed", 56) > 0))
     token = F.col("key").bitwiseXOR(F.shiftleft(F.shiftright("packed", 56), 40)).alias("token")
-    field = lambda at: F.shiftright("packed", at).bitwiseAND(F.lit((1 << 28) - 1))
-    lists = materialise(shared.select(token, "id", field(28).alias("n"), field(0).alias("pos")), "columns")
-    moved = small_side(materialise(members.where("id <> rep").select("id", "rep").distinct(), "copies"))
-    lists = lists.join(moved, "id", "left").select("token", F.coalesce("rep", "id").alias("id"), "n", "pos")
+    columns = materialise(led.select(token, "id", "packed", *[F.col(f"l{s}.{c}").alias(f"{c}{s}") for s in (1, 2) for c in ("id", "packed")]), "columns")
 
-    me = F.struct("id", "n", "pos")
-    leaders = lists.groupBy("token").agg(*[F.min_by(me, F.xxhash64("id", F.lit(seed))).alias(f"l{seed}") for seed in (1, 2)], F.count(F.lit(1)).alias("m")).where("m > 1")
-    leaders = leaders.select("token", F.explode(F.array_distinct(F.array("l1", "l2"))).alias("l")).select("token", "l.*")
-    first = _pairs(lists.alias("x").join(leaders.alias("y"), (F.col("x.token") == F.col("y.token")) & (F.col("x.id") != F.col("y.id")) & _possible("x", "y", percent)))
-    first = materialise(first, "leader-pairs")
+    moved = small_side(materialise(members.where("id <> rep").select("id", "rep").distinct(), "copies"))
+    reps = lambda df, c: df.join(moved.withColumnsRenamed({"id": c, "rep": f"{c}_rep"}), c, "left").withColumn(c, F.coalesce(f"{c}_rep", c)).drop(f"{c}_rep")
+    field = lambda c, at: F.shiftright(c, at).bitwiseAND(F.lit((1 << 28) - 1))
+    side = lambda i, p: F.struct(F.col(i).alias("id"), field(p, 28).alias("n"), field(p, 0).alias("pos"))
+    with_leaders = columns.select(side("id", "packed").alias("x"), F.explode(F.array(side("id1", "packed1"), side("id2", "packed2"))).alias("y"))
+    near = with_leaders.where((F.col("x.id") != F.col("y.id")) & _possible("x", "y", percent)).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
+    near = reps(reps(materialise(near, "near"), "a"), "b").where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    first = materialise(near, "leader-pairs")
     links = _links(first, base, "id", "text", k, percent)
-    found = materialise(components(links), "components")
-
-    labelled = lists.join(small_side(found), "id", "left").select("token", "id", "n", "pos", F.coalesce("component", "id").alias("c"))
-    sizes = labelled.groupBy("token", "c").agg(F.count(F.lit(1)).alias("m"))
-    mixed = sizes.groupBy("token").agg(F.max_by("c", F.struct("m", "c")).alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1").select("token", "main")
+    found = small_side(materialise(components(links), "components"))
+
+    # A column is open if its documents are not all in one component yet.
+    component = lambda df, c, out: df.join(found.withColumnsRenamed({"id": c, "component": out}), c, "left").withColumn(out, F.coalesce(out, c))
+    listed = reps(reps(columns.select("token", "id", "packed", "id1"), "id"), "id1")
+    labelled = component(component(listed, "id", "c"), "id1", "c1")
+    hot = F.shiftright("packed", 56) > 0
+    odd = labelled.where((F.col("c") != F.col("c1")) & ~hot).select("token").unionByName(labelled.where(hot).groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token"))
+    open_tokens = small_side(materialise(odd.distinct(), "open"))
+    open_rows = component(reps(columns.select("token", "id", "packed").join(open_tokens, "token", "left_semi"), "id"), "id", "c")
+    open_rows = materialise(open_rows.select("token", "id", field("packed", 28).alias("n"), field("packed", 0).alias("pos"), "c").distinct(), "open-rows")
+    sizes = open_rows.groupBy("token", "c").agg(F.count(F.lit(1)).alias("m"))
+    main = sizes.groupBy("token").agg(F.max_by("c", F.struct("m", "c")).alias("main"))
     parity = profile.select("id", *_BITS).dropDuplicates(["id"])
-    open_lists = materialise(labelled.join(mixed, "token").join(parity, "id").select("token", "id", "n", "pos", "c", "main", *_BITS), "open-columns")
+    open_lists = materialise(open_rows.join(main, "token").join(parity, "id").select("token", "id", "n", "pos", "c", "main", *_BITS), "open-columns")
     minor = open_lists.where("c <> main")
     cross = (F.col("x.token") == F.col("y.token")) & (F.col("x.c") != F.col("y.c")) & ((F.col("y.c") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))) & _possible("x", "y", percent) & _near("x", "y", percent)
     second = _pairs(minor.alias("x").join(open_lists.alias("y"), cross)).join(first, ["a", "b"], "left_anti")
