@@ -332,7 +332,7 @@ def cluster_signature(spark, d):
     return postag.neighbour_signature(docs(spark, d))
 
 
-@query("bloom_positions", f"WITH {SENT}, {LEX}, p AS (SELECT ('0x' || substr(md5(i::VARCHAR || ':' || cluster::VARCHAR || '|' || word), 1, 12))::BIGINT % 65536 AS at FROM lex, (SELECT unnest(range(0, 7)) AS i)) SELECT at // 64 AS segment, bit_or(1::UBIGINT << (at % 64)::UBIGINT)::VARCHAR AS word FROM p GROUP BY 1")
+@query("bloom_positions", f"WITH {SENT}, {LEX}, p AS (SELECT ('0x' || substr(md5(i::VARCHAR || ':' || cluster::VARCHAR || '|' || word), 1, 12))::BIGINT % 65536 AS at FROM lex, (SELECT unnest(range(0, 7)) AS i)) SELECT p.at // 64 AS segment, bit_or(1::UBIGINT << (p.at % 64)::UBIGINT)::VARCHAR AS word FROM p GROUP BY 1")
 def bloom_positions(spark, d):
     """The set bits of a map with seven hashes in 65,536 bits, by 64-bit segment (unsigned, as text)."""
     lex = postag.lexicon(docs(spark, d)).select(F.concat_ws("|", F.col("cluster").cast("string"), "word").alias("item"), F.explode(F.sequence(F.lit(0), F.lit(6))).alias("i"))
