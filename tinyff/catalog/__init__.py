@@ -1,4 +1,4 @@
 """The named queries. Importing this package registers them."""
 
-from . import core, tasks  # noqa: F401
+from . import core, relational, surface, tasks  # noqa: F401
 from ..registry import QUERIES, SQL  # noqa: F401

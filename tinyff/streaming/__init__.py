@@ -1,0 +1 @@
+"""Structured Streaming: event-time windows, deduplication, joins, state, scoring."""
