@@ -624,3 +624,52 @@ def pipeline_lang_seg_tag(spark, d):
     joined = words.where("part = 'test'").select("sent_id", "lang", F.array_join("words", "").alias("text"))
     got = pipelines.lang_seg_tag(joined, language, dict.fromkeys(language.classes, shared), dict.fromkeys(language.classes, tagger), ["sent_id", "lang"])
     return got.groupBy("lang").agg(F.count(F.lit(1)).alias("sentences"), F.avg((F.col("lang") == F.col("lang_pred")).cast("double")).alias("lang_right"), F.sum(F.size("words")).alias("words"), F.sum(F.size("tags")).alias("tags"))
+
+
+# --- throughput (wall clock of warm scoring passes over whole tables) ---------------
+
+
+def _timed(df: DataFrame) -> float:
+    """Seconds of the second of two full passes whose rows are dropped."""
+    import time
+
+    for _ in range(2):
+        began = time.time()
+        df.write.format("noop").mode("overwrite").save()
+    return time.time() - began
+
+
+@query("langid_throughput")
+def langid_throughput(spark, d):
+    """Documents and megabytes a second of the sixteen-dimensional model over all documents, by strategy of decoding."""
+    base = docs(spark, d)
+    parts = langid.split_docs(base)
+    net = langid.build(langid.sample(parts, "train", 40, 1), langid.sample(parts, "dev", 20, 2), 16, epochs=1)
+    dealt = base.select("doc_id", "text").repartition(int(spark.conf.get("spark.sql.shuffle.partitions")))
+    size = base.agg(F.count(F.lit(1)).alias("n"), F.sum(F.octet_length("text")).alias("b")).first()
+    rows = []
+    for name, n in (("float", net), ("8 bits", langid.quantized(net))):
+        s = _timed(langid.score(dealt, n, "text", ["doc_id"]))
+        rows.append((name, size["n"] / s, size["b"] / 1e6 / s))
+    return spark.createDataFrame(rows, "model string, docs_per_second double, mb_per_second double")
+
+
+@query("tagger_throughput")
+def tagger_throughput(spark, d):
+    """Tokens a second of the half-size tagger over all sentences."""
+    t = postag.template(8)
+    net = postag.Network.random(t, 64, list(postag.TAGS))
+    sents = materialise(postag.sentence_rows(docs(spark, d)).withColumn("clusters", F.transform("toks", lambda x: F.lit(-1).cast("long"))).repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), "sentences")
+    n = sents.agg(F.sum(F.size("toks"))).first()[0]
+    return spark.createDataFrame([(n / _timed(postag.predict(sents, net, ["sent_id"])),)], "tokens_per_second double")
+
+
+@query("segmenter_throughput")
+def segmenter_throughput(spark, d):
+    """Characters and kilobytes a second of the bigram segmenter over all sentences."""
+    words = materialise(_words(spark, d).where(F.size("words") > 0).repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), "seg-sentences")
+    some = [r["words"] for r in splits.stratified(words, "lang", "sent_id", 50).collect()]
+    net, enc = segment.build(some, some[:20], 64, bigrams=True, epochs=1)
+    n = words.agg(F.sum(F.length(F.array_join("words", ""))).alias("c"), F.sum(F.octet_length(F.array_join("words", ""))).alias("b")).first()
+    s = _timed(segment.evaluate(words, _Greedy(net, enc)))
+    return spark.createDataFrame([(n["c"] / s, n["b"] / 1000 / s)], "chars_per_second double, kb_per_second double")
