@@ -43,7 +43,7 @@ MOST_FREQUENT = 1 << 20
 #: Rows of a column of at least this frequency are salted over tasks.
 HOT, SALTS = 1000, 64
 #: 64-bit words of parity bits: a bit is set if an odd number of a set's shingles fall on it.
-PARITY = 4
+PARITY = 16
 #: Shingles that a task holds while it counts.
 CHUNK = 2_000_000
 
