@@ -186,7 +186,10 @@ def read_index(spark: SparkSession, target: str) -> DataFrame:
 
 def read_records(spark: SparkSession, target: str) -> DataFrame:
     """Every record of the normalised archives, inflated member by member and checked against the sidecar index."""
-    files = spark.read.format("binaryFile").option("pathGlobFilter", "*").load(f"{target}/kind=warc").select(F.regexp_extract("path", "archive=([^/]+)/", 1).alias("archive"), "content")
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{target}/kind=warc")
+    if not folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder):
+        return spark.createDataFrame([], _RESULT)  # no record was written
+    files = spark.read.format("binaryFile").load(f"{target}/kind=warc").select(F.regexp_extract("path", "archive=([^/]+)/", 1).alias("archive"), "content")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
