@@ -13,6 +13,8 @@ from pyspark.sql import types as T
 from ..plans.scratch import hash60
 from .kernel import blocks
 
+#: Blocks of text whose results are sent back together.
+OUT_BLOCKS = 16
 #: A function of one block: (byte buffer, offsets) -> an array per new column.
 BlockFunction = Callable[[np.ndarray, np.ndarray], dict[str, np.ndarray]]
 
@@ -27,15 +29,24 @@ def with_text_columns(df: DataFrame, text: str, make: Callable[[], BlockFunction
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         function = make()
-        for batch in batches:
-            parts = [function(data, offsets) for _, data, offsets in blocks(iter([batch]), text)]
-            if not parts:
-                continue
-            arrays = [batch.column(batch.schema.get_field_index(c)) for c in keep]
+
+        def joined(rows: pa.RecordBatch, parts: list[dict]) -> pa.RecordBatch:
+            arrays = [rows.column(rows.schema.get_field_index(c)) for c in keep]
             for n in new:
                 made = [p[n] for p in parts]
                 arrays.append(pa.concat_arrays(made) if isinstance(made[0], pa.Array) else pa.array(np.concatenate(made)))
-            yield pa.RecordBatch.from_arrays(arrays, names=[*keep, *new])
+            return pa.RecordBatch.from_arrays(arrays, names=[*keep, *new])
+
+        for batch in batches:
+            parts, start, done = [], 0, 0
+            for rows, data, offsets in blocks(iter([batch]), text):
+                parts.append(function(data, offsets))
+                done += rows.num_rows
+                if len(parts) == OUT_BLOCKS:  # bounds what waits to be sent back
+                    yield joined(batch.slice(start, done - start), parts)
+                    parts, start = [], done
+            if parts:
+                yield joined(batch.slice(start, done - start), parts)
 
     return df.select(*dict.fromkeys([*keep, text])).mapInArrow(run, schema)
 
