@@ -504,12 +504,12 @@ class _Greedy:
 @query("segmenter_trained")
 def segmenter_trained(spark, d):
     """Unigrams at 64 and 256 dims, bigrams, hashed characters, a beam, and all baselines: decisions and word scores."""
-    words, tr, dev = _seg_samples(spark, d)
+    words, tr, dev = _seg_samples(spark, d, 80)
     test = words.where("part = 'test'")
-    made = {"unigrams, 64 dims": segment.build(tr, dev, 64), "unigrams, 256 dims": segment.build(tr, dev, 256), "bigrams, 64 dims": segment.build(tr, dev, 64, bigrams=True), "hashed, 64 dims": segment.build(tr, dev, 64, hashed=True)}
+    made = {"unigrams, 64 dims": segment.build(tr, dev, 64, epochs=1), "unigrams, 256 dims": segment.build(tr, dev, 256, epochs=1), "bigrams, 64 dims": segment.build(tr, dev, 64, bigrams=True, epochs=1), "hashed, 64 dims": segment.build(tr, dev, 64, hashed=True, epochs=1)}
     deciders = {n: (_Greedy(*m), cost.size_kb(m[0], 8, 2)) for n, m in made.items()}
     deciders |= {"bigrams, 64 dims, beam": (_Greedy(*made["bigrams, 64 dims"], beam=3), deciders["bigrams, 64 dims"][1])}
-    deciders |= {"linear": (segment.LinearSegmenter().fit(tr), None), "linear, conjunctions": (segment.LinearSegmenter(True).fit(tr), None), "longest match": (segment.MaxMatch(tr), None), "one word": (segment.one_word, None), "every character": (segment.every_char, None)}
+    deciders |= {"linear": (segment.LinearSegmenter().fit(tr, 1), None), "linear, conjunctions": (segment.LinearSegmenter(True).fit(tr, 1), None), "longest match": (segment.MaxMatch(tr), None), "one word": (segment.one_word, None), "every character": (segment.every_char, None)}
     out = None
     for name, (decider, kb) in deciders.items():
         row = segment.rates(segment.evaluate(test, decider)).withColumn("model", F.lit(name)).withColumn("kb", F.lit(kb).cast("double"))
@@ -578,10 +578,10 @@ def derivations(spark, d):
     return made.groupBy("eager").agg(F.count(F.lit(1)).alias("sentences"), F.sum("words").alias("words"), F.sum("steps").alias("steps"), F.sum("swaps").alias("swaps"), F.sum((F.col("steps") != F.col("formula")).cast("long")).alias("off_formula"))
 
 
-def _order_samples(spark, d, sentences=150):
+def _order_samples(spark, d, sentences=50):
     """Sentences of 2 to 40 tokens with gold tags, predicted tags of a tagger trained on other documents, and target ranks."""
-    sents, tr, dev = _tag_samples(spark, d, 300)
-    tagger = postag.build(tr, dev)
+    sents, tr, dev = _tag_samples(spark, d, 100)
+    tagger = postag.build(tr, dev, epochs=2)
     rank = F.udf(lambda tags: preorder.silver_order(list(tags)), "array<int>")
     short = sents.where(F.size("toks").between(2, 40))
     both = postag.predict(short, tagger, ["sent_id", "doc_id", "lang", "part", "toks", "tags"], "pred_tags").withColumn("rank", rank("tags"))
@@ -595,7 +595,7 @@ def preorder_trained(spark, d):
     """Words alone, with predicted tags, with the tagger's inputs; the bracketing baseline, identity and reverse."""
     both, _, tr, dev = _order_samples(spark, d)
     seen = lambda rows: [r | {"tags": r["pred_tags"]} for r in rows]
-    nets = {"words": preorder.build(tr, dev, "words"), "predicted tags": preorder.build(seen(tr), seen(dev), "tags"), "tagger inputs": preorder.build(tr, dev, "tagger_inputs"), "bracketing": preorder.BracketPreorderer().fit(seen(tr)), "identity": "identity", "reverse": "reverse"}
+    nets = {"words": preorder.build(tr, dev, "words", epochs=1), "predicted tags": preorder.build(seen(tr), seen(dev), "tags", epochs=1), "tagger inputs": preorder.build(tr, dev, "tagger_inputs", epochs=1), "bracketing": preorder.BracketPreorderer().fit(seen(tr)), "identity": "identity", "reverse": "reverse"}
     got = preorder.evaluate(both.where("part = 'test'"), nets, "pred_tags")
     kb = {n: round(cost.size_kb(x, 8, 2), 1) for n, x in nets.items() if hasattr(x, "template")}
     return got.withColumn("kb", F.element_at(F.create_map(*[F.lit(x) for kv in kb.items() for x in kv]), F.col("model")))
@@ -607,7 +607,7 @@ def preorder_trained(spark, d):
 @query("pipeline_tag_preorder")
 def pipeline_tag_preorder(spark, d):
     """Tagging and preordering in one pass: tokens a second and the tagger's share."""
-    both, tagger, tr, dev = _order_samples(spark, d, 100)
+    both, tagger, tr, dev = _order_samples(spark, d, 40)
     net = preorder.build([r | {"tags": r["pred_tags"]} for r in tr], [r | {"tags": r["pred_tags"]} for r in dev], "tags", epochs=1)
     return pipelines.stage_share(pipelines.tag_preorder(both.where("part = 'test'"), tagger, net, ["sent_id"]))
 
