@@ -61,7 +61,7 @@ def st8(spark, d):
 @query("st9_user_state", "SELECT user_id, count(*) FILTER (event_type = 'click') AS click, count(*) FILTER (event_type = 'purchase') AS purchase, count(*) FILTER (event_type = 'view') AS view FROM events GROUP BY user_id")
 def st9(spark, d):
     """The last state of every user's running profile."""
-    got = streams.drain(streams.user_profiles(_events(spark, d)), "update")
+    got = streams.drain(streams.user_profiles(_events(spark, d, 1), 3650), "update")
     total = F.col("click") + F.col("purchase") + F.col("view")
     return got.groupBy("user_id").agg(F.max_by(F.struct("click", "purchase", "view"), F.struct("batch", total)).alias("s")).select("user_id", "s.*")
 

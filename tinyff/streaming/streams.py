@@ -64,8 +64,8 @@ def clicks_to_purchases(clicks: DataFrame, purchases: DataFrame, within: str = "
     return a.join(b, (F.col("u") == F.col("user_id")) & (F.col("pt") > F.col("ct")) & (F.col("pt") <= F.col("ct") + F.expr(f"INTERVAL {within}"))).select("click", "purchase")
 
 
-def user_profiles(events: DataFrame) -> DataFrame:
-    """Per user, a running count of each event type: bounded state, dropped after a silent time."""
+def user_profiles(events: DataFrame, silent_days: int = 30) -> DataFrame:
+    """Per user, a running count of each event type: five numbers of state, dropped after a silent time by the events' clock."""
 
     def update(key, batches, state):
         if state.hasTimedOut:
@@ -77,18 +77,18 @@ def user_profiles(events: DataFrame) -> DataFrame:
                 counts[t] = counts.get(t, 0) + int(n)
         values = tuple(counts[k] for k in ("click", "error", "purchase", "signup", "view"))
         state.update(values)
-        state.setTimeoutDuration(3_600_000)
+        state.setTimeoutTimestamp(max(0, state.getCurrentWatermarkMs()) + silent_days * 86_400_000)
         yield pd.DataFrame({"user_id": [key[0]], "click": [values[0]], "purchase": [values[2]], "view": [values[4]]})
 
     fields = "click long, error long, purchase long, signup long, view long"
-    return events.groupBy("user_id").applyInPandasWithState(update, "user_id long, click long, purchase long, view long", fields, "update", "ProcessingTimeTimeout")
+    return events.groupBy("user_id").applyInPandasWithState(update, "user_id long, click long, purchase long, view long", fields, "update", "EventTimeTimeout")
 
 
 def document_stream(spark: SparkSession, path: str) -> DataFrame:
-    """Documents on a synthetic clock: a minute an id."""
+    """Documents on a synthetic clock, a minute an id; the watermark is set after scoring."""
     docs = spark.readStream.schema(SCHEMAS["documents"]).option("maxFilesPerTrigger", 1).parquet(path)
     clock = F.timestamp_seconds(F.lit(1_704_067_200) + F.col("doc_id") * 60)
-    return docs.withColumn("ts", clock).withWatermark("ts", "1 hour")
+    return docs.withColumn("ts", clock)
 
 
 def late_rows(spark: SparkSession) -> tuple[DataFrame, DataFrame]:
