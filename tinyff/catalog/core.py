@@ -268,10 +268,10 @@ def langid_template(dim: int) -> features.Template:
     return features.Template(tuple(features.FeatureGroup(f"n{n}", v, dim, n=n) for n, v in zip((1, 2, 3, 4), (1000, 1000, 4000, 5000), strict=True)))
 
 
-@query("cost_size_kb", "SELECT name, round(bytes / 1024.0, 6)::DOUBLE AS kb FROM (VALUES ('6 dims', 11000 * 6 * 4 + 4 * (24 * 208 + 208 + 208 * 66 + 66)), ('16 dims', 11000 * 16 * 4 + 4 * (64 * 208 + 208 + 208 * 66 + 66)), ('16 dims, 8 bits', 11000 * 16 + 11000 * 2 + 4 * (64 * 208 + 208 + 208 * 66 + 66))) t(name, bytes)")
+@query("cost_size_kb", "SELECT name, round(bytes / 1024.0, 4)::DOUBLE AS kb FROM (VALUES ('6 dims', 11000 * 6 * 4 + 4 * (24 * 208 + 208 + 208 * 66 + 66)), ('16 dims', 11000 * 16 * 4 + 4 * (64 * 208 + 208 + 208 * 66 + 66)), ('16 dims, 8 bits', 11000 * 16 + 11000 * 2 + 4 * (64 * 208 + 208 + 208 * 66 + 66))) t(name, bytes)")
 def cost_size_kb(spark, d):
     rows = [("6 dims", cost.size_bytes(langid_template(6), 208, 66) / 1024), ("16 dims", cost.size_bytes(langid_template(16), 208, 66) / 1024), ("16 dims, 8 bits", cost.size_bytes(langid_template(16), 208, 66, 8, 2) / 1024)]
-    return spark.createDataFrame([(n, round(k, 6)) for n, k in rows], "name string, kb double")
+    return spark.createDataFrame([(n, round(k, 4)) for n, k in rows], "name string, kb double")
 
 
 @query("cost_flops", "SELECT h0::BIGINT AS h0, hidden::BIGINT AS hidden, classes::BIGINT AS classes, (2 * h0 * hidden + 2 * hidden * classes)::BIGINT AS flops, (2 * h0 * hidden + 2 * hidden * classes + hidden + classes)::BIGINT AS flops_bias FROM (VALUES (24, 208, 66), (64, 208, 66), (64, 208, 4), (160, 64, 10)) t(h0, hidden, classes)")
