@@ -12,9 +12,12 @@ can matter are formed:
 * for the pairs left, overlaps are accumulated over all columns in Arrow blocks.
 
 Documents of equal sets are one class. Within a column, documents are first paired
-with two leaders; columns whose documents are already connected need no more, so
-large groups of near copies cost a few pairs per document. Whatever a column still
-holds unconnected is then paired exactly, so no component is ever missed.
+with two leaders; columns of which the leaders met every pair, and columns whose
+documents are already connected, need no more. In the others, rounds of hubs follow:
+a column's hub is the document with the fewest rarer shingles, thus the nearest to
+what its copies have in common, and each round has another one. So large groups of
+near copies cost a few pairs per document. Whatever a column still holds unconnected
+is then paired exactly, so no component is ever missed.
 
 Defined cases: null, empty and blank texts have an empty set and link with nothing;
 a text with fewer words than a shingle has its word sequence as one shingle;
@@ -44,6 +47,10 @@ MOST_FREQUENT = 1 << 20
 HOT, SALTS = 1000, 64
 #: 64-bit words of parity bits: a bit is set if an odd number of a set's shingles fall on it.
 PARITY = 16
+#: Rounds in which every column that is still open has a hub of its own.
+ROUNDS = 2
+#: Parity words (about 150 bytes a document) are broadcast for at most so many documents.
+MARKS = 200_000
 #: Shingles that a task holds while it counts.
 CHUNK = 2_000_000
 
@@ -176,6 +183,14 @@ def _near(a: str, b: str, percent: int) -> Column:
     return differ * (100 + percent) <= (100 - percent) * (F.col(f"{a}.n") + F.col(f"{b}.n"))
 
 
+def _near_pairs(pairs: DataFrame, profile: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) whose parity bits allow the similarity, so that the sets of the others never move."""
+    involved = small_side(materialise(pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct(), "near-ids"))
+    marks = materialise(profile.select("id", "n", *_BITS).join(involved, "id", "left_semi").dropDuplicates(["id"]), "marks")
+    x, y = (small_side(marks.select(F.col("id").alias(c), F.struct("n", *_BITS).alias(s)), MARKS) for c, s in (("a", "x"), ("b", "y")))
+    return pairs.join(x, "a").join(y, "b").where(_near("x", "y", percent)).select("a", "b")
+
+
 def _links(pairs: DataFrame, docs: DataFrame, id_col: str, text_col: str, k: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose overlap, accumulated over all columns, reaches the similarity."""
     involved = small_side(materialise(pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct(), "involved"))
@@ -227,7 +242,9 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     leader = lambda seed: F.min_by(me, F.xxhash64("id", F.lit(seed))).over(group).alias(f"l{seed}")
     led = postings.select("key", "id", "packed", F.count(F.lit(1)).over(group).alias("m"), leader(1), leader(2)).where((F.col("m") > 1) | (F.shiftright("packed", 56) > 0))
     token = F.col("key").bitwiseXOR(F.shiftleft(F.shiftright("packed", 56), 40)).alias("token")
-    columns = materialise(led.select(token, "id", "packed", *[F.col(f"l{s}.{c}").alias(f"{c}{s}") for s in (1, 2) for c in ("id", "packed")]), "columns")
+    # Two rows, or three with two leaders: the leaders meet every pair of the column.
+    settled = (F.shiftright("packed", 56) == 0) & ((F.col("m") == 2) | ((F.col("m") == 3) & (F.col("l1.id") != F.col("l2.id"))))
+    columns = materialise(led.select(token, "id", "packed", *[F.col(f"l{s}.{c}").alias(f"{c}{s}") for s in (1, 2) for c in ("id", "packed")], (~settled).alias("open")), "columns")
 
     moved = small_side(materialise(members.where("id <> rep").select("id", "rep").distinct(), "copies"))
     reps = lambda df, c: df.join(moved.withColumnsRenamed({"id": c, "rep": f"{c}_rep"}), c, "left").withColumn(c, F.coalesce(f"{c}_rep", c)).drop(f"{c}_rep")
@@ -236,26 +253,41 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     with_leaders = columns.select(side("id", "packed").alias("x"), F.explode(F.array(side("id1", "packed1"), side("id2", "packed2"))).alias("y"))
     near = with_leaders.where((F.col("x.id") != F.col("y.id")) & _possible("x", "y", percent)).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
     near = reps(reps(materialise(near, "near"), "a"), "b").where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    first = materialise(near, "leader-pairs")
-    links = _links(first, base, "id", "text", k, percent)
-    found = small_side(materialise(components(links), "components"))
+    tried = materialise(_near_pairs(materialise(near, "near-reps"), profile, percent), "leader-pairs")
+    found = small_side(materialise(components(_links(tried, base, "id", "text", k, percent)), "components"))
 
     # A column is open if its documents are not all in one component yet.
     component = lambda df, c, out: df.join(found.withColumnsRenamed({"id": c, "component": out}), c, "left").withColumn(out, F.coalesce(out, c))
-    listed = reps(reps(columns.select("token", "id", "packed", "id1"), "id"), "id1")
-    labelled = component(component(listed, "id", "c"), "id1", "c1")
+    odd_of = lambda rows: rows.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token")
+    labelled = component(component(reps(reps(columns.where("open").select("token", "id", "packed", "id1"), "id"), "id1"), "id", "c"), "id1", "c1")
     hot = F.shiftright("packed", 56) > 0
-    odd = labelled.where((F.col("c") != F.col("c1")) & ~hot).select("token").unionByName(labelled.where(hot).groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token"))
+    odd = labelled.where((F.col("c") != F.col("c1")) & ~hot).select("token").unionByName(odd_of(labelled.where(hot)))
     open_tokens = small_side(materialise(odd.distinct(), "open"))
-    open_rows = component(reps(columns.select("token", "id", "packed").join(open_tokens, "token", "left_semi"), "id"), "id", "c")
-    open_rows = materialise(open_rows.select("token", "id", field("packed", 28).alias("n"), field("packed", 0).alias("pos"), "c").distinct(), "open-rows")
-    sizes = open_rows.groupBy("token", "c").agg(F.count(F.lit(1)).alias("m"))
+    open_rows = reps(columns.where("open").select("token", "id", "packed").join(open_tokens, "token", "left_semi"), "id")
+    open_rows = materialise(open_rows.select("token", "id", field("packed", 28).alias("n"), field("packed", 0).alias("pos")).distinct(), "open-rows")
+
+    # Rounds of hubs. They are aggregated before the exchange and joined back, so a hot column is no one task's work.
+    me = F.struct("id", "n", "pos", "c")
+    used = open_rows.select("token", "id").limit(0)
+    for _ in range(ROUNDS):
+        own = component(open_rows, "id", "c")
+        hubs = materialise(own.join(used, ["token", "id"], "left_anti").groupBy("token").agg(F.min_by(me, F.struct(F.col("pos") / F.col("n"), "id")).alias("y")), "hubs")
+        used = used.unionByName(hubs.select("token", "y.id"))
+        met = own.select("token", me.alias("x")).join(hubs, "token").where((F.col("x.c") != F.col("y.c")) & _possible("x", "y", percent)).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
+        fresh = materialise(_near_pairs(materialise(met.join(tried, ["a", "b"], "left_anti"), "near"), profile, percent), "round-pairs")
+        stars = found.where("id <> component").select(F.col("id").alias("a"), F.col("component").alias("b"))
+        found = small_side(materialise(components(stars.unionByName(_links(fresh, base, "id", "text", k, percent))), "components"))
+        tried = tried.unionByName(fresh)
+
+    listed = materialise(component(open_rows, "id", "c"), "open-labels")
+    listed = listed.join(small_side(materialise(odd_of(listed), "open")), "token", "left_semi")
+    sizes = listed.groupBy("token", "c").agg(F.count(F.lit(1)).alias("m"))
     main = sizes.groupBy("token").agg(F.max_by("c", F.struct("m", "c")).alias("main"))
     parity = profile.select("id", *_BITS).dropDuplicates(["id"])
-    open_lists = materialise(open_rows.join(main, "token").join(parity, "id").select("token", "id", "n", "pos", "c", "main", *_BITS), "open-columns")
+    open_lists = materialise(listed.join(main, "token").join(parity, "id").select("token", "id", "n", "pos", "c", "main", *_BITS), "open-columns")
     minor = open_lists.where("c <> main")
     cross = (F.col("x.token") == F.col("y.token")) & (F.col("x.c") != F.col("y.c")) & ((F.col("y.c") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))) & _possible("x", "y", percent) & _near("x", "y", percent)
-    second = _pairs(minor.alias("x").join(open_lists.alias("y"), cross)).join(first, ["a", "b"], "left_anti")
+    second = _pairs(minor.alias("x").join(open_lists.alias("y"), cross)).join(tried, ["a", "b"], "left_anti")
     more = _links(materialise(second, "cross-pairs"), base, "id", "text", k, percent)
     stars = found.where("id <> component").select(F.col("id").alias("a"), F.col("component").alias("b"))
     final = small_side(materialise(components(stars.unionByName(more)), "components"))
