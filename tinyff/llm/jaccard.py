@@ -15,7 +15,7 @@ Documents of equal sets are one class. Within a column, documents are first pair
 with two leaders; columns of which the leaders met every pair, and columns whose
 documents are already connected, need no more. In the others, rounds of hubs follow:
 a column's hub is the document with the fewest rarer shingles, thus the nearest to
-what its copies have in common, and each round has another one. So large groups of
+what its copies have in common, and further rounds have others. So large groups of
 near copies cost a few pairs per document. Whatever a column still holds unconnected
 is then paired exactly, so no component is ever missed.
 
@@ -48,11 +48,13 @@ HOT, SALTS = 1000, 64
 #: 64-bit words of parity bits: a bit is set if an odd number of a set's shingles fall on it.
 PARITY = 16
 #: Rounds in which every column that is still open has a hub of its own.
-ROUNDS = 2
+ROUNDS = 1
 #: Parity words (about 150 bytes a document) are broadcast for at most so many documents.
 MARKS = 200_000
 #: Shingles that a task holds while it counts.
 CHUNK = 2_000_000
+#: Sets that a task remembers so as to emit the columns of equal ones once.
+SEEN = 1 << 17
 
 
 def text_sets(data: np.ndarray, offsets: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -159,7 +161,7 @@ def _postings(text_col: str, id_col: str, k: int, percent: int, order_of):
                     rest = np.flatnonzero(r)
                     first = np.concatenate([first, rest[np.lexsort((tokens[a:b][rest], r[rest]))][: p - len(first)]])
                 out.append((tokens[a:b][first], np.full(p, ids[i], np.int64), np.full(p, n, np.int64), np.arange(p), r[first] >= HOT))
-            if len(seen) > CHUNK:
+            if len(seen) > SEEN:
                 seen.clear()
             if out:
                 token, who, n, pos, hot = (np.concatenate(x) for x in zip(*out, strict=True))
@@ -213,7 +215,8 @@ def _links(pairs: DataFrame, docs: DataFrame, id_col: str, text_col: str, k: int
             yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
     left, right = sets.withColumnsRenamed({"id": "a", "tokens": "ta"}), sets.withColumnsRenamed({"id": "b", "tokens": "tb"})
-    return materialise(pairs.join(left, "a").join(right, "b").select("a", "b", "ta", "tb").mapInArrow(overlap, "a long, b long"), "jaccard-links")
+    carried = spread(pairs.join(left, "a").select("a", "b", "ta"), "b")  # an explicit number of parts, which keeps the Arrow batches of sets small
+    return materialise(carried.join(right, "b").select("a", "b", "ta", "tb").mapInArrow(overlap, "a long, b long"), "jaccard-links")
 
 
 def _pairs(joined: DataFrame) -> DataFrame:
