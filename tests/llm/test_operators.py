@@ -218,6 +218,25 @@ def test_toxicity_and_quality_learn(spark):
         assert none.count() == len(EDGES) and none.agg(F.max("score")).first()[0] == 0
 
 
+def test_toxicity_of_fixed_pairs(spark):
+    """The words b and c always follow one word; only the pair tells the classes apart."""
+    rng = random.Random(13)
+    texts = []
+    for i in range(800):
+        w = [f"w{rng.randrange(60)}" for _ in range(rng.randint(20, 60))]
+        for _ in range(3):
+            w.insert(rng.randrange(len(w) + 1), "x b y c" if i % 2 else "x c y b")
+        texts.append(" ".join(w))
+    labels = spark.createDataFrame([(i, i % 2) for i in range(len(texts))], "doc_id long, toxic int")
+    docs = table(spark, texts)
+    model = toxicity.fit(docs, toxicity.train_labels(labels))
+    got = toxicity.score(docs, model, keep=["doc_id"]).toPandas()
+    assert (got["predicted"] == got["doc_id"] % 2).mean() > 0.95
+    plain = spark.createDataFrame([(0, "w1 x b w2"), (1, "w1 x c w2")], "doc_id long, text string")
+    toxic, ordinary = (r["score"] for r in toxicity.score(plain, model).orderBy("doc_id").collect())
+    assert toxic > 0.5 > ordinary
+
+
 def test_language(spark):
     rng = random.Random(2)
     parts = {"en": ["the", "of", "ing", "th"], "de": ["der", "sch", "ung", "ich"]}

@@ -51,6 +51,13 @@ def _pair(h: np.ndarray, w: np.ndarray) -> np.ndarray:
     return mix(h * np.uint64(0x9E3779B97F4A7C15) + w)
 
 
+def _left(words: Words) -> np.ndarray:
+    """Each word's left neighbour, 0 at the start of a text."""
+    left = np.append(np.uint64(0), words.hash[:-1])[: len(words.hash)]
+    left[words.bounds[:-1][words.bounds[:-1] < len(left)]] = 0
+    return left
+
+
 @dataclass
 class ToxicityModel:
     words: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))
@@ -82,18 +89,20 @@ def _ratios(model: ToxicityModel):
         table, pairs = Lookup(model.words), Lookup(model.pairs)
         word_ratio = np.append(model.word_ratio, model.unknown_ratio)
         context = np.append(model.context_ratio, 0.0)
+        at, known = table.find(np.zeros(1, np.uint64))
+        start = at[0] if known[0] else len(model.words)
 
         def run(data: np.ndarray, offsets: np.ndarray) -> dict:
             words = Words(data, offsets, ALNUM)
             at, known = table.find(words.hash)
             at = np.where(known, at, len(model.words))
             ratio = word_ratio[at]
-            inner = np.ones(len(at), bool)
-            inner[words.bounds[:-1][words.bounds[:-1] < len(at)]] = False
-            inner = np.flatnonzero(inner)
-            ratio[inner] += context[at[inner - 1]]
-            both = inner[known[inner] & known[inner - 1]]
-            hit, seen = pairs.find(_pair(words.hash[both - 1], words.hash[both]))
+            left = _left(words)
+            before = np.append(len(model.words), at[:-1])[: len(at)]
+            before[left == 0] = start
+            ratio += context[before]
+            both = np.flatnonzero(known & (before < len(model.words)))
+            hit, seen = pairs.find(_pair(left[both], words.hash[both]))
             ratio[both[seen]] = model.pair_ratio[hit[seen]]
             n = np.diff(words.bounds)
 
@@ -116,8 +125,7 @@ def _bigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(text, label) -> one row per text and word: left neighbour (0 at the start), word, label."""
     for rows, data, offsets in blocks(batches):
         words = Words(data, offsets, ALNUM)
-        left = np.append(np.uint64(0), words.hash[:-1]) if len(words.hash) else words.hash
-        left[words.bounds[:-1][words.bounds[:-1] < len(left)]] = 0
+        left = _left(words)
         label = np.repeat(rows.column(rows.schema.get_field_index("label")).to_numpy(zero_copy_only=False), np.diff(words.bounds))
         yield pa.record_batch({"h": pa.array(left.view(np.int64)), "w": pa.array(words.hash.view(np.int64)), "toxic": pa.array((label == 1).astype(np.int8))})
 
@@ -164,8 +172,14 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     uni = pairs.groupBy("w").agg(F.count_if(F.col("t") > 0).alias("t"), F.count_if(F.col("o") > 0).alias("o"))
     sums = uni.agg(F.sum("t").alias("kt"), F.sum("o").alias("ko"), F.sum(cut("t")).alias("dt"), F.sum(cut("o")).alias("do")).collect()[0]
     known = _numpy(uni.where((F.col("t") > least) | (F.col("o") > least)))
-    order = np.argsort(known["w"].view(np.uint64))
-    vocabulary, kt, ko = known["w"].view(np.uint64)[order], known["t"][order].astype(float), known["o"][order].astype(float)
+    big = _numpy(pairs.where((F.col("t") > least) | (F.col("o") > least)))
+    h, w, word = (x.view(np.uint64) for x in (big["h"], big["w"], known["w"]))
+    # Both words of every pair above the discount are held, however few neighbours they have (0: the start of a text).
+    vocabulary = np.unique(np.concatenate([word, h, w]))
+    at = np.searchsorted(vocabulary, word)
+    kt, ko = (np.zeros(len(vocabulary)) for _ in range(2))
+    # A continuation count up to the discount leaves nothing, so that the words known by pairs alone count as 0.
+    kt[at], ko[at] = known["t"], known["o"]
     seen, all_words = shared_counts(docs, text_col, vocabulary)
     shared = (seen + 0.5) / (all_words + 0.5 * (len(vocabulary) + 1))
     back_t, back_o = (sums["dt"] + 1) / (sums["kt"] + 1), (sums["do"] + 1) / (sums["ko"] + 1)
@@ -180,14 +194,10 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     lam_t[at] = np.where(ctx["t"][have] > 0, ctx["dt"][have] / n_t[at], 1.0)
     lam_o[at] = np.where(ctx["o"][have] > 0, ctx["do"][have] / n_o[at], 1.0)
     lam_t, lam_o = np.maximum(lam_t, 1e-3), np.maximum(lam_o, 1e-3)
-    big = _numpy(pairs.where("h <> 0").where((F.col("t") > least) | (F.col("o") > least)))
-    h, w = big["h"].view(np.uint64), big["w"].view(np.uint64)
-    (ih, oh), (iw, ow) = table.find(h), table.find(w)
-    ok = oh & ow
-    ih, iw, bt, bo = ih[ok], iw[ok], big["t"][ok].astype(float), big["o"][ok].astype(float)
+    ih, iw, bt, bo = np.searchsorted(vocabulary, h), np.searchsorted(vocabulary, w), big["t"].astype(float), big["o"].astype(float)
     q_t = (bt - _discount(bt)) / n_t[ih] + lam_t[ih] * p_t[iw]
     q_o = (bo - _discount(bo)) / n_o[ih] + lam_o[ih] * p_o[iw]
-    key = _pair(h[ok], w[ok])
+    key = _pair(h, w)
     order = np.argsort(key)
     model = ToxicityModel(vocabulary, np.log(p_t / p_o), float(np.log(back_t / back_o)), np.log(lam_t / lam_o), key[order], np.log(q_t / q_o)[order], prior=prior)
     held = spark.sparkContext.broadcast(model)
