@@ -187,6 +187,20 @@ def test_licenses(spark):
     assert licenses.inherit(found.limit(0)).count() == 0
 
 
+def test_licenses_do_not_depend_on_table_or_place(spark):
+    def own(texts):
+        df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+        return [r["own_license"] for r in licenses.detect(df, keep=["doc_id"]).orderBy("doc_id").collect()]
+
+    line = "Code released under the MIT License."
+    for rows in (0, 1, 50, 3000):
+        assert own([line, *(f"some other text {i}" for i in range(rows))]) == ["MIT"] + [None] * rows
+    assert own([f"// Released under the MIT License.\n\nbody {i} of the file" for i in range(40)] + ["no notice"]) == ["MIT"] * 40 + [None]
+    wrapped = "# Copyright Someone\n# Licensed under the Apache License, Version 2.0; you may not use\n#\n# this file except in compliance\n# with the License.\ncode = 1"
+    long = "word " * 5000 + "\nThis work is licensed under the GNU\nGeneral Public License, version 2.\n" + "end " * 10
+    assert own([wrapped, long, "Released under the ISC License.", "you may use this software and the source code of it " * 600, None, ""]) == ["Apache-2.0", "GPL-2.0", None, None, None, None]
+
+
 def labelled(spark, n=600):
     rng = random.Random(11)
     words = [f"w{i}" for i in range(200)]

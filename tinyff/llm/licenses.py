@@ -1,8 +1,12 @@
 """Licence scan: sparse TF-IDF cosine to notice templates, then inheritance along directories.
 
-Every line of every whole text, and the text as a whole, is compared with the
-templates over their vocabulary (words and word pairs); document frequencies are
-those of the corpus. A file without a notice of its own inherits from the nearest
+Every line of every whole text, every block of two to four successive lines that
+hold words (headers and wrapped notices) and the text as a whole are compared with
+the templates over their vocabulary (words and word pairs); document frequencies
+are those of the corpus. Template terms count once a unit. Terms outside the
+templates count in a unit's norm as often as they occur, each with the mean square
+weight of the unit's own template terms, so that neither the size of the table nor
+a notice that stands in most files changes what is found. A file without a notice of its own inherits from the nearest
 ancestor directory that holds a licence file: the ancestors of each distinct
 directory are joined with the licensed directories, and files join their directory.
 
@@ -38,6 +42,8 @@ TEMPLATES = {
     "MPL-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",),
 }
 THRESHOLD = 0.7
+#: Blocks of up to this many lines are units of their own.
+BLOCK_LINES = 4
 
 
 def _terms(words: Words) -> tuple[np.ndarray, np.ndarray]:
@@ -60,7 +66,6 @@ class Templates:
 
     def weigh(self, frequency: np.ndarray, rows: int) -> None:
         self.idf = np.log((1 + rows) / (1 + frequency)) + 1e-3
-        self.unknown = np.log(1.0 + rows) + 1e-3
         weights = self.member * self.idf[:, None]
         self.weights = weights / np.maximum(np.sqrt((weights**2).sum(0)), 1e-12)
 
@@ -86,23 +91,42 @@ def term_frequency(docs: DataFrame, text_col: str, templates: Templates) -> tupl
     return out[:-1], int(out[-1])
 
 
-def _cosines(unit: np.ndarray, term: np.ndarray, at: np.ndarray, known: np.ndarray, t: Templates) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Units (lines or texts) that hold template terms, with their best template and its cosine; terms count once a unit."""
-    order = np.lexsort((term, unit))
-    unit, term, at, known = unit[order], term[order], at[order], known[order]
-    first = np.ones(len(unit), bool)
-    first[1:] = (unit[1:] != unit[:-1]) | (term[1:] != term[:-1])
-    unit, at, known = unit[first], at[first], known[first]
-    names, index = np.unique(unit, return_inverse=True)
-    idf = np.where(known, t.idf[at], t.unknown) if len(t.terms) else np.full(len(unit), t.unknown)
-    norm = np.sqrt(np.bincount(index, idf**2, len(names)))
-    dots = np.zeros((len(names), t.weights.shape[1]))
-    np.add.at(dots, index[known], idf[known][:, None] * t.weights[at[known]])
-    cos = dots / np.maximum(norm, 1e-12)[:, None]
-    best = cos.argmax(1)
+def _cosines(unit: np.ndarray, at: np.ndarray, words: np.ndarray, t: Templates) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Units that hold template terms (``at``, any order) with their best template and its cosine; ``words``: a unit's length."""
+    key, first = np.unique(unit * len(t.terms) + at), len(t.terms)
+    owner, at = key // first, key % first
+    names, starts, known = np.unique(owner, return_index=True, return_counts=True)
+    square = np.add.reduceat(t.idf[at] ** 2, starts)
+    # n words in a row make n words and n - 1 pairs.
+    outside = 2 * words[names] - 1 - np.bincount(unit, minlength=len(words))[names]
+    dots = np.add.reduceat((t.idf[:, None] * t.weights)[at], starts, axis=0)
+    cos = dots / np.sqrt(square * (1 + outside / known))[:, None]
+    best = np.round(cos, 12).argmax(1)
     return names, best, cos[np.arange(len(names)), best]
 
 
+def _units(words: Words, breaks: np.ndarray, place: np.ndarray, last: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Blocks of 1 to BLOCK_LINES lines, then whole texts: (unit, index of a term in it, words a unit, text of a unit).
+
+    Terms go from word ``place`` to word ``last``. Lines without words do not count.
+    """
+    text = np.repeat(np.arange(len(words.bounds) - 1), np.diff(words.bounds))
+    raw = np.searchsorted(breaks, words.start) + text  # breaks of texts count as breaks of lines
+    fresh = np.append(True, raw[1:] != raw[:-1])
+    line, begin = np.cumsum(fresh) - 1, np.flatnonzero(fresh)
+    owner = text[begin]
+    for lines in range(1, BLOCK_LINES + 1):
+        units, terms = [], []
+        for back in range(lines):
+            unit = line[place] - back
+            fits = np.flatnonzero((unit >= 0) & (owner[np.maximum(unit, 0)] == text[place]) & (line[last] - unit < lines))
+            units.append(unit[fits])
+            terms.append(fits)
+        stop = np.minimum(np.append(begin, len(text))[np.minimum(np.arange(len(begin)) + lines, len(begin))], words.bounds[owner + 1])
+        yield np.concatenate(units), np.concatenate(terms), stop - begin, owner
+    yield text[place], np.arange(len(place)), np.diff(words.bounds), np.arange(len(words.bounds) - 1)
+
+
 def detect(docs: DataFrame, text_col: str = "text", templates: dict[str, tuple[str, ...]] = TEMPLATES, threshold: float = THRESHOLD, keep: list[str] | None = None) -> DataFrame:
     """``keep`` (default: all) columns with ``own_license`` and ``own_score`` (best cosine of a line or of the whole text)."""
     t = Templates(templates)
@@ -117,26 +141,19 @@ def detect(docs: DataFrame, text_col: str = "text", templates: dict[str, tuple[s
             words = Words(data, offsets, ALNUM)
             term, place = _terms(words)
             at, known = table.find(term)
-            n = len(offsets) - 1
-            text = np.searchsorted(words.bounds, place, "right") - 1
-            line = np.searchsorted(np.flatnonzero(data == 10), words.start)[place] + text  # breaks of texts count as breaks of lines
-            score, best = np.zeros(n), np.full(n, -1)
-            for unit in (line, text):
-                rare = known & (np.append(t.idf, 0.0)[at] > 1.0) if len(t.terms) else known
-                if unit is text:  # a whole text is worth a look only if it is about as short as a licence file
-                    rare = rare & (np.diff(words.bounds)[text] <= 4000)
-                some = np.zeros(int(unit.max()) + 1 if len(unit) else 0, bool)
-                some[unit[rare]] = True
-                on = some[unit] if len(unit) else np.zeros(0, bool)
-                if not on.any():
-                    continue
-                names, which, cos = _cosines(unit[on], term[on], at[on], known[on], t)
-                owner = np.zeros(len(some), np.int64)
-                owner[unit] = text
-                for k in np.lexsort((which, -cos)):
-                    o = owner[names[k]]
-                    if cos[k] > score[o] + 1e-12:
-                        score[o], best[o] = cos[k], which[k]
+            score, best = np.zeros(len(offsets) - 1), np.full(len(offsets) - 1, -1)
+            on = np.flatnonzero(known)
+            last = place[on] + (on >= len(words.hash))
+            found = []
+            for unit, which, length, owner in _units(words, np.flatnonzero(data == 10), place[on], last) if len(on) else ():
+                if len(unit):
+                    names, template, cos = _cosines(unit, at[on[which]], length, t)
+                    found.append((owner[names], template, cos))
+            if found:
+                owner, template, cos = (np.concatenate(x) for x in zip(*found, strict=True))
+                order = np.lexsort((template, -np.round(cos, 12), owner))
+                texts, first = np.unique(owner[order], return_index=True)
+                score[texts], best[texts] = cos[order[first]], template[order[first]]
             ok = score >= threshold
             return {"own_license": pa.array([t.names[b] if k else None for b, k in zip(best, ok, strict=True)], pa.string()), "own_score": score}
 
