@@ -6,8 +6,9 @@ columns of ``docs``. The last gives every taken document as often as the mix tak
 it, numbered by ``copy``.
 
 Defined cases are those of the operators: null and empty texts pass the filters
-(equal ones once), repeated rows of one id share each verdict, extra columns pass
-through, and an empty table goes through all stages.
+(equal ones once), repeated rows of one id share each verdict, rows without an id
+are documents by their texts and go where an equal or near copy has an id, extra
+columns pass through, and an empty table goes through all stages.
 """
 
 from __future__ import annotations
@@ -16,6 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tinyff.llm import decontaminate, exact_dedup, jaccard, mixing, toxicity
+from tinyff.llm.rows import ROW_KEY, with_row_key
 from tinyff.plans.scratch import materialise
 
 
@@ -35,16 +37,18 @@ def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near duplicates (five words a shingle, similarity 0.8) the document with the smallest id stays."""
-    groups = jaccard.similarity_classes(docs, k=5, percent=80)
-    dropped = exact_dedup.dropped_ids(groups, F.col("doc_id") == F.col("component_id"))
-    return docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
+    keyed = with_row_key(docs, "doc_id", "text", lowest=False)
+    groups = jaccard.similarity_classes(keyed, ROW_KEY, k=5, percent=80)
+    dropped = exact_dedup.dropped_ids(groups, F.col(ROW_KEY) == F.col("component_id"), ROW_KEY)
+    return keyed.join(dropped, ROW_KEY, "left_anti").select(*docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects documents of which a twentieth or more of the words lie in benchmark windows."""
-    found = decontaminate.contamination(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
-    dropped = exact_dedup.dropped_ids(found, ~F.col("contaminated"))
-    return docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
+    keyed = with_row_key(docs, "doc_id", "text", lowest=False)
+    found = decontaminate.contamination(keyed, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), ROW_KEY)
+    dropped = exact_dedup.dropped_ids(found, ~F.col("contaminated"), ROW_KEY)
+    return keyed.join(dropped, ROW_KEY, "left_anti").select(*docs.columns)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

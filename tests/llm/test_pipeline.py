@@ -6,6 +6,7 @@ import corpus_pipeline
 from conftest import SF
 
 from llm_brute import LOW, brute_components
+from tinyff.llm import mixing
 
 
 def test_stages_follow_brute_force(spark):
@@ -41,3 +42,26 @@ def test_stages_follow_brute_force(spark):
     mixed = corpus_pipeline.mix_sources(spark, docs, SF)
     assert mixed.where("copy = 2").count() > 0 and set(docs.columns) <= set(mixed.columns)
     assert corpus_pipeline.drop_near_copies(spark, docs.limit(0), SF).count() == 0
+
+
+def test_null_ids_in_every_stage(spark):
+    bench = spark.read.parquet(f"{SF}/benchmark.parquet").first()["text"]
+    base = [f"word{i}" for i in range(60)]
+    own, twin, lone = " ".join(base), " ".join(base[:-1] + ["changed"]), " ".join(f"lone{i}" for i in range(40))
+    rows = [(1, own), (None, own), (None, twin), (None, lone), (None, None), (2, ""), (None, bench), (3, "x y z")]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], schema)
+    texts = lambda df: sorted((r["doc_id"] is None, r["text"] or "") for r in df.collect())
+    every = sorted((i is None, t or "") for i, t in rows)
+
+    def without(*gone):
+        return [x for x in every if x not in gone]
+
+    assert texts(corpus_pipeline.drop_toxic(spark, docs, SF)) == every
+    assert texts(corpus_pipeline.drop_exact_copies(spark, docs, SF)) == without((True, own), (True, ""))
+    assert texts(corpus_pipeline.drop_near_copies(spark, docs, SF)) == without((True, own), (True, twin))
+    assert texts(corpus_pipeline.drop_contaminated(spark, docs, SF)) == without((True, bench))
+    copies = corpus_pipeline.mix_sources(spark, docs, SF)
+    taken = mixing.mix(docs).where("doc_id IS NULL").agg({"copies": "sum"}).first()[0]
+    assert copies.where("doc_id IS NULL").count() == taken > 0
+    assert copies.where("doc_id IS NULL AND text IS NULL").count() == 0

@@ -7,7 +7,8 @@ are read. All other digests are grouped by an ordinary shuffle of narrow rows.
 
 Defined cases: a null text counts as empty, so nulls and empty texts form one
 group; equal texts keep the row with the largest id (a null id counts as lowest);
-repeated rows of one id are one document and share its verdict; further columns
+repeated rows of one id are one document and share its verdict, rows without an id
+only with rows of equal text; further columns
 are ignored; an empty table gives an empty result.
 """
 
@@ -22,6 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.scratch import materialise, small_side
+from .rows import ROW_KEY, with_row_key
 
 
 def misra_gries(counters: int):
@@ -79,5 +81,6 @@ def dropped_ids(verdict: DataFrame, keep: Column, id_col: str = "doc_id") -> Dat
 
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", counters: int = 256) -> DataFrame:
     """The rows of ``docs`` that stay, all columns unchanged."""
-    verdict = exact_dedup(docs, id_col, text_col, counters=counters)
-    return docs.join(dropped_ids(verdict, F.col("kept"), id_col), id_col, "left_anti").select(*docs.columns)
+    keyed = with_row_key(docs, id_col, text_col, lowest=True)
+    verdict = exact_dedup(keyed, ROW_KEY, text_col, counters=counters)
+    return keyed.join(dropped_ids(verdict, F.col("kept"), ROW_KEY), ROW_KEY, "left_anti").select(*docs.columns)

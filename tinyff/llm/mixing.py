@@ -86,20 +86,28 @@ def thresholds(sizes: DataFrame, targets: DataFrame) -> DataFrame:
     return plan.join(cut, F.col("source").eqNullSafe(F.col("of")), "left").select("source", "source_size", "target", "passes", F.coalesce("cut", every).alias("until"))
 
 
-def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, most: float = 2.0) -> DataFrame:
-    """One row per input row: id, ``size``, ``source_size``, ``target`` (its source's), ``taken`` (words, repeats counted), ``copies``."""
+def _planned(docs: DataFrame, id_col: str, text_col: str, source_col: str, weights: tuple[int, ...], share: float, most: float) -> tuple[DataFrame, DataFrame]:
+    """The narrow rows of ``docs``, and the plan of each source (named ``of``) with a broadcast hint."""
     key = hash60(F.col(id_col))
     sizes = materialise(docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"), key.alias("hash")), "sizes")
     targets = materialise(source_targets(sizes, weights, share, most), "targets")
-    plan = small_side(materialise(thresholds(sizes, targets), "thresholds").withColumnRenamed("source", "of"), MOST_SOURCES)
+    return sizes, small_side(materialise(thresholds(sizes, targets), "thresholds").withColumnRenamed("source", "of"), MOST_SOURCES)
+
+
+def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, most: float = 2.0) -> DataFrame:
+    """One row per input row: id, ``size``, ``source_size``, ``target`` (its source's), ``taken`` (words, repeats counted), ``copies``."""
+    sizes, plan = _planned(docs, id_col, text_col, source_col, weights, share, most)
     copies = F.when(F.col("size") > 0, F.col("passes") + (F.col("hash") <= F.col("until")).cast("long")).otherwise(0).cast("long")
     joined = sizes.join(plan, F.col("source").eqNullSafe(F.col("of")))
     return joined.select(F.col("id").alias(id_col), "size", "source_size", "target", (F.col("size") * copies).alias("taken"), copies.alias("copies"))
 
 
-def mixed(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
-    """The mix itself: each row of ``docs`` as often as it is taken, numbered by ``copy`` from 1."""
-    copies = materialise(mix(docs, id_col, **options).where("copies > 0").groupBy(id_col).agg(F.max("copies").alias("copies")), "copies")
+def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = (3, 1, 2), share: float = 1.5, most: float = 2.0) -> DataFrame:
+    """The mix itself: each row of ``docs`` as often as ``mix`` takes it, numbered by ``copy`` from 1. Rows meet their source's plan, so ids may be null."""
+    _, plan = _planned(docs, id_col, text_col, source_col, weights, share, most)
+    plan = plan.select(F.col("of").alias("_mix_of"), F.struct("passes", "until").alias("_mix"))
+    words = F.coalesce(F.regexp_like(text_col, F.lit(r"[^\x20\x09-\x0D]")), F.lit(False))
+    copies = F.when(words, F.col("_mix.passes") + (hash60(F.col(id_col)) <= F.col("_mix.until")).cast("long")).otherwise(0)
     name = "copy" if "copy" not in docs.columns else "mix_copy"
-    out = docs.join(small_side(copies), id_col)
-    return out.withColumn(name, F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*docs.columns, name)
+    out = docs.join(plan, F.col(source_col).eqNullSafe(F.col("_mix_of"))).withColumn("_mix_copies", copies).where("_mix_copies > 0")
+    return out.withColumn(name, F.explode(F.sequence(F.lit(1), F.col("_mix_copies").cast("int")))).select(*docs.columns, name)

@@ -56,6 +56,20 @@ def fold_of(key: Column, folds: int = 5) -> Column:
     return F.crc32(F.coalesce(key.cast("string"), F.lit("")).cast("binary")) % folds
 
 
+#: The column of ``with_row_key``.
+ROW_KEY = "_row_key"
+
+
+def with_row_key(df: DataFrame, id_col: str, text_col: str, lowest: bool) -> DataFrame:
+    """Adds ROW_KEY: the id, or where it is null a number made of 60 bits of the text's md5, below or above the usual ids.
+
+    So rows without an id are documents by their texts (null counts as empty), and can be joined to their verdicts.
+    """
+    made = (F.lit(1 << 62) + hash60(F.col(text_col))) * F.lit(-1 if lowest else 1)
+    text_id = isinstance(df.schema[id_col].dataType, T.StringType)
+    return df.withColumn(ROW_KEY, F.coalesce(F.col(id_col), made.cast("string") if text_id else made))
+
+
 def label_sample(labels: DataFrame, id_col: str, label_col: str, per_class: int) -> tuple[DataFrame, dict]:
     """About ``per_class`` ids of each label (chosen by the hash of the id) as (id, label, draw), and all rows' counts by label.
 
