@@ -12,22 +12,39 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Sides of at most this many (narrow) rows may be broadcast; larger ones shuffle.
-BROADCAST_ROWS = 2_000_000
+#: Sides of at most this many (narrow) rows and bytes of Parquet may be broadcast; larger ones shuffle.
+BROADCAST_ROWS, BROADCAST_BYTES = 2_000_000, 64 << 20
+
+
+def _file_system(spark: SparkSession, path: str):
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return p, p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's ``spark.checkpoint.dir``; a temporary one only where it is unset (tests)."""
+    """The cluster's ``spark.checkpoint.dir``; in local mode (tests) a temporary folder where it is unset."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         found = tempfile.mkdtemp(prefix="tinyff-shared-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
 
 
+def scratch_root(spark: SparkSession) -> str:
+    """The application's own scratch folder, deleted when the application ends."""
+    root = f"{shared_dir(spark)}/tinyff-scratch/{spark.sparkContext.applicationId}"
+    path, fs = _file_system(spark, root)
+    if not fs.exists(path):
+        fs.mkdirs(path)
+        fs.deleteOnExit(path)
+    return root
+
+
 def scratch_path(spark: SparkSession, tag: str) -> str:
-    """A fresh path under the shared folder."""
-    return f"{shared_dir(spark)}/tinyff-scratch/{tag}-{uuid.uuid4().hex}"
+    """A fresh path under the application's scratch folder."""
+    return f"{scratch_root(spark)}/{tag}-{uuid.uuid4().hex}"
 
 
 def materialise(df: DataFrame, tag: str) -> DataFrame:
@@ -38,16 +55,19 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def small_side(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
-    """``df`` (a cheap, written table) with a broadcast hint if it has at most ``most`` rows, else as it is."""
-    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
+def small_side(df: DataFrame, most: int = BROADCAST_ROWS, most_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """``df`` (a cheap, written table) with a broadcast hint if it has at most ``most`` rows and ``most_bytes`` bytes, else as it is.
+
+    Bytes come from the sizes of its files; the count is one number a task, read from file footers.
+    """
+    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    return F.broadcast(df) if size <= most_bytes and df.count() <= most else df
 
 
 def drop_scratch(spark: SparkSession) -> None:
-    """Deletes every scratch table of this application's shared folder."""
-    jvm = spark.sparkContext._jvm
-    path = jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/tinyff-scratch")
-    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    """Deletes every scratch table of this application."""
+    path, fs = _file_system(spark, scratch_root(spark))
+    fs.delete(path, True)
 
 
 def hash60(key: Column) -> Column:
