@@ -29,29 +29,39 @@ def word_count(text):
     return F.coalesce(F.regexp_count(text, F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
 
 
+def _placed(totals: DataFrame) -> DataFrame:
+    """Adds ``place``: the rank of each source by code point, null last, without bringing the sources into one task.
+
+    Sources are dealt by ranges; a range's first place is the number of sources in the ranges before it.
+    """
+    dealt = totals.withColumn("last", F.col("source").isNull()).repartitionByRange("last", "source").withColumn("range", F.spark_partition_id())
+    dealt = materialise(dealt, "sources")
+    sizes, before = sorted(dealt.groupBy("range").agg(F.count(F.lit(1))).collect()), [F.lit(-1), F.lit(0)]  # one row a range
+    for at, (part, _) in enumerate(sizes):
+        before += [F.lit(part), F.lit(sum(n for _, n in sizes[:at]))]
+    inside = F.row_number().over(Window.partitionBy("range").orderBy("last", "source"))
+    return dealt.select("source", "source_size", (F.element_at(F.create_map(*before), F.col("range")) + inside).alias("place"))
+
+
 def source_targets(sizes: DataFrame, weights: tuple[int, ...], share: float, most: float) -> DataFrame:
     """(source, source_size, target): ``share`` of all words by weight, at most ``most`` times a source's own.
 
     Weights repeat over the sources in code-point order. Capping some sources raises the rate of the
-    others; the final rate is found in one pass over the sources ordered by the rate at which each is capped.
+    others: each round is one aggregate over the sources, and ends when no further source is capped.
     """
-    totals = sizes.groupBy("source").agg(F.sum("size").alias("source_size"))
-    place = Window.orderBy(F.col("source").asc_nulls_last())
     weight = F.array(*[F.lit(w) for w in weights])
-    weighed = totals.withColumn("place", F.row_number().over(place)).withColumn("weight", F.element_at(weight, ((F.col("place") - 1) % len(weights) + 1).cast("int")))
-    weighed = weighed.withColumn("cap", F.lit(float(most)) * F.col("source_size")).withColumn("rate", F.col("cap") / F.col("weight"))
-    order = Window.orderBy("rate", "place")
-    every = Window.partitionBy()
-    rated = weighed.select(
-        "*",
-        (F.sum("cap").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("cap")).alias("capped"),
-        F.sum("weight").over(order.rowsBetween(0, Window.unboundedFollowing)).alias("open_weight"),
-        (F.sum("source_size").over(every) * F.lit(float(share))).alias("budget"),
-    ).withColumn("open_rate", (F.col("budget") - F.col("capped")) / F.col("open_weight"))
-    first = F.min(F.when(F.col("open_rate") <= F.col("rate"), F.struct("rate", "place", "open_rate"))).over(every)
-    final = rated.withColumn("first", first)
-    target = F.when(F.col("first").isNull(), F.col("cap")).otherwise(F.least("cap", F.col("weight") * F.col("first.open_rate")))
-    return final.select("source", "source_size", target.cast("double").alias("target"))
+    weighed = _placed(sizes.groupBy("source").agg(F.sum("size").alias("source_size")))
+    weighed = weighed.withColumn("weight", F.element_at(weight, ((F.col("place") - 1) % len(weights) + 1).cast("int")))
+    weighed = materialise(weighed.withColumn("cap", F.lit(float(most)) * F.col("source_size")).withColumn("rate", F.col("cap") / F.col("weight")), "weighed")
+    rate, capped = None, -1
+    while True:
+        below = F.lit(False) if rate is None else F.col("rate") < F.lit(rate)
+        total, used, open_weight, n = weighed.agg(F.sum("source_size"), F.sum(F.when(below, F.col("cap"))), F.sum(F.when(~below, F.col("weight"))), F.count_if(below)).first()
+        if n == capped or not open_weight:
+            break
+        rate, capped = (total * float(share) - (used or 0.0)) / open_weight, n
+    target = F.col("cap") if rate is None or not open_weight else F.least("cap", F.col("weight") * F.lit(rate))
+    return weighed.select("source", "source_size", target.cast("double").alias("target"))
 
 
 def _boundary(hist: DataFrame, state: DataFrame) -> DataFrame:
