@@ -8,12 +8,14 @@ only; a hit fixes where the window would have to start, length and position boun
 drop starts outside the text, and the full sequence of word identities decides.
 
 The benchmark is a stated query set: it is processed in blocks of at most
-``block_windows`` windows, each block broadcast (a bounded size), and hits of the
-blocks are merged per document.
+``block_windows`` windows, each block broadcast (a bounded size), and hits of
+several blocks are merged by the digest of the text and joined to all rows.
 
 Defined cases: null and empty texts have no words and are never contaminated;
-items without words have no window; repeated rows and repeated item ids are
-reported once each; further columns are ignored; empty tables give no hits.
+items without words have no window; every row is reported, whatever its id;
+repeated item ids are listed once; items without an id hit words like others and
+are listed as one null, which the digest leaves out; further columns are ignored
+or kept by name; empty tables give no hits.
 """
 
 from __future__ import annotations
@@ -26,7 +28,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..plans.scratch import materialise
+from ..plans.scratch import materialise, small_side
 from .kernel import ALNUM, Lookup, Words, blocks, mix, shingles
 from .rows import with_text_columns
 
@@ -163,7 +165,7 @@ def _hits(index_of):
                 "n_words": np.diff(words.bounds).astype(np.int64),
                 "n_hit": (hit[words.bounds[1:]] - hit[words.bounds[:-1]]).astype(np.int64),
                 "hit_ranges": pa.array(ranges, pa.list_(pa.int64())),
-                "items": pa.array([sorted(s) for s in items], pa.list_(pa.string())),
+                "items": pa.array([sorted(s, key=lambda x: (x is None, x)) for s in items], pa.list_(pa.string())),
             }
 
         return run
@@ -181,7 +183,7 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str, item_col
         index.choose_prefixes(keys, shingle_frequency(docs, text_col, keys))
         return index
 
-    rows = benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(item_text_col).alias("text")).where(F.col("item").isNotNull())
+    rows = benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(item_text_col).alias("text"))
     for r in rows.toLocalIterator():
         w = item_words(r["text"])
         if len(w):
@@ -195,41 +197,63 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str, item_col
         yield made()
 
 
-def _merge(parts: list[DataFrame], key: str) -> DataFrame:
-    """Several blocks' hits of the same rows: unions of items, and of ranges by a sweep."""
+def _covered(ranges: Column) -> Column:
+    """Words covered by a flat list of (from, to) pairs, by a sweep."""
+    pairs = F.array_sort(F.transform(F.sequence(F.lit(0), (F.size(ranges) / 2 - 1).cast("int")), lambda i: F.struct(F.get(ranges, (2 * i).cast("int")).alias("a"), F.get(ranges, (2 * i + 1).cast("int")).alias("b"))))
+    zero = F.struct(F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("to"))
+    step = lambda s, p: F.struct((s["n"] + F.greatest(p["b"] - F.greatest(p["a"], s["to"]), F.lit(0))).alias("n"), F.greatest(s["to"], p["b"]).alias("to"))
+    return F.aggregate(pairs, zero, step, lambda s: s["n"])
 
-    def union_length(ranges):
-        pairs = F.array_sort(F.transform(F.filter(F.sequence(F.lit(0), F.greatest(F.size(ranges) - 1, F.lit(0))), lambda i: (i % 2 == 0) & (i + 1 < F.size(ranges))), lambda i: F.struct(F.get(ranges, i).alias("a"), F.get(ranges, i + 1).alias("b"))))
-        zero = F.struct(F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("to"))
-        step = lambda s, p: F.struct((s["n"] + F.greatest(p["b"] - F.greatest(p["a"], s["to"]), F.lit(0))).alias("n"), F.greatest(s["to"], p["b"]).alias("to"))
-        return F.aggregate(pairs, zero, step, lambda s: s["n"])
 
+def _merged(docs: DataFrame, parts: list[DataFrame], text_col: str, keep: list[str]) -> DataFrame:
+    """The hits of several blocks, brought to every row through the digest of its text: what occurs depends on the text alone.
+
+    Only texts with hits are grouped, each block giving a text once.
+    """
     every = parts[0]
     for p in parts[1:]:
         every = every.unionByName(p)
-    grouped = every.groupBy(key).agg(F.first("id").alias("id"), F.first("n_words").alias("n_words"), F.flatten(F.collect_list("hit_ranges")).alias("ranges"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"))
-    return grouped.select("id", "n_words", union_length(F.col("ranges")).alias("n_hit"), "items")
+    grouped = every.groupBy("_digest").agg(F.flatten(F.collect_list("hit_ranges")).alias("_ranges"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
+    hits = small_side(materialise(grouped.select("_digest", _covered(F.col("_ranges")).alias("n_hit"), "items"), "hits"))
+
+    def words_only():
+        return lambda data, offsets: {"n_words": np.diff(Words(data, offsets, ALNUM).bounds).astype(np.int64)}
+
+    rows = with_text_columns(docs.withColumn("_digest", _digest(text_col)), text_col, words_only, {"n_words": T.LongType()}, [c for c in keep if c not in ("n_hit", "items")] + ["_digest"])
+    joined = rows.join(hits, "_digest", "left")
+    none = F.array().cast("array<string>")
+    return joined.select(*[c for c in rows.columns if c != "_digest"], F.coalesce("n_hit", F.lit(0).cast("long")).alias("n_hit"), F.coalesce("items", none).alias("items"))
+
+
+def _digest(text_col: str) -> Column:
+    return F.unhex(F.sha2(F.coalesce(F.col(text_col), F.lit("")), 256))
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, block_windows: int = BLOCK_WINDOWS, keep: list[str] | None = None) -> DataFrame:
-    """``keep`` (default: the id) with ``n_words``, ``n_hit``, ``items`` (sorted) and ``contaminated``: at least a twentieth of the words hit.
+    """One row per input row: ``keep`` (default: the id) with ``n_words``, ``n_hit``, ``items`` (sorted) and ``contaminated``: at least a twentieth of the words hit.
 
-    With more than one block of items only the id is kept and rows of one id count as one document.
+    Rows and columns are the same for any ``block_windows``. A kept column of a new one's name is replaced.
     """
     sc, keep = docs.sparkSession.sparkContext, [id_col] if keep is None else keep
     new = {"n_words": T.LongType(), "n_hit": T.LongType(), "hit_ranges": T.ArrayType(T.LongType()), "items": T.ArrayType(T.StringType())}
-    parts = []
+    held, parts = None, []
+
+    def part() -> DataFrame:
+        hits = with_text_columns(docs.select(text_col, _digest(text_col).alias("_digest")), text_col, _hits(lambda held=held: held.value), new, ["_digest"])
+        return materialise(hits.where(F.size("items") > 0).select("_digest", "hit_ranges", "items").dropDuplicates(["_digest"]), "block-hits")
+
     for index in build_indexes(docs, benchmark, text_col, item_col, item_text_col, window, block_windows):
+        if held is not None:
+            parts.append(part())
         held = sc.broadcast(index)
-        parts.append(with_text_columns(docs, text_col, _hits(lambda held=held: held.value), new, keep))
-    if not parts:
+    if parts:
+        found = _merged(docs, [*parts, part()], text_col, keep)
+    elif held is None:
         empty = WindowIndex([], [], window)
         empty.choose_prefixes(np.zeros(0, np.uint64), np.zeros(0, np.int64))
-        parts = [with_text_columns(docs, text_col, _hits(lambda: empty), new, keep)]
-    if len(parts) == 1:
-        found = parts[0].drop("hit_ranges")
+        found = with_text_columns(docs, text_col, _hits(lambda: empty), new, keep).drop("hit_ranges")
     else:
-        found = _merge([materialise(p.select(F.col(id_col).alias("id"), *new), "hits").withColumn("key", F.col("id")) for p in parts], "key").withColumnRenamed("id", id_col)
+        found = with_text_columns(docs, text_col, _hits(lambda held=held: held.value), new, keep).drop("hit_ranges")
     return found.withColumn("contaminated", (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words")))
 
 
