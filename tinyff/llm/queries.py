@@ -45,7 +45,8 @@ def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _read(spark, sf_dir, "documents")
-    model = language.fit(docs, docs.where(fold_of(F.col("doc_id")) != 0))
+    learn = docs.where(fold_of(F.col("doc_id")) != 0)
+    model = language.fit(learn, learn)
     return _held_out(language.score(docs, model, keep=["doc_id"]), "lang_pred", "score")
 
 
