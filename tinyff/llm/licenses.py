@@ -3,10 +3,11 @@
 Every line of every whole text, every block of two to four successive lines that
 hold words (headers and wrapped notices) and the text as a whole are compared with
 the templates over their vocabulary (words and word pairs); document frequencies
-are those of the corpus. Template terms count once a unit. Terms outside the
-templates count in a unit's norm as often as they occur, each with the mean square
-weight of the unit's own template terms, so that neither the size of the table nor
-a notice that stands in most files changes what is found. A file without a notice of its own inherits from the nearest
+are those of the corpus. A term weighs its count in the unit times its inverse
+document frequency. Terms outside the templates count in a unit's norm as often as
+they occur, each with the mean square weight of an occurrence of the unit's own
+template terms, so that neither the size of the table nor a notice that stands in
+most files changes what is found. A file without a notice of its own inherits from the nearest
 ancestor directory that holds a licence file: the ancestors of each distinct
 directory are joined with the licensed directories, and files join their directory.
 
@@ -55,18 +56,20 @@ def _terms(words: Words) -> tuple[np.ndarray, np.ndarray]:
 
 class Templates:
     def __init__(self, templates: dict[str, tuple[str, ...]] = TEMPLATES):
-        self.names, sets = [], []
+        self.names, found = [], []
         for name in sorted(templates):
             for text in templates[name]:
                 raw = np.frombuffer(text.encode(), np.uint8)
                 self.names.append(name)
-                sets.append(np.unique(_terms(Words(raw, np.array([0, len(raw)]), ALNUM))[0]))
-        self.terms = np.unique(np.concatenate(sets)) if sets else np.zeros(0, np.uint64)
-        self.member = np.stack([np.isin(self.terms, s) for s in sets], 1) if sets else np.zeros((0, 0), bool)
+                found.append(np.unique(_terms(Words(raw, np.array([0, len(raw)]), ALNUM))[0], return_counts=True))
+        self.terms = np.unique(np.concatenate([t for t, _ in found])) if found else np.zeros(0, np.uint64)
+        self.count = np.zeros((len(self.terms), len(found)))
+        for k, (t, n) in enumerate(found):
+            self.count[np.searchsorted(self.terms, t), k] = n
 
     def weigh(self, frequency: np.ndarray, rows: int) -> None:
         self.idf = np.log((1 + rows) / (1 + frequency)) + 1e-3
-        weights = self.member * self.idf[:, None]
+        weights = self.count * self.idf[:, None]
         self.weights = weights / np.maximum(np.sqrt((weights**2).sum(0)), 1e-12)
 
 
@@ -93,14 +96,16 @@ def term_frequency(docs: DataFrame, text_col: str, templates: Templates) -> tupl
 
 def _cosines(unit: np.ndarray, at: np.ndarray, words: np.ndarray, t: Templates) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Units that hold template terms (``at``, any order) with their best template and its cosine; ``words``: a unit's length."""
-    key, first = np.unique(unit * len(t.terms) + at), len(t.terms)
-    owner, at = key // first, key % first
-    names, starts, known = np.unique(owner, return_index=True, return_counts=True)
-    square = np.add.reduceat(t.idf[at] ** 2, starts)
-    # n words in a row make n words and n - 1 pairs.
-    outside = 2 * words[names] - 1 - np.bincount(unit, minlength=len(words))[names]
-    dots = np.add.reduceat((t.idf[:, None] * t.weights)[at], starts, axis=0)
-    cos = dots / np.sqrt(square * (1 + outside / known))[:, None]
+    (key, n), terms = np.unique(unit * len(t.terms) + at, return_counts=True), len(t.terms)
+    owner, at = key // terms, key % terms
+    names, starts = np.unique(owner, return_index=True)
+    own = np.add.reduceat(n, starts)
+    square = np.add.reduceat((n * t.idf[at]) ** 2, starts)
+    mean = np.add.reduceat(n * t.idf[at] ** 2, starts) / own
+    # Of w words in a row there are w words and w - 1 pairs.
+    outside = 2 * words[names] - 1 - own
+    dots = np.add.reduceat((n * t.idf[at])[:, None] * t.weights[at], starts, axis=0)
+    cos = dots / np.sqrt(square + outside * mean)[:, None]
     best = np.round(cos, 12).argmax(1)
     return names, best, cos[np.arange(len(names)), best]
 
