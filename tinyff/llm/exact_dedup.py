@@ -7,9 +7,9 @@ are read. All other digests are grouped by an ordinary shuffle of narrow rows.
 
 Defined cases: a null text counts as empty, so nulls and empty texts form one
 group; equal texts keep the row with the largest id (a null id counts as lowest);
-repeated rows of one id are one document and share its verdict, rows without an id
-only with rows of equal text; further columns
-are ignored; an empty table gives an empty result.
+rows of one id are judged each by its own text, and equal rows share a verdict
+(``deduplicated`` keeps one of them); further columns are ignored; an empty table
+gives an empty result.
 """
 
 from __future__ import annotations
@@ -47,17 +47,17 @@ def misra_gries(counters: int):
     return summarise
 
 
-def group_digests(rows: DataFrame, counters: int = 256) -> DataFrame:
-    """(id, digest) with the group's ``keep_id`` and ``group_size``; ``rows`` must be cheap to read again."""
+def group_digests(rows: DataFrame, counters: int = 256, pick=F.max) -> DataFrame:
+    """``rows`` (id, digest, any others) with the group's ``keep_id`` (the ``pick`` of its ids) and ``group_size``; they must be cheap to read again."""
     summary = rows.select("digest").mapInArrow(misra_gries(counters), "digest binary, count long")
     candidates = summary.groupBy("digest").agg(F.sum("count").alias("count")).orderBy(F.desc("count"), "digest").limit(counters).select("digest")
-    exact = [F.max("id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")]
+    exact = [pick("id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")]
     # At most ``counters`` rows, by the limit above.
     hot = materialise(rows.join(F.broadcast(candidates), "digest").groupBy("digest").agg(*exact).where("group_size > 1"), "hot-digests")
     map_side = rows.join(F.broadcast(hot), "digest")
     rest = rows.join(F.broadcast(hot.select("digest")), "digest", "left_anti")
     shuffled = rest.join(rest.groupBy("digest").agg(*exact), "digest")
-    cols = ["id", "digest", "keep_id", "group_size"]
+    cols = [*rows.columns, "keep_id", "group_size"]
     return map_side.select(*cols).unionByName(shuffled.select(*cols))
 
 
@@ -74,13 +74,19 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     )
 
 
-def dropped_ids(verdict: DataFrame, keep: Column, id_col: str = "doc_id") -> DataFrame:
-    """The distinct ids that a verdict rejects, as a written table with a broadcast hint if it is small."""
-    return small_side(materialise(verdict.where(~keep).select(id_col).distinct(), "dropped"))
-
-
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", counters: int = 256) -> DataFrame:
-    """The rows of ``docs`` that stay, all columns unchanged."""
-    keyed = with_row_key(docs, id_col, text_col, lowest=True)
-    verdict = exact_dedup(keyed, ROW_KEY, text_col, counters=counters)
-    return keyed.join(dropped_ids(verdict, F.col("kept"), ROW_KEY), ROW_KEY, "left_anti").select(*docs.columns)
+    """One row of each text, all columns unchanged: that of the largest id.
+
+    Rows are judged by id and text together, so an id whose rows carry several texts loses only the copies.
+    Of rows that are equal in both, one stays (any, if further columns differ).
+    """
+    digest = F.unhex(F.sha2(F.coalesce(F.col(text_col), F.lit("")), 256))
+    keyed = with_row_key(docs, id_col, text_col, lowest=True).withColumn("_digest", digest)
+    verdict = exact_dedup(keyed, ROW_KEY, text_col, counters=counters).where("group_size > 1").select(F.col(ROW_KEY), F.unhex("text_sha256").alias("_digest"), "kept")
+    verdict = materialise(verdict, "verdict")
+    pair = [ROW_KEY, "_digest"]
+    dropped = materialise(verdict.where("NOT kept").select(*pair).distinct(), "dropped")
+    again = materialise(verdict.where("kept").groupBy(*pair).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(*pair), "again")
+    stay = keyed.join(small_side(dropped), pair, "left_anti")
+    repeated = small_side(again)
+    return stay.join(repeated, pair, "left_anti").select(*docs.columns).unionByName(stay.join(repeated, pair, "left_semi").dropDuplicates(pair).select(*docs.columns))

@@ -1,27 +1,34 @@
 """N-gram Jaccard join as a blocked sparse matrix product.
 
 Documents are rows and distinct word shingles columns of an incidence matrix; the
-product of the matrix with its transpose holds all overlaps. Only blocks of it that
-can matter are formed:
+product of the matrix with its transpose holds all overlaps. Entries of the product
+that cannot reach the similarity are not computed:
 
 * columns are put in one global order, frequent ones last (a task's frequent
   columns are summed over tasks; any consistent order is right, a good one is fast);
 * two documents that reach the similarity share a column among their first
   n - ceil(t n) + 1, and sizes, positions of the first shared column and parity bits
-  bound the overlap, so pairs below these size-derived bounds are never formed;
-* for the pairs left, overlaps are accumulated over all columns in Arrow blocks.
+  bound the overlap: entries below these size-derived bounds are left out;
+* rows are dealt into blocks. A cell is a pair of blocks with the entries wanted
+  there; a row's columns are sent once to each cell that needs them. Inside a cell
+  overlaps are accumulated over slices of columns, and after each slice the entries
+  whose overlap so far and columns to come are below the bound are discarded.
 
 Documents of equal sets are one class. Within a column, documents are first paired
 with two leaders; columns of which the leaders met every pair, and columns whose
 documents are already connected, need no more. In the others, rounds of hubs follow:
 a column's hub is the document with the fewest rarer shingles, thus the nearest to
 what its copies have in common, and further rounds have others. So large groups of
-near copies cost a few pairs per document. Whatever a column still holds unconnected
-is then paired exactly, so no component is ever missed.
+near copies cost a few entries per document. Whatever a column still holds
+unconnected is then paired exactly, in blocks of its rows, so no component is ever
+missed. The result is components; entries inside a component that is already known
+are not all computed, so links are not counted. Joins by column deal the rows of
+frequent columns over ``SALTS`` parts.
 
 Defined cases: null, empty and blank texts have an empty set and link with nothing;
 a text with fewer words than a shingle has its word sequence as one shingle;
-repeated rows are reported each (all rows of one id carry one text); further
+repeated rows are reported each (all rows of one id carry one text); rows without
+an id report their set and, as component, the smallest id of an equal set; further
 columns are ignored; an empty table gives an empty result.
 """
 
@@ -31,17 +38,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..plans.scratch import materialise, small_side, spread
 from .components import components
+from .exact_dedup import group_digests
 from .kernel import BLANK_SPLIT, Lookup, Words, blocks, mix, sequence_hash, shingles
 
 #: Columns found this often inside one task's rows take part in the frequency order.
 LOCAL_LEAST = 2
-#: At most so many frequent columns are ordered by frequency (and broadcast).
+#: At most so many frequent columns, those above one frequency, are ordered by it (and broadcast).
 MOST_FREQUENT = 1 << 20
 #: Rows of a column of at least this frequency are salted over tasks.
 HOT, SALTS = 1000, 64
@@ -51,6 +60,12 @@ PARITY = 16
 ROUNDS = 1
 #: Parity words (about 150 bytes a document) are broadcast for at most so many documents.
 MARKS = 200_000
+#: Shingles of the rows of a block (about; a cell has two blocks), the least number of blocks, and slices of columns in a cell.
+BLOCK_SHINGLES, BLOCKS, SLICES = 1 << 20, 16, 4
+#: Bytes of the dense rows, and gathered columns, that are in memory at once inside a cell.
+DENSE, GATHER = 16 << 20, 1 << 22
+#: Rows of a column that are paired in one block when it is paired exactly.
+COLUMN_ROWS = 1000
 #: Shingles that a task holds while it counts.
 CHUNK = 2_000_000
 #: Sets that a task remembers so as to emit the columns of equal ones once.
@@ -145,12 +160,13 @@ def _postings(text_col: str, id_col: str, k: int, percent: int, order_of):
             s1, s2 = _signatures(tokens, bounds)
             at, known = table.find(tokens)
             rank = np.where(known, counts[at], 0) if len(counts) else np.zeros(len(tokens), np.int64)
-            ids = rows.column(rows.schema.get_field_index(id_col)).to_numpy(zero_copy_only=False)
+            who = rows.column(rows.schema.get_field_index(id_col))
+            there, ids = who.is_valid().to_numpy(zero_copy_only=False), pc.fill_null(who, 0).to_numpy()
             out: list[tuple] = []
             for i in range(len(ids)):
                 a, b = int(bounds[i]), int(bounds[i + 1])
                 key = (int(s1[i]), int(s2[i]))
-                if a == b or key in seen or ids[i] != ids[i]:
+                if a == b or key in seen or not there[i]:
                     continue
                 seen.add(key)
                 n = b - a
@@ -193,30 +209,103 @@ def _near_pairs(pairs: DataFrame, profile: DataFrame, percent: int) -> DataFrame
     return pairs.join(x, "a").join(y, "b").where(_near("x", "y", percent)).select("a", "b")
 
 
-def _links(pairs: DataFrame, docs: DataFrame, id_col: str, text_col: str, k: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose overlap, accumulated over all columns, reaches the similarity."""
-    involved = small_side(materialise(pairs.select(F.col("a").alias("id")).unionByName(pairs.select(F.col("b").alias("id"))).distinct(), "involved"))
-    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(involved, "id", "left_semi")
+def cell_product(ids: np.ndarray, sets: list[np.ndarray], a: np.ndarray, b: np.ndarray, percent: int) -> np.ndarray:
+    """Which of the entries (a, b), given as ids, reach the similarity. ``sets``: the sorted columns of each row."""
+    ids, first = np.unique(ids, return_index=True)
+    size = np.array([len(sets[i]) for i in first], np.int64)
+    column, at, rows_of = np.unique(np.concatenate([sets[i] for i in first]), return_inverse=True, return_counts=True)
+    row = np.repeat(np.arange(len(ids)), size)
+    common = rows_of > 1  # a column of one row adds to no overlap
+    number, inside = np.cumsum(common) - 1, common[at]
+    row, col, columns = row[inside], number[at[inside]], int(common.sum())
+    cuts = np.linspace(0, columns, SLICES + 1).astype(np.int64)
+    start = np.searchsorted(row * columns + col, np.arange(len(ids)) * columns + cuts[:, None])  # (slice, row)
+    x, y = np.searchsorted(ids, a), np.searchsorted(ids, b)
+    degree = np.bincount(np.concatenate([x, y]), minlength=len(ids))
+    x, y = np.where(degree[x] >= degree[y], x, y), np.where(degree[x] >= degree[y], y, x)
+    need = -(-percent * (size[x] + size[y]) // (100 + percent))
+    overlap, live = np.zeros(len(x), np.int64), np.argsort(x, kind="stable")
+    for s in range(SLICES):
+        to_come = start[-1] - start[s]
+        live = live[overlap[live] + np.minimum(to_come[x[live]], to_come[y[live]]) >= need[live]]
+        width = int(cuts[s + 1] - cuts[s])
+        if not len(live) or not width:
+            continue
+        dense_rows, place = np.unique(x[live], return_inverse=True)
+        step = max(1, DENSE // width)
+        for r in range(0, len(dense_rows), step):
+            mine = dense_rows[r : r + step]
+            dense = np.zeros((len(mine), width), bool)
+            n = start[s + 1][mine] - start[s][mine]
+            entry = np.repeat(start[s][mine] - np.cumsum(n) + n, n) + np.arange(n.sum())
+            dense[np.repeat(np.arange(len(mine)), n), col[entry] - cuts[s]] = True
+            lo, hi = np.searchsorted(place, [r, r + step])
+            length = start[s + 1][y[live[lo:hi]]] - start[s][y[live[lo:hi]]]
+            parts = np.unique(np.append(np.searchsorted(np.cumsum(length), np.arange(0, length.sum() + GATHER, GATHER)), hi - lo))
+            for p, q in zip(parts[:-1], parts[1:], strict=True):
+                which, n = live[lo + p : lo + q], length[p:q]
+                end = np.cumsum(n)
+                entry = np.repeat(start[s][y[which]] - end + n, n) + np.arange(n.sum())
+                hits = np.append(0, np.cumsum(dense[np.repeat(place[lo + p : lo + q] - r, n), col[entry] - cuts[s]]))
+                overlap[which] += hits[end] - hits[end - n]
+    return overlap >= need
+
+
+def _links(pairs: DataFrame, docs: DataFrame, id_col: str, text_col: str, k: int, percent: int, mean: float) -> DataFrame:
+    """The entries (a, b) whose overlap reaches the similarity: the product, cell by cell. ``mean``: shingles of a document."""
+    wanted_ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct().count()
+    count = max(BLOCKS, int(wanted_ids * mean // BLOCK_SHINGLES))
+    block = lambda c: F.pmod(F.xxhash64(c, F.lit(5)), F.lit(count))
+    cell = F.least(block("a"), block("b")) * count + F.greatest(block("a"), block("b"))
+    dealt = pairs.select(cell.alias("cell"), "a", "b")
+    wanted = dealt.select(F.explode(F.array("a", "b")).alias("id"), "cell").groupBy("id").agg(F.collect_set("cell").alias("cells"))
+    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(small_side(materialise(wanted, "wanted")), "id")
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sent: set = set()  # repeated rows of an id go once from a task
         for rows, data, offsets in blocks(batches):
-            tokens, bounds = text_sets(data, offsets, k)
-            yield pa.record_batch({"id": rows.column(0), "tokens": pa.array([tokens[a:b].tobytes() for a, b in zip(bounds, bounds[1:], strict=False)], pa.binary())})
+            ids = rows.column(0).to_pylist()
+            fresh = [i for i, x in enumerate(ids) if x not in sent and not sent.add(x)]
+            if fresh:
+                tokens, bounds = text_sets(data, offsets, k)
+                yield pa.record_batch({"id": rows.column(0).take(fresh), "cells": rows.column(2).take(fresh), "tokens": pa.array([tokens[bounds[i] : bounds[i + 1]].tobytes() for i in fresh], pa.binary())})
+
+    sets = texts.mapInArrow(pack, "id long, cells array<long>, tokens binary").select(F.explode("cells").alias("cell"), "id", "tokens")
+
+    def product(entries: pa.Table, rows: pa.Table) -> pa.Table:
+        if not entries.num_rows:
+            return entries.select(["a", "b"])
+        sets = [np.frombuffer(t.as_buffer(), np.uint64) for t in rows.column("tokens")]
+        found = cell_product(rows.column("id").to_numpy(), sets, entries.column("a").to_numpy(), entries.column("b").to_numpy(), percent)
+        return entries.select(["a", "b"]).filter(pa.array(found))
 
-    sets = materialise(texts.mapInArrow(pack, "id long, tokens binary"), "sets").dropDuplicates(["id"])
+    made = dealt.groupBy("cell").cogroup(sets.groupBy("cell")).applyInArrow(product, "a long, b long")
+    return materialise(made, "jaccard-links")
 
-    def overlap(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = []
-            for x, y in zip(batch.column(2), batch.column(3), strict=True):
-                u, v = (np.frombuffer(s.as_buffer(), np.uint64) for s in (x, y))
-                both = len(np.intersect1d(u, v, assume_unique=True))
-                keep.append(100 * both >= percent * (len(u) + len(v) - both))
-            yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
-    left, right = sets.withColumnsRenamed({"id": "a", "tokens": "ta"}), sets.withColumnsRenamed({"id": "b", "tokens": "tb"})
-    carried = spread(pairs.join(left, "a").select("a", "b", "ta"), "b")  # an explicit number of parts, which keeps the Arrow batches of sets small
-    return materialise(carried.join(right, "b").select("a", "b", "ta", "tb").mapInArrow(overlap, "a long, b long"), "jaccard-links")
+def _split(columns: DataFrame) -> DataFrame:
+    """A row of a column for each part over which the column's rows are dealt (``salt``: 0, or 1 to SALTS for a ``hot`` one)."""
+    return columns.withColumn("salt", F.explode(F.when(F.col("hot"), F.sequence(F.lit(1), F.lit(SALTS))).otherwise(F.array(F.lit(0))))).drop("hot")
+
+
+def frequent_columns(counts: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Tokens and counts above one frequency, chosen so that they are at most MOST_FREQUENT; sorted by token.
+
+    The frequency comes from a histogram (eight bars for each doubling).
+    """
+    bar = F.floor(8 * F.log2("n"))
+    held, least = 0, None
+    for r in sorted(counts.groupBy(bar.alias("bar")).agg(F.count(F.lit(1)).alias("columns")).collect(), reverse=True):
+        held += r["columns"]
+        if held > MOST_FREQUENT:
+            break
+        least = r["bar"]
+    if least is None:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    got = counts.where(bar >= least).toArrow()
+    token, n = got.column("token").to_numpy().view(np.uint64), got.column("n").to_numpy()
+    place = np.argsort(token)
+    return token[place], n[place]
 
 
 def _pairs(joined: DataFrame) -> DataFrame:
@@ -230,13 +319,12 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     schema = T.StructType([T.StructField("column", T.BooleanType()), *(T.StructField(c, T.LongType()) for c in ("id", "n", "s1", "s2", *_BITS))])
     rows = materialise(base.mapInArrow(_profile("text", "id", k), schema), "profile")
     profile = rows.where("NOT column").drop("column")
-    frequent = rows.where("column").groupBy(F.col("s1").alias("token")).agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "token").limit(MOST_FREQUENT).toArrow()
-    token, n = frequent.column("token").to_numpy().view(np.uint64), frequent.column("n").to_numpy()
-    place = np.argsort(token)
-    order = sc.broadcast((token[place], n[place]))
+    order = sc.broadcast(frequent_columns(materialise(rows.where("column").groupBy(F.col("s1").alias("token")).agg(F.sum("n").alias("n")), "frequent")))
+    mean = profile.agg(F.coalesce(F.avg("n"), F.lit(0.0))).first()[0]
 
-    classes = profile.where("n > 0").groupBy("s1", "s2").agg(F.min("id").alias("rep"))
-    members = materialise(profile.join(classes, ["s1", "s2"], "left").select("id", "n", F.when(F.col("n") > 0, F.col("rep")).alias("rep")), "classes")
+    # Equal sets are one class; classes of very many documents are decided where they are read.
+    signed = materialise(profile.select("id", "n", F.unhex(F.concat(*[F.lpad(F.hex(c), 16, "0") for c in ("s1", "s2")])).alias("digest")), "signed")
+    members = materialise(group_digests(signed, pick=F.min).select("id", "n", F.when(F.col("n") > 0, F.col("keep_id")).alias("rep")), "classes")
 
     # One shuffle of the necessary columns; hot ones are salted, so a key's group stays small. Leaders are chosen in the same pass.
     postings = spread(base.mapInArrow(_postings("text", "id", k, percent, lambda: order.value), "key long, id long, packed long"), "key")
@@ -257,41 +345,52 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     near = with_leaders.where((F.col("x.id") != F.col("y.id")) & _possible("x", "y", percent)).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
     near = reps(reps(materialise(near, "near"), "a"), "b").where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     tried = materialise(_near_pairs(materialise(near, "near-reps"), profile, percent), "leader-pairs")
-    found = small_side(materialise(components(_links(tried, base, "id", "text", k, percent)), "components"))
+    found = small_side(materialise(components(_links(tried, base, "id", "text", k, percent, mean)), "components"))
 
     # A column is open if its documents are not all in one component yet.
     component = lambda df, c, out: df.join(found.withColumnsRenamed({"id": c, "component": out}), c, "left").withColumn(out, F.coalesce(out, c))
-    odd_of = lambda rows: rows.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token")
-    labelled = component(component(reps(reps(columns.where("open").select("token", "id", "packed", "id1"), "id"), "id1"), "id", "c"), "id1", "c1")
-    hot = F.shiftright("packed", 56) > 0
-    odd = labelled.where((F.col("c") != F.col("c1")) & ~hot).select("token").unionByName(odd_of(labelled.where(hot)))
-    open_tokens = small_side(materialise(odd.distinct(), "open"))
-    open_rows = reps(columns.where("open").select("token", "id", "packed").join(open_tokens, "token", "left_semi"), "id")
-    open_rows = materialise(open_rows.select("token", "id", field("packed", 28).alias("n"), field("packed", 0).alias("pos")).distinct(), "open-rows")
-
-    # Rounds of hubs. They are aggregated before the exchange and joined back, so a hot column is no one task's work.
+    odd_of = lambda rows: rows.groupBy("token", "hot").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token", "hot")
+    salt = F.shiftright("packed", 56).cast("int")
+    asked = columns.where("open").withColumn("salt", salt).withColumn("hot", F.col("salt") > 0)
+    labelled = component(component(reps(reps(asked.select("token", "hot", "id", "id1"), "id"), "id1"), "id", "c"), "id1", "c1")
+    odd = labelled.where((F.col("c") != F.col("c1")) & ~F.col("hot")).select("token", "hot").unionByName(odd_of(labelled.where("hot")))
+    open_columns = small_side(materialise(_split(odd.distinct()), "open"))
+    open_rows = reps(asked.join(open_columns, ["token", "salt"], "left_semi").select("token", "hot", "id", field("packed", 28).alias("n"), field("packed", 0).alias("pos")), "id")
+    part = F.when(F.col("hot"), 1 + F.pmod(F.col("id"), F.lit(SALTS))).otherwise(0).cast("int")
+    open_rows = materialise(open_rows.distinct().withColumn("salt", part), "open-rows")
+
+    # Rounds of hubs. They are aggregated before the exchange and sent to every part of a column, so a hot column is no one task's work.
     me = F.struct("id", "n", "pos", "c")
     used = open_rows.select("token", "id").limit(0)
     for _ in range(ROUNDS):
         own = component(open_rows, "id", "c")
-        hubs = materialise(own.join(used, ["token", "id"], "left_anti").groupBy("token").agg(F.min_by(me, F.struct(F.col("pos") / F.col("n"), "id")).alias("y")), "hubs")
+        hubs = own.join(used, ["token", "id"], "left_anti").groupBy("token", "hot").agg(F.min_by(me, F.struct(F.col("pos") / F.col("n"), "id")).alias("y"))
+        hubs = materialise(hubs, "hubs")
         used = used.unionByName(hubs.select("token", "y.id"))
-        met = own.select("token", me.alias("x")).join(hubs, "token").where((F.col("x.c") != F.col("y.c")) & _possible("x", "y", percent)).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
+        met = own.select("token", "salt", me.alias("x")).join(small_side(materialise(_split(hubs), "hub-parts")), ["token", "salt"]).where((F.col("x.c") != F.col("y.c")) & _possible("x", "y", percent)).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
         fresh = materialise(_near_pairs(materialise(met.join(tried, ["a", "b"], "left_anti"), "near"), profile, percent), "round-pairs")
         stars = found.where("id <> component").select(F.col("id").alias("a"), F.col("component").alias("b"))
-        found = small_side(materialise(components(stars.unionByName(_links(fresh, base, "id", "text", k, percent))), "components"))
+        found = small_side(materialise(components(stars.unionByName(_links(fresh, base, "id", "text", k, percent, mean))), "components"))
         tried = tried.unionByName(fresh)
 
+    # The rest of the open columns, exactly: blocks of the documents outside a column's largest component against blocks of all.
     listed = materialise(component(open_rows, "id", "c"), "open-labels")
-    listed = listed.join(small_side(materialise(odd_of(listed), "open")), "token", "left_semi")
-    sizes = listed.groupBy("token", "c").agg(F.count(F.lit(1)).alias("m"))
-    main = sizes.groupBy("token").agg(F.max_by("c", F.struct("m", "c")).alias("main"))
-    parity = profile.select("id", *_BITS).dropDuplicates(["id"])
-    open_lists = materialise(listed.join(main, "token").join(parity, "id").select("token", "id", "n", "pos", "c", "main", *_BITS), "open-columns")
-    minor = open_lists.where("c <> main")
-    cross = (F.col("x.token") == F.col("y.token")) & (F.col("x.c") != F.col("y.c")) & ((F.col("y.c") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))) & _possible("x", "y", percent) & _near("x", "y", percent)
-    second = _pairs(minor.alias("x").join(open_lists.alias("y"), cross)).join(tried, ["a", "b"], "left_anti")
-    more = _links(materialise(second, "cross-pairs"), base, "id", "text", k, percent)
+    listed = listed.join(small_side(materialise(_split(odd_of(listed)), "open")), ["token", "salt"], "left_semi")
+    sizes = listed.groupBy("token", "hot", "c").agg(F.count(F.lit(1)).alias("m"))
+    parts = lambda rows: F.greatest(F.ceil(rows / COLUMN_ROWS), F.lit(1)).cast("int")
+    main = sizes.groupBy("token", "hot").agg(F.max_by("c", F.struct("m", "c")).alias("main"), parts(F.sum("m") - F.max("m")).alias("minor_parts"), parts(F.sum("m")).alias("all_parts"))
+    ids = small_side(materialise(listed.select("id").distinct(), "listed"))
+    parity = materialise(profile.join(ids, "id", "left_semi").select("id", *_BITS).dropDuplicates(["id"]), "parity")
+    placed = listed.join(small_side(materialise(_split(main), "main")), ["token", "salt"]).join(small_side(parity, MARKS), "id")
+    open_lists = materialise(placed.select("token", "id", "n", "pos", "c", "main", "minor_parts", "all_parts", *_BITS), "open-columns")
+    place = lambda seed, n: F.pmod(F.xxhash64("id", F.lit(seed)), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    minor = open_lists.where("c <> main").withColumn("u", place(1, "minor_parts")).withColumn("v", every("all_parts"))
+    whole = open_lists.withColumn("v", place(2, "all_parts")).withColumn("u", every("minor_parts"))
+    same = (F.col("x.token") == F.col("y.token")) & (F.col("x.u") == F.col("y.u")) & (F.col("x.v") == F.col("y.v"))
+    cross = same & (F.col("x.c") != F.col("y.c")) & ((F.col("y.c") == F.col("y.main")) | (F.col("x.id") < F.col("y.id"))) & _possible("x", "y", percent) & _near("x", "y", percent)
+    second = _pairs(minor.alias("x").join(whole.alias("y"), cross)).join(tried, ["a", "b"], "left_anti")
+    more = _links(materialise(second, "cross-pairs"), base, "id", "text", k, percent, mean)
     stars = found.where("id <> component").select(F.col("id").alias("a"), F.col("component").alias("b"))
     final = small_side(materialise(components(stars.unionByName(more)), "components"))
     out = members.join(final.withColumnRenamed("id", "rep"), "rep", "left")

@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..plans.scratch import hash60
+from ..plans.scratch import hash60, materialise, small_side
 from .kernel import blocks
 
 #: Blocks of text whose results are sent back together.
@@ -60,14 +60,21 @@ def fold_of(key: Column, folds: int = 5) -> Column:
 ROW_KEY = "_row_key"
 
 
-def with_row_key(df: DataFrame, id_col: str, text_col: str, lowest: bool) -> DataFrame:
+def with_row_key(df: DataFrame, id_col: str, text_col: str, lowest: bool, distinct_texts: bool = False) -> DataFrame:
     """Adds ROW_KEY: the id, or where it is null a number made of 60 bits of the text's md5, below or above the usual ids.
 
     So rows without an id are documents by their texts (null counts as empty), and can be joined to their verdicts.
+    With ``distinct_texts`` the same holds for rows of an id under which several texts stand, so a key has one text.
     """
     made = (F.lit(1 << 62) + hash60(F.col(text_col))) * F.lit(-1 if lowest else 1)
     text_id = isinstance(df.schema[id_col].dataType, T.StringType)
-    return df.withColumn(ROW_KEY, F.coalesce(F.col(id_col), made.cast("string") if text_id else made))
+    made = made.cast("string") if text_id else made
+    if not distinct_texts:
+        return df.withColumn(ROW_KEY, F.coalesce(F.col(id_col), made))
+    marks = df.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("_id"), hash60(F.col(text_col)).alias("_h"))
+    torn = small_side(materialise(marks.groupBy("_id").agg(F.min("_h").alias("a"), F.max("_h").alias("b")).where("a <> b").select("_id"), "torn-ids"))
+    joined = df.join(torn, F.col(id_col) == F.col("_id"), "left")
+    return joined.withColumn(ROW_KEY, F.when(F.col("_id").isNull(), F.col(id_col)).otherwise(F.lit(None))).withColumn(ROW_KEY, F.coalesce(ROW_KEY, made)).drop("_id")
 
 
 def label_sample(labels: DataFrame, id_col: str, label_col: str, per_class: int) -> tuple[DataFrame, dict]:
