@@ -170,14 +170,39 @@ def test_warc_round_trip(spark):
 def test_normaliser_splits_one_stream_into_members():
     raw = [warc.record(i, f"http://h/{i}", (f"page {i} " * (i * 50)).encode(), "d", None) for i in range(20)]
     whole = gzip.compress(b"".join(raw))
-    made = list(warc.normalise_archive(whole, most=20_000))
+    made = list(warc.normalise_archive(whole, "a" * 32, most=20_000))
     assert len(made) > 1
-    back = [r for body, lines in made for r in (gzip.decompress(body[int(a) : int(a) + int(n)]) for a, n, *_ in map(str.split, lines))]
-    assert back == raw and list(warc.records_of(b"".join(b for b, _ in made) + b"\0")) == raw
+    back = [r for _, body, lines in made for r in (warc.read_member(body, int(a), int(n)) for _, a, n, *_ in map(str.split, lines))]
+    assert back == raw and list(warc.records_of(b"".join(b for _, b, _ in made) + b"\0")) == raw
+    assert all(gzip.decompress(body) == b"".join(r for r in raw if r in gzip.decompress(body)) for _, body, _ in made)
+    assert all(body[warc.NAME_AT - 1 :][: warc.NAME_CHARS].decode() == name for name, body, _ in made)
     with pytest.raises(ValueError):
         list(warc.records_of(gzip.compress(raw[1][:-10])))
 
 
+def test_a_damaged_index_is_an_error(spark, tmp_path):
+    rows = [(i, f"u{i}", f"page {i} " * 40) for i in range(30)]
+    warc.write_monolithic(spark.createDataFrame(rows, "page_id long, url string, html string").coalesce(1), str(tmp_path / "m"))
+    warc.normalise(spark, str(tmp_path / "m"), str(tmp_path / "r"), most=2_000)
+    index = warc.read_index(spark, str(tmp_path / "r"))
+    assert warc.read_records(spark, str(tmp_path / "r")).count() == 30
+    some = warc.read_records(spark, str(tmp_path / "r"), F.col("record_id") == "urn:page:7").collect()
+    assert [(r["page_id"], r["payload_bytes"]) for r in some] == [(7, len(rows[7][2]))]
+    lines = {p: p.read_bytes() for p in (tmp_path / "r" / "kind=index").glob("part-*")}
+    for crc in (tmp_path / "r" / "kind=index").glob(".*.crc"):
+        crc.unlink()
+    assert len(lines) > 2 and index.count() == 30
+    path, text = next((p, t) for p, t in sorted(lines.items()) if t.count(b"\n") > 1)
+    first, second, *rest = text.split(b"\n")
+    wrong_type = second.replace(b" response ", b" revisit ")
+    for bad in ([first, *rest], [first, second, *rest][:-1], [first, wrong_type, *rest], []):
+        path.write_bytes(b"\n".join(bad))
+        with pytest.raises(Exception, match="archive|gzip"):
+            warc.read_records(spark, str(tmp_path / "r")).collect()
+        path.write_bytes(text)
+    assert warc.read_records(spark, str(tmp_path / "r")).count() == 30
+
+
 def test_licenses(spark):
     rows = [(0, "/a/LICENSE", "Released under the MIT License."), (1, "/a/b/x.txt", "plain words here"), (2, "/a/b/COPYING", "This work is licensed under the GNU General Public License, version 3."), (3, "/a/b/c/y.txt", None), (4, "/z.txt", ""), (5, "/a/w.txt", "text\nLicensed under the Apache License, Version 2.0.\nmore"), (6, None, "nothing")]
     found = licenses.detect(spark.createDataFrame(rows + [(i, f"/q/{i}", f"some other text {i}") for i in range(10, 60)], "doc_id long, path string, text string"), keep=["doc_id", "path"])
@@ -261,3 +286,23 @@ def test_language(spark):
     assert all(got[1000 + i]["lang_pred"] == "und" and got[1000 + i]["score"] == 0 for i in (0, 1, 2, len(EDGES)))
     assert all(0 <= r["score"] <= 1 for r in got.values())
     assert {r["lang_pred"] for r in language.score(docs, language.fit(docs, docs.limit(0))).collect()} == {"und"}
+
+
+def test_cell_product():
+    """Overlaps of wanted entries against sets, with rows given twice and slices of every width."""
+    rng = np.random.default_rng(4)
+    for case in range(30):
+        sets = [np.unique(rng.integers(0, 60, rng.integers(1, 80)).astype(np.uint64)) for _ in range(25)]
+        ids = rng.permutation(1000)[:25].astype(np.int64)
+        x, y = rng.integers(0, 25, (2, 120))
+        x, y = x[x != y], y[x != y]
+        got = jaccard.cell_product(np.append(ids, ids[:3]), sets + sets[:3], ids[x], ids[y], 50 + case)
+        want = [100 * (n := len(np.intersect1d(sets[i], sets[j]))) >= (50 + case) * (len(sets[i]) + len(sets[j]) - n) for i, j in zip(x, y, strict=True)]
+        assert got.tolist() == want
+
+
+def test_jaccard_keeps_large_ids_beside_null_ones(spark):
+    big = 2**53 + 1
+    rows = [(big, "a b c d e f g h"), (None, "something else entirely here now"), (big + 1, "a b c d e f g h"), (big + 2, " ".join(f"w{i}" for i in range(40))), (big + 3, " ".join(f"w{i}" for i in range(39)))]
+    got = jaccard.similarity_classes(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)).collect()
+    assert {(r["doc_id"], r["component_id"]) for r in got} == {(big, big), (None, None), (big + 1, big), (big + 2, big + 2), (big + 3, big + 2)}

@@ -3,7 +3,10 @@
 A monolithic archive is one gzip stream over all records, which cannot be entered
 in the middle. The normaliser inflates such a stream once, front to back, with a
 bounded buffer; every record becomes a gzip member of its own, and a sidecar file
-lists each member's offset and length. Archives and sidecars are real files
+lists each member's archive, offset and length. An archive's name stands in the
+gzip header of its first member, so that files may have any path. Readers enter
+archives at the offsets of the sidecar, inflate just the listed members and raise
+an error where archive and sidecar differ. Archives and sidecars are real files
 written through Spark's writers (one value a file; the writer ends a file with a
 zero byte, which gzip readers take as padding), so any file system that Spark
 reaches will do.
@@ -20,18 +23,22 @@ id); line breaks in a URL are dropped; an empty table gives an empty result.
 from __future__ import annotations
 
 import hashlib
+import struct
 import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.scratch import materialise, scratch_path, small_side
+from .exact_dedup import group_digests
 
 #: Inflated bytes after which an archive is closed.
-ARCHIVE_BYTES = 24 << 20
+ARCHIVE_BYTES = 64 << 20
 LEAST_PAYLOAD = 100
+#: Characters of an archive's name, and where they stand in the header of a member that has a name (from 1).
+NAME_CHARS, NAME_AT = 38, 11
 _DATE = "2024-01-01T00:00:00Z"
 _END = b"\r\n\r\n"
 _RESULT = "archive string, offset long, page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long"
@@ -83,37 +90,37 @@ def records_of(content: bytes, step: int = 1 << 18) -> Iterator[bytes]:
         at = min(at + step, len(content)) - len(inflate.unused_data)
 
 
-def members_of(content: bytes) -> Iterator[tuple[int, bytes]]:
-    """(offset, inflated bytes) of every gzip member."""
-    at = 0
-    while at < len(content):
-        if content[at] == 0:
-            at += 1
-            continue
-        inflate, start, parts = zlib.decompressobj(31), at, []
-        while not inflate.eof and at < len(content):
-            parts.append(inflate.decompress(content[at : at + 4096]))
-            at = min(at + 4096, len(content)) - len(inflate.unused_data)
-        if not inflate.eof:
-            raise ValueError("the last member of the archive is cut off")
-        yield start, b"".join(parts)
-
-
-def normalise_archive(content: bytes, most: int = ARCHIVE_BYTES, level: int = 1) -> Iterator[tuple[bytes, list[str]]]:
-    """Archives of about ``most`` inflated bytes with a member per record, and their index lines: offset, length, type, id."""
-    out, lines, size = bytearray(), [], 0
+def member(raw: bytes, level: int = 1, name: str | None = None) -> bytes:
+    """One gzip member; ``name`` goes into the file-name field of its header."""
+    pack = zlib.compressobj(level, zlib.DEFLATED, -15)
+    head = struct.pack("<4BIBB", 0x1F, 0x8B, 8, 8 if name else 0, 0, 0, 255) + (name.encode() + b"\0" if name else b"")
+    return head + pack.compress(raw) + pack.flush() + struct.pack("<II", zlib.crc32(raw), len(raw) & 0xFFFFFFFF)
+
+
+def normalise_archive(content: bytes, stem: str, most: int = ARCHIVE_BYTES, level: int = 1) -> Iterator[tuple[str, bytes, list[str]]]:
+    """Archives of about ``most`` inflated bytes with a member per record, and their index lines: archive, offset, length, type, id."""
+    part, out, lines, size = 0, bytearray(), [], 0
     for raw in records_of(content):
+        name = f"{stem}-{part:05d}"
         head = headers(raw[: raw.index(_END)])
-        pack = zlib.compressobj(level, zlib.DEFLATED, 31)
-        member = pack.compress(raw) + pack.flush()
-        lines.append(f"{len(out)} {len(member)} {head['warc-type']} {head['warc-record-id'].strip('<>')}")
-        out += member
+        made = member(raw, level, None if lines else name)
+        lines.append(f"{name} {len(out)} {len(made)} {head['warc-type']} {head['warc-record-id'].strip('<>')}")
+        out += made
         size += len(raw)
         if size >= most:
-            yield bytes(out), lines
-            out, lines, size = bytearray(), [], 0
+            yield name, bytes(out), lines
+            part, out, lines, size = part + 1, bytearray(), [], 0
     if lines:
-        yield bytes(out), lines
+        yield name, bytes(out), lines
+
+
+def read_member(content: bytes, offset: int, length: int) -> bytes:
+    """The record of exactly one gzip member at ``offset``."""
+    inflate = zlib.decompressobj(31)
+    raw = inflate.decompress(content[offset : offset + length])
+    if not inflate.eof or inflate.unused_data:
+        raise ValueError(f"no gzip member of {length} bytes stands at {offset}")
+    return raw
 
 
 def parse(raw: bytes) -> tuple[int | None, int, str, str, int | None]:
@@ -130,11 +137,11 @@ def parse(raw: bytes) -> tuple[int | None, int, str, str, int | None]:
 
 
 def revisits(pages: DataFrame, id_col: str, payload_col: str, least: int = LEAST_PAYLOAD) -> DataFrame:
-    """(id, digest, refers_to) of every record whose payload an earlier id has."""
-    digest = F.sha2(F.coalesce(F.col(payload_col), F.lit("")), 256)
+    """(id, digest, refers_to) of every record whose payload an earlier id has; frequent payloads are decided without a shuffle."""
+    digest = F.unhex(F.sha2(F.coalesce(F.col(payload_col), F.lit("")), 256))
     base = materialise(pages.where(F.octet_length(payload_col) >= least).select(F.col(id_col).alias("id"), digest.alias("digest")), "payloads")
-    first = base.groupBy("digest").agg(F.min("id").alias("refers_to"), F.count(F.lit(1)).alias("n")).where("n > 1 AND refers_to IS NOT NULL")
-    return materialise(base.join(first, "digest").where(~F.col("id").eqNullSafe(F.col("refers_to"))).select("id", "digest", "refers_to").distinct(), "revisits")
+    found = group_digests(base, pick=F.min).where("group_size > 1 AND keep_id IS NOT NULL AND NOT (id <=> keep_id)")
+    return materialise(found.select("id", F.lower(F.hex("digest")).alias("digest"), F.col("keep_id").alias("refers_to")).distinct(), "revisits")
 
 
 def write_monolithic(pages: DataFrame, path: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", most: int = ARCHIVE_BYTES, least: int = LEAST_PAYLOAD, level: int = 1) -> None:
@@ -162,44 +169,67 @@ def write_monolithic(pages: DataFrame, path: str, id_col: str = "page_id", url_c
 
 
 def normalise(spark: SparkSession, source: str, target: str, most: int = ARCHIVE_BYTES, level: int = 1) -> None:
-    """Normalises every archive file of the folder ``source`` into ``target``: ``kind=warc`` and ``kind=index``, one folder an archive."""
+    """Normalises every archive file of the folder ``source`` into ``target``: ``kind=warc`` and ``kind=index``, a file each for an archive."""
     files = spark.read.format("binaryFile").load(source).select("path", "content")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for path, content in zip(*batch.columns, strict=True):
                 stem = hashlib.md5(path.as_py().rpartition("/")[2].encode()).hexdigest()
-                for part, (body, lines) in enumerate(normalise_archive(content.as_py(), most, level)):
-                    name = f"{stem}-{part:05d}"
+                for _, body, lines in normalise_archive(content.as_py(), stem, most, level):
                     for kind, value in (("warc", body), ("index", "\n".join(lines).encode())):
-                        yield pa.record_batch({"kind": [kind], "archive": [name], "value": pa.array([value], pa.binary())})
+                        yield pa.record_batch({"kind": [kind], "value": pa.array([value], pa.binary())})
 
-    done = files.mapInArrow(run, "kind string, archive string, value binary")
-    done.select("kind", "archive", F.col("value").cast("string").alias("value")).write.partitionBy("kind", "archive").option("lineSep", "\0").text(target)
+    done = files.mapInArrow(run, "kind string, value binary").select("kind", F.col("value").cast("string").alias("value"))
+    done.write.partitionBy("kind").option("maxRecordsPerFile", 1).option("lineSep", "\0").text(target)
 
 
 def read_index(spark: SparkSession, target: str) -> DataFrame:
     """(archive, offset, length, record_type, record_id) from the sidecars."""
-    lines = spark.read.schema("value string, kind string, archive string").text(target).where("kind = 'index'").select("archive", F.split(F.regexp_replace("value", "\0", ""), " ").alias("v")).where("size(v) = 4")
-    return lines.select("archive", F.col("v")[0].cast("long").alias("offset"), F.col("v")[1].cast("long").alias("length"), F.col("v")[2].alias("record_type"), F.col("v")[3].alias("record_id"))
-
-
-def read_records(spark: SparkSession, target: str) -> DataFrame:
-    """Every record of the normalised archives, inflated member by member and checked against the sidecar index."""
+    lines = spark.read.schema("value string").text(f"{target}/kind=index").select(F.split(F.regexp_replace("value", "\0", ""), " ").alias("v")).where("size(v) = 5")
+    return lines.select(F.col("v")[0].alias("archive"), F.col("v")[1].cast("long").alias("offset"), F.col("v")[2].cast("long").alias("length"), F.col("v")[3].alias("record_type"), F.col("v")[4].alias("record_id"))
+
+
+def _read_archive(name: str, content: bytes | None, entries: list[dict] | None, whole: bool) -> list[tuple]:
+    """The listed members of one archive, parsed; errors name what differs. ``whole``: the list must cover the archive."""
+    if content is None or entries is None:
+        raise ValueError(f"archive {name} has no {'file' if content is None else 'index'}")
+    found, stop = [], 0
+    for e in entries:
+        if whole and e["offset"] != stop:
+            raise ValueError(f"the index of archive {name} leaves out or repeats bytes from {min(stop, e['offset'])}")
+        raw = read_member(content, e["offset"], e["length"])
+        row, head = parse(raw), headers(raw[: raw.index(_END)])
+        if (head["warc-type"], head["warc-record-id"].strip("<>")) != (e["record_type"], e["record_id"]):
+            raise ValueError(f"archive {name} has another record at {e['offset']} than its index")
+        found.append((e["offset"], *row))
+        stop = e["offset"] + e["length"]
+    if whole and content[stop:].strip(b"\0"):
+        raise ValueError(f"the index of archive {name} ends at {stop}, before its last record")
+    return found
+
+
+def read_records(spark: SparkSession, target: str, only: Column | None = None) -> DataFrame:
+    """The records of the normalised archives, entered at the offsets of the sidecar index; ``only``: a condition on index rows.
+
+    Without a condition, index and archives must cover each other: whatever one lacks is an error.
+    """
     folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{target}/kind=warc")
     if not folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder):
         return spark.createDataFrame([], _RESULT)  # no record was written
-    files = spark.read.format("binaryFile").load(f"{target}/kind=warc").select(F.regexp_extract("path", "archive=([^/]+)/", 1).alias("archive"), "content")
+    files = spark.read.format("binaryFile").load(f"{target}/kind=warc").select(F.substring("content", NAME_AT, NAME_CHARS).cast("string").alias("archive"), "content")
+    index = read_index(spark, target) if only is None else read_index(spark, target).where(only)
+    lists = index.groupBy("archive").agg(F.sort_array(F.collect_list(F.struct("offset", "length", "record_type", "record_id"))).alias("entries"))  # bounded by an archive
+    whole = only is None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for name, content in zip(*batch.columns, strict=True):
-                found = [(at, *parse(raw)) for at, raw in members_of(content.as_py())]
+            for name, content, entries in zip(*batch.columns, strict=True):
+                found = _read_archive(name.as_py(), content.as_py(), entries.as_py(), whole)
                 cols = [pa.array(c, t) for c, t in zip(zip(*found, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64()), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array([name.as_py()] * len(found)), *cols], names=[c.split()[0] for c in _RESULT.split(", ")])
 
-    records = files.mapInArrow(run, _RESULT)
-    return records.join(read_index(spark, target).select("archive", "offset"), ["archive", "offset"])
+    return files.join(lists, "archive", "full" if whole else "right").select("archive", "content", "entries").mapInArrow(run, _RESULT)
 
 
 def round_trip(pages: DataFrame, folder: str | None = None, most: int = ARCHIVE_BYTES) -> DataFrame:
