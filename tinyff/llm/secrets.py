@@ -77,7 +77,7 @@ def _pieces(rule: Rule) -> Column:
 
 def findings(blobs: DataFrame, rules: tuple[Rule, ...]) -> DataFrame:
     """(blob, text, kinds) -> one row per match that its rule accepts."""
-    scans = F.array(*[F.struct(F.lit(r.kind).alias("kind"), F.lit(r.version).alias("version"), F.lit(r.least).alias("least"), F.when(F.array_contains("kinds", r.kind) & F.expr("true"), _pieces(r)).alias("parts")) for r in rules])
+    scans = F.array(*[F.struct(F.lit(r.kind).alias("kind"), F.lit(r.version).alias("version"), F.lit(r.least).alias("least"), F.when(F.array_contains("kinds", r.kind), _pieces(r)).alias("parts")) for r in rules])
     per_kind = blobs.select("blob", F.explode(F.filter(scans, lambda s: F.size(s["parts"]) > 0)).alias("scan")).select("blob", "scan.*")
     parts = per_kind.select("blob", "kind", "version", "least", F.posexplode("parts").alias("i", "part"))
     at = Window.partitionBy("blob", "kind", "version").orderBy("i")

@@ -5,9 +5,12 @@ counts, then discounted continuation counts of the class (distinct left
 neighbours), then one backoff distribution that both classes share, counted over
 the whole corpus. The discount grows with the square root of a count, so a rare
 expression is left to the shared backoff and only well-attested differences speak.
-A text's two log-likelihoods are compared per word, and a small logistic
-calibration (fitted on labelled texts that the models have not seen) turns the
-length-normalised difference into a score from 0 to 1.
+
+The two log-likelihoods are compared word by word. Their length-normalised
+difference over the whole text says little where a few words in a long text decide
+(the README has figures), so the score is a logistic calibration of that difference,
+of its part above two marks (also length-normalised) and of the numbers of words
+above the marks; it is fitted on labelled texts that the models have not seen.
 
 Bounds: at most about ``per_class`` labelled texts a class are learned from, so
 the broadcast model is bounded; shared counts cover all documents; every whole
