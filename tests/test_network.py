@@ -1,9 +1,12 @@
 """Layers, gradients, quantization, costs."""
 
+import hashlib
+
 import numpy as np
 import pytest
 
-from tinyff.operators import cost, forward, langid, model, quantize, train
+from tinyff.functions import hashing
+from tinyff.operators import bloommap, cost, forward, langid, model, postag, quantize, train
 from tinyff.operators.features import FeatureGroup, Template
 
 
@@ -49,7 +52,7 @@ def test_rate_decays():
 def test_quantization_error_is_at_most_half_a_scale(bits):
     rows = np.array([[0, 0, 0], [1, -2, 3], [-5, -1, -2], [4, 4, 4], [0.001, 100, -3]], np.float32)
     q, s = quantize.quantize_matrix(rows, bits, np.float32)
-    assert (np.abs(rows - quantize.restore_matrix(q, s)) <= s[:, None] / 2 + 1e-5).all()
+    assert (np.abs(rows - quantize.restore_matrix(q, s)) <= s / 2 + 1e-5).all()
     assert (q[0] == 0).all() and s[0] == 0
 
 
@@ -80,3 +83,53 @@ def test_vector_scoring_needs_no_exchange(spark):
     df = spark.range(5).selectExpr("id AS k", "'abc' AS text")
     plan = forward.predict(df, model.AnalyticModel(), "k")._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan
+
+
+@pytest.mark.parametrize("granularity", ["row", "group", "matrix"])
+@pytest.mark.parametrize("bits", [16, 8, 4, 2])
+def test_scores_of_codes_are_those_of_decoded_embeddings(bits, granularity):
+    net, x, _ = small()
+    net.resources["bytes"] = 1000
+    coded = quantize.coded(net, bits, np.float32, granularity, group=2)
+    plain = quantize.restored(coded)
+    assert np.allclose(train.predict(coded, x), train.predict(plain, x), atol=1e-5)
+    full = train.Bags([0, 0, 1], [np.tile(np.arange(7), 40)] * 2 + [np.tile(np.arange(5), 40)], [np.array([0, 140, 280]), np.array([0, 140, 280]), np.array([0, 100, 200])])
+    assert np.allclose(train.predict(coded, full), train.predict(plain, full), atol=1e-4)  # by counts instead of gathered rows
+    scales = {"row": 12, "group": 7 * 2 + 5, "matrix": 2}[granularity]
+    assert cost.size_kb(coded) == pytest.approx((cost.size_bytes(net.template, 6, 3, bits, 0, 1000) + 4 * scales) / 1024)
+    assert cost.size_kb(net) == pytest.approx((cost.size_bytes(net.template, 6, 3) + 1000) / 1024)
+
+
+def test_bags_of_a_block_are_those_of_its_texts():
+    texts = ["", "a", "straße 漢字 😀", "the quick brown fox", "aaaa"]
+    for n in (1, 2, 4):
+        ids, off = hashing.gram_bags(texts, n, 97)
+        md5 = hashing.Md5Buckets(n, 97)
+        block = hashing.Block(texts)
+        again = [md5(block).tolist(), md5(block).tolist()]
+        assert again[0] == again[1] == [int(hashlib.md5(t[i : i + n].encode()).hexdigest()[:8], 16) % 97 for t in texts for i in range(len(t) - n + 1)]
+        for k, t in enumerate(texts):
+            assert ids[off[k] : off[k + 1]].tolist() == (hashing.gram_buckets(t, n, 97).tolist() or [0])
+
+
+def test_nearest_neighbours_by_blocks(spark):
+    rng = np.random.default_rng(2)
+    texts = ["".join(rng.choice(list("abcde "), rng.integers(0, 40))) for _ in range(60)] + ["same text", "same text"]
+    rows = langid.sparse_profiles(spark.createDataFrame(list(enumerate(texts)), "k long, text string"), ["k"], "text", size=50)
+    labels = rows.select("k", "k").toDF("k", "lab")
+    dense = {r["k"]: dict(zip(r["at"], r["cnt"], strict=True)) for r in rows.collect()}
+    got = {r["k"]: r["other"] for r in langid.nearest_neighbour(rows.where("k < 20 OR k = 61"), rows.where("k >= 20"), labels, "k", "lab", 50, block=7).collect()}
+    for k in [*range(20), 61]:
+        sims = {o: round(sum(c * dense[o].get(v, 0) for v, c in dense[k].items()) / np.sqrt(sum(c * c for c in dense[o].values())), 6) for o in range(20, 62) if dense[o]}
+        best = max(sims.values(), default=0)
+        assert got.get(k) == (min(o for o, s in sims.items() if s == best) if best > 0 else None)
+
+
+def test_model_store_keeps_the_map(spark, tmp_path):
+    words = spark.createDataFrame([(f"w{i}", i % 5) for i in range(50)], "word string, cluster int")
+    net = model.Network.random(postag.template(4, True), 8, ["x", "y"])
+    net.resources |= {"clusters": bloommap.build(words, "word", "cluster"), "bytes": 7}
+    model.save(spark, net, str(tmp_path / "m"))
+    back = model.load(spark, str(tmp_path / "m"))
+    keys = bloommap.key_hash([f"w{i}" for i in range(80)])
+    assert (back.resources["clusters"].find(keys) == net.resources["clusters"].find(keys)).all() and back.resources["bytes"] == 7

@@ -5,7 +5,9 @@ from itertools import permutations
 import numpy as np
 import pytest
 
-from tinyff.operators import bloommap, metrics, preorder, segment
+from pyspark.sql import functions as F
+
+from tinyff.operators import bloommap, metrics, postag, preorder, quantize, segment, train
 
 
 def test_segmentation_system():
@@ -22,12 +24,13 @@ def test_singletons_become_unknown():
     assert "q" not in segment.vocabulary(["aab", "abq"], 1)
 
 
+@pytest.mark.parametrize("key", ["first", "last", "min"])
 @pytest.mark.parametrize("n", range(1, 6))
-def test_every_order_is_reachable(n):
+def test_every_order_is_reachable(n, key):
     for p in permutations(range(n)):
-        for eager in (True, False):
-            s = preorder.TransitionSystem(n)
-            actions = preorder.derivation(list(p), eager)
+        for eager in (True, False) if key == "first" else (False,):
+            s = preorder.TransitionSystem(n, key)
+            actions = preorder.derivation(list(p), eager, key)
             for a in actions:
                 s.apply(a)
             assert s.done and [p[i] for i in s.order] == list(range(n))
@@ -38,11 +41,11 @@ def test_every_order_is_reachable(n):
 def test_any_derivation_gives_a_permutation():
     rng = np.random.default_rng(1)
     for n in range(1, 9):
-        for _ in range(30):
-            s = preorder.TransitionSystem(n)
+        for k in range(45):
+            s = preorder.TransitionSystem(n, ["first", "last", "min"][k % 3])
             while not s.done:
                 s.apply(int(rng.choice(s.legal())))
-            assert sorted(s.order) == list(range(n)) and s.steps <= n * n + n - 1
+            assert sorted(s.order) == list(range(n)) and s.steps == 2 * n - 1 + 2 * s.swaps and s.swaps <= n * (n - 1) // 2
 
 
 def test_scores():
@@ -69,3 +72,68 @@ def test_map_never_loses_a_key(spark, variant, priors):
 def test_micro_f1_is_accuracy(spark):
     df = spark.createDataFrame([("a", "a"), ("a", "b"), ("b", "b"), ("c", "a")], "g string, p string")
     assert metrics.micro_f1(df, "g", "p").first()[0] == pytest.approx(0.5)
+
+
+def test_segmenter_scores_blocks_as_it_would_step_by_step():
+    sents = [["ab", "c", "abc"], ["c", "ab"], ["abcab"], ["b", "a", "c", "ab"]] * 10
+    for bigrams in (False, True):
+        net, enc = segment.build(sents, sents[:4], 8, bigrams=bigrams, epochs=2)
+        net = quantize.coded(net)
+        for text in ["", "a", "ab", "abcabc", "qqabcbacabab", "漢字ab"]:
+            actions, total = [], 0.0
+            for at in range(len(text)):
+                uni, bi = enc.grid(text)
+                past = np.array([[actions[-1] if actions else 2, actions[-2] if len(actions) > 1 else 2]])
+                z = net.logits(train.embed(net, segment._bags(uni[at : at + 1], bi[at : at + 1] if bigrams else None, past)))[0]
+                actions.append(0 if at == 0 else int(z[1] > z[0]))
+            assert segment.decode([text], net, enc) == [actions] == segment.decode([text, "abc"], net, enc)[:1]
+            assert segment.decode([text], net, enc, beam=4)[0][:1] == [0][: len(text)]
+
+
+def test_longest_match_has_no_longest_word():
+    word = "x" * 60
+    assert segment.MaxMatch([[word, "y"]])([word + "y"]) == [[0] + [1] * 59 + [0]]
+
+
+@pytest.mark.parametrize("kind", ["words", "tags", "tagger_inputs"])
+def test_preorder_scores_are_those_of_the_bags(kind):
+    t = preorder.template(kind)
+    net = preorder.Network.random(t, 8, preorder.ACTIONS, seed=2)
+    toks, tags = [["The", "cat", "sat", "."], ["Go"], ["a", "b"]], [["FUNC", "NOUN", "VERB", "PUNCT"], ["VERB"], ["SYM", "NUM"]]
+    words = preorder.Sentences(toks, tags, t, kind)
+    places = np.array([[-1, -1, -1, -1, 0, 1], [0, 3, 1, 2, 3, -1], [4, 4, -1, -1, -1, -1], [5, 6, -1, -1, 6, -1]])
+    states = np.array([[2, 0], [4, 8], [0, 1], [3, 9]])
+    assert np.allclose(preorder.Scorer(net, words)(places, states), net.logits(train.embed(net, words.state_bags(t, places, states))), atol=1e-5)
+    net.resources["kind"] = kind
+    orders, steps, swaps = preorder.decode(toks, tags, net)
+    assert [sorted(o) for o in orders] == [[0, 1, 2, 3], [0], [0, 1]] and steps == 2 * 7 - 3 + 2 * swaps
+
+
+def test_tagger_inputs_are_those_of_the_bags(spark):
+    lex = spark.createDataFrame([("cat", 3), ("sat", 5)], "word string, cluster int")
+    held = bloommap.build(lex, "word", "cluster", 16.0)
+    t = postag.template(4, True)
+    net = postag.Network.random(t, 8, list(postag.TAGS))
+    net.resources["clusters"] = held
+    sents = [["The", "cat", "sat", "."], [], ["CAT"], ["a", "the"]]
+    words = postag.Words(sents, t, held)
+    bags = words.token_bags(t)
+    assert np.allclose(words.h0(net), train.embed(net, bags), atol=1e-6) and len(bags) == 7
+    assert [bags.ids[s][:4].tolist() for s in (8,)] == [[held.find(bloommap.key_hash([w]))[0] + 2 for w in ("the", "cat", "sat", ".")]]
+    assert bags.ids[7][0] == bags.ids[7][4] == 0 and bags.ids[9][3] == 0  # outside the sentence
+    assert [len(x) for x in postag.tag_all(net, sents)] == [4, 0, 1, 2]
+
+
+def test_map_positions_agree_with_spark(spark):
+    words = ["a", "Straße", "漢字", "w" * 40, ""]
+    df = spark.createDataFrame([(w, v) for w in words for v in (0, 1, 63)], "w string, v int")
+    rows = df.select("w", "v", *[bloommap.position(F.xxhash64("w"), F.col("v"), F.lit(i), 1000).alias(f"p{i}") for i in (0, 5)]).collect()
+    for r in rows:
+        key = bloommap.key_hash([r["w"]])
+        assert [int(bloommap.positions(key, r["v"], i, 1000)[0]) for i in (0, 5)] == [r["p0"], r["p5"]]
+
+
+def test_bracketing_learns_and_leaves_long_sentences():
+    rows = [{"tags": ["NOUN", "VERB", "FUNC"], "rank": [0, 2, 1]}, {"tags": ["VERB", "NOUN"], "rank": [1, 0]}]
+    b = preorder.BracketPreorderer(longest=5).fit(rows)
+    assert b(["NOUN", "VERB", "FUNC"]) == [0, 2, 1] and b(["VERB", "NOUN"]) == [1, 0] and b(["VERB"] * 6) == list(range(6))

@@ -225,6 +225,30 @@ for _bits in (4, 8):
     )(_err)
 
 
+_GROUP = "[(list_max(list_transform(embedding[j * 16 + 1 : j * 16 + 16], lambda x: abs(x::DOUBLE))) / 127) for j in range(0, 4)]"
+
+
+@query(
+    "quant_error_group",
+    f"WITH e AS (SELECT label, embedding, {_GROUP} AS s FROM embeddings), q AS (SELECT label, [abs(embedding[i]::DOUBLE - CASE WHEN s[(i - 1) // 16 + 1] = 0 THEN 0 ELSE round(embedding[i]::DOUBLE / s[(i - 1) // 16 + 1]) * s[(i - 1) // 16 + 1] END) for i in range(1, 65)] AS err FROM e) SELECT label, round(max(list_max(err)), 6) AS max_error, round(sum(list_sum(err)) / sum(len(err)), 6) AS mean_error FROM q GROUP BY label",
+)
+def quant_error_group(spark, d):
+    """Errors of 8-bit codes with a scale for every 16 numbers of a row."""
+    q = quantize.decode(quantize.encode(_vectors(spark, d), bits=8, scale="group"))
+    err = F.zip_with("w", "restored", lambda a, b: F.abs(a.cast("double") - b))
+    rows = q.select("label", F.array_max(err).alias("most"), F.aggregate(err, F.lit(0.0), lambda a, x: a + x).alias("total"), F.size(err).alias("n"))
+    return rows.groupBy("label").agg(F.round(F.max("most"), 6).alias("max_error"), F.round(F.sum("total") / F.sum("n"), 6).alias("mean_error"))
+
+
+@query(
+    "quant_error_matrix",
+    "WITH m AS (SELECT max(list_max(list_transform(embedding, lambda x: abs(x::DOUBLE)))) / 127 AS s FROM embeddings), q AS (SELECT label, list_transform(embedding, lambda x: abs(x::DOUBLE - round(x::DOUBLE / s) * s)) AS err FROM embeddings, m) SELECT label, round(max(list_max(err)), 6) AS max_error, round(sum(list_sum(err)) / sum(len(err)), 6) AS mean_error FROM q GROUP BY label",
+)
+def quant_error_matrix(spark, d):
+    """Errors of 8-bit codes with one scale for the whole matrix."""
+    return quantize.error(quantize.encode(_vectors(spark, d), bits=8, scale="matrix"), by="label").drop("max_in_scales")
+
+
 @query("quant_budget_sweep", "SELECT dims::BIGINT AS dims, bits::BIGINT AS bits, (11000 * dims * bits / 8 + 11000 * CASE WHEN bits = 32 THEN 0 ELSE 2 END + 4 * (4 * dims * 208 + 208 + 208 * 66 + 66)) / 1024.0::DOUBLE AS kb FROM (VALUES (6), (8), (12), (16), (24), (32)) d(dims), (VALUES (32), (16), (8), (4), (2)) b(bits)")
 def quant_budget_sweep(spark, d):
     """Size of the language-id shape for dimensions against bits: where equal budgets lie."""

@@ -8,11 +8,11 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text
-from ..operators import bloommap, cost, langid, metrics, pipelines, postag, preorder, quantize, segment, splits, train
+from ..operators import bloommap, cost, forward, langid, metrics, pipelines, postag, preorder, quantize, segment, splits, train
 from ..plans.scratch import materialise
 from ..registry import query
 from ..sources.tables import load
-from .core import BUCKET, docs
+from .core import BUCKET, MODEL, docs
 
 # --- language identification -------------------------------------------------
 
@@ -69,16 +69,63 @@ def prototype_label(spark, d):
     SELECT k.doc_id, s.lang AS label FROM k JOIN s ON s.doc_id = k.other QUALIFY row_number() OVER (PARTITION BY k.doc_id ORDER BY sim DESC, other) = 1""",
 )
 def neighbor_label(spark, d):
-    prof, known, rest = _split_profiles(spark, d)
-    return langid.nearest_neighbour(prof.join(rest, "doc_id", "left_semi"), prof.join(known, "doc_id", "left_semi"), known, "doc_id", "lang")
+    test, known = _neighbour_sides(docs(spark, d))
+    return langid.nearest_neighbour(test, known, known.select("doc_id", "lang"), "doc_id", "lang").select("doc_id", "label")
+
+
+def _neighbour_sides(base: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Written profiles of the documents that ask and of those that are known."""
+    rows = materialise(langid.sparse_profiles(base.withColumn("h", splits.hash_percent(F.col("doc_id"))), ["doc_id", "lang", "h"], "text"), "sparse-profiles")
+    return rows.where("h >= 80"), rows.where("h < 80")
 
 
 @query("neighbor_bands")
 def neighbor_bands(spark, d):
-    """Bucketed neighbours against the labels: how many get one, and how often it is right."""
+    """Bucketed neighbours: how many queries get one, how often its label is right, and how often it is as near as the exact one (recall)."""
     prof, known, rest = _split_profiles(spark, d)
-    got = langid.neighbour_by_bands(prof.join(rest, "doc_id", "left_semi"), prof.join(known, "doc_id", "left_semi"), known, "doc_id", "lang")
-    return rest.join(got, "doc_id", "left").agg(F.count(F.lit(1)).alias("queries"), F.count("label").alias("answered"), F.avg((F.col("label") == F.col("lang")).cast("double")).alias("accuracy"))
+    got = langid.neighbour_by_bands(prof.join(rest, "doc_id", "left_semi"), prof.join(known, "doc_id", "left_semi"), "doc_id")
+    got = got.join(known.select(F.col("doc_id").alias("other"), F.col("lang").alias("label")), "other").select("doc_id", "label", F.col("sim").alias("near"))
+    asked, every = _neighbour_sides(docs(spark, d))
+    exact = langid.nearest_neighbour(asked, every, every.select("doc_id", "lang"), "doc_id", "lang").select("doc_id", "sim")
+    both = rest.join(exact, "doc_id", "left").join(got, "doc_id", "left")
+    right = lambda c: F.avg(F.coalesce(c, F.lit(False)).cast("double"))
+    return both.agg(F.count(F.lit(1)).alias("queries"), F.count("label").alias("answered"), F.avg((F.col("label") == F.col("lang")).cast("double")).alias("accuracy"), right(F.abs(F.col("near") - F.col("sim")) < 2e-6).alias("recall"))
+
+
+_SHARE = "x AS (SELECT p.doc_id, v, cnt, cnt / (sum(cnt) OVER (PARTITION BY p.doc_id)) AS share, row_number() OVER (PARTITION BY p.doc_id ORDER BY cnt DESC, v) AS r FROM p JOIN s USING (doc_id) WHERE h >= 80)"
+_CLASS = "t AS (SELECT lang, v, sum(cnt)::BIGINT AS c FROM p JOIN s USING (doc_id) WHERE h < 80 GROUP BY ALL), y AS (SELECT l.lang, b.v, coalesce(c, 0) AS c FROM (SELECT DISTINCT lang FROM t) l CROSS JOIN (SELECT unnest(range(0, 1000)) AS v) b LEFT JOIN t ON t.lang = l.lang AND t.v = b.v), q AS (SELECT lang, v, c / (sum(c) OVER (PARTITION BY lang)) AS q, row_number() OVER (PARTITION BY lang ORDER BY c DESC, v) AS pr FROM y)"
+
+for _sim, _part in (("skew", "share * ln(share / (0.99::DOUBLE * q + (1 - 0.99::DOUBLE) * share))"), ("rank", "abs(r - pr)")):
+
+    def _nearest(spark, d, sim=_sim):
+        prof, known, rest = _split_profiles(spark, d)
+        return langid.nearest_prototype(prof.join(rest, "doc_id", "left_semi"), langid.prototypes(prof, known, "doc_id", "lang"), "doc_id", "lang", sim)
+
+    query(f"prototype_label_{_sim}", f"WITH {_profile_sql()}, {_SHARE}, {_CLASS}, k AS (SELECT doc_id, lang, round(sum({_part}), 6) AS worse FROM x JOIN q ON x.v = q.v GROUP BY 1, 2) SELECT doc_id, lang AS label FROM k QUALIFY row_number() OVER (PARTITION BY doc_id ORDER BY worse, lang) = 1")(_nearest)
+
+
+_W = "(((7 * v + 3 * k) % 11 - 5) / 10.0::DOUBLE)"
+
+
+@query(
+    "softmax_sql_step",
+    f"""WITH c AS (SELECT doc_id, regexp_extract_all(lower(text), '(?s).') AS c FROM documents), g AS (SELECT doc_id, unnest(c) AS x FROM c),
+    p AS (SELECT doc_id, {BUCKET.format(x='x', v=16)} AS v, count(*) AS cnt FROM g GROUP BY 1, 2), f AS (SELECT doc_id, v, cnt / (sum(cnt) OVER (PARTITION BY doc_id)) AS x FROM p),
+    n AS (SELECT lang AS class, row_number() OVER (ORDER BY lang) - 1 AS k FROM (SELECT DISTINCT lang FROM documents)), w AS (SELECT class, v, {_W} AS w FROM n, (SELECT unnest(range(0, 16)) AS v)),
+    z AS (SELECT doc_id, class, sum(x * w) AS z FROM f JOIN w USING (v) GROUP BY 1, 2), e AS (SELECT doc_id, class, exp(z - max(z) OVER (PARTITION BY doc_id)) AS e FROM z),
+    d AS (SELECT doc_id, class, e / (sum(e) OVER (PARTITION BY doc_id)) - (class = lang)::INT AS d FROM e JOIN documents USING (doc_id)),
+    gr AS (SELECT class, v, sum(x * d) / (SELECT count(*) FROM documents) AS g FROM f JOIN d USING (doc_id) GROUP BY 1, 2)
+    SELECT class, v::BIGINT AS v, round(coalesce(g, 0), 7)::DOUBLE AS grad, round(w - 0.5 * coalesce(g, 0), 7)::DOUBLE AS w FROM w LEFT JOIN gr USING (class, v)""",
+)
+def softmax_sql_step(spark, d):
+    """A gradient step of a softmax layer over 16 character buckets, from weights given by a formula."""
+    base = docs(spark, d)
+    prof = langid.profile(base, "doc_id", "text", (1,), 16)
+    x = prof.withColumn("x", F.col("cnt") / F.sum("cnt").over(Window.partitionBy("doc_id"))).select("doc_id", "v", "x")
+    classes = [r[0] for r in base.select("lang").distinct().orderBy("lang").collect()]
+    w = spark.createDataFrame([(c, v, ((7 * v + 3 * k) % 11 - 5) / 10) for k, c in enumerate(classes) for v in range(16)], "class string, v int, w double")
+    done = train.sql_step(materialise(x, "features"), base.select("doc_id", "lang"), w, "doc_id", "lang", 0.5)
+    return done.select("class", F.col("v").cast("long").alias("v"), F.round("grad", 7).alias("grad"), F.round("w", 7).alias("w"))
 
 
 @query("majority_label", f"WITH s AS (SELECT doc_id, lang, {MD5.format(x='doc_id::VARCHAR')} % 100 AS h FROM documents) SELECT doc_id, (SELECT lang FROM s WHERE h < 80 GROUP BY lang ORDER BY count(*) DESC, lang LIMIT 1) AS label FROM s WHERE h >= 80")
@@ -115,42 +162,51 @@ def _test_fragments(parts: DataFrame) -> DataFrame:
     return out.select("lang", "width", "frag")
 
 
-def _judge(tests: DataFrame, nets: dict[str, tuple]) -> DataFrame:
-    """(model, width, n, micro_f1, kb, flops); width 0 is the whole text. nets: name -> (network, bits)."""
-    out = None
-    for name, (net, bits) in nets.items():
-        got = langid.score(tests, net, "frag", ["lang", "width"])
-        kb, ops = cost.size_kb(net, bits, 2 if bits < 32 else 0), cost.flops(net.template.h0, len(net.c), len(net.classes))
-        row = got.groupBy("width").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg((F.col("label") == F.col("lang")).cast("double")), 6).alias("micro_f1"))
-        row = row.select(F.lit(name).alias("model"), "width", "n", "micro_f1", F.lit(round(kb, 1)).alias("kb"), F.lit(ops).alias("flops"))
-        out = row if out is None else out.unionByName(row)
-    return out
+def _judge(tests: DataFrame, nets: dict) -> DataFrame:
+    """(model, width, n, micro_f1, agree, kb, flops) by one pass for all networks; width 0 is the whole text, agree: labels equal to the first network's."""
+    got = langid.score_all(tests, list(nets.values()), "frag", ["lang", "width"])
+    rows = got.select("lang", "width", F.col("labels")[0].alias("first"), F.posexplode("labels").alias("i", "label"))
+    equal = lambda c: F.round(F.avg((F.col("label") == F.col(c)).cast("double")), 6)
+    sums = rows.groupBy("i", "width").agg(F.count(F.lit(1)).alias("n"), equal("lang").alias("micro_f1"), equal("first").alias("agree"))
+    shape = [(i, name, round(cost.size_kb(net), 1), cost.net_flops(net)) for i, (name, net) in enumerate(nets.items())]
+    about = tests.sparkSession.createDataFrame(shape, "i int, model string, kb double, flops long")
+    return sums.join(F.broadcast(about), "i").select("model", "width", "n", "micro_f1", "agree", "kb", "flops")  # one row a network
 
 
 @query("langid_trained")
 def langid_trained(spark, d):
-    """Six and sixteen dimensions, quantized, and summed instead of averaged, on fragments of all widths."""
+    """Six and sixteen dimensions, in 8-bit codes that are decoded as they are read, and summed instead of averaged, on fragments of all widths."""
     parts, tr, dev = _langid_samples(spark, d)
     six, sixteen = langid.build(tr, dev, 6), langid.build(tr, dev, 16)
-    summed = langid.build(tr, dev, 16, combine="sum", epochs=2)
-    return _judge(_test_fragments(parts), {"6 dims": (six, 32), "16 dims": (sixteen, 32), "16 dims, 8 bits": (langid.quantized(sixteen), 8), "16 dims, summed": (summed, 32)})
+    summed = langid.build(tr, dev, 16, combine="sum")
+    return _judge(_test_fragments(parts), {"16 dims": sixteen, "6 dims": six, "16 dims, 8 bits": quantize.coded(sixteen), "16 dims, summed": summed})
 
 
 @query("langid_bits")
 def langid_bits(spark, d):
-    """The sixteen-dimensional model at 16, 8, 4 and 2 bits: score and labels that stay the same."""
+    """The sixteen-dimensional model at 16, 8, 4 and 2 bits, and at 4 bits by granularity and width of the scales: score and labels that stay the same."""
+    parts, tr, dev = _langid_samples(spark, d)
+    net = langid.build(tr, dev, 16)
+    nets = {"32 bits": net} | {f"{b} bits": quantize.coded(net, b) for b in (16, 8, 4, 2)}
+    nets |= {f"4 bits, {g} scales of {np.dtype(t).itemsize} bytes": quantize.coded(net, 4, t, g) for g in ("row", "group", "matrix") for t in (np.float16, np.float32) if (g, t) != ("row", np.float16)}
+    return _judge(_test_fragments(parts), nets)
+
+
+@query("langid_budget")
+def langid_budget(spark, d):
+    """Dimensions against bits where sizes are about equal: a network of few exact dimensions, and of more dimensions in codes."""
     parts, tr, dev = _langid_samples(spark, d)
-    net = langid.build(tr, dev, 16, epochs=2)
-    tests = materialise(_test_fragments(parts), "fragments")
-    return _judge(tests, {"32 bits": (net, 32)} | {f"{b} bits": (langid.quantized(net, b), b) for b in (16, 8, 4, 2)})
+    shapes = ((6, 32), (10, 16), (16, 8), (24, 4), (32, 2))
+    return _judge(_test_fragments(parts), {f"{dim} dims, {bits} bits": net if bits == 32 else quantize.coded(net, bits) for dim, bits in shapes for net in [langid.build(tr, dev, dim)]})
 
 
 @query("langid_orders")
 def langid_orders(spark, d):
-    """N-gram lengths left out one after the other."""
+    """Subsets of the n-gram lengths: each alone, those up to a length, and all but one."""
     parts, tr, dev = _langid_samples(spark, d)
-    nets = {str(o): (langid.build(tr, dev, 16, orders=o, epochs=2), 32) for o in ((1,), (1, 2), (1, 2, 3), (1, 2, 3, 4))}
-    return _judge(_test_fragments(parts), nets)
+    subsets = [(1, 2, 3, 4), (1,), (2,), (3,), (4,), (1, 2), (1, 2, 3), (2, 3, 4), (1, 3, 4), (1, 2, 4)]
+    size = dict(zip(langid.ORDERS, langid.VOCAB, strict=True))
+    return _judge(_test_fragments(parts), {str(o): langid.build(tr, dev, 16, orders=o, vocab=tuple(size[n] for n in o), epochs=2) for o in subsets})
 
 
 @query("langid_grid")
@@ -164,30 +220,36 @@ def langid_grid(spark, d):
 
 @query("langid_local_sgd")
 def langid_local_sgd(spark, d):
-    """Data-parallel training on all training fragments of ten characters, by rounds of local steps."""
+    """Data-parallel training on fragments of all widths of all training documents, by rounds of local steps and averaging."""
     parts = langid.split_docs(docs(spark, d))
     classes = [r[0] for r in parts.where("lang IS NOT NULL").select("lang").distinct().orderBy("lang").collect()]
-    t = langid.template(8)
-    rows = materialise(langid.fragments(parts.where("part = 'train'"), 10, 2).select("frag", "lang").repartition(4), "fragments")
+    t, known = langid.template(8), parts.where("part = 'train' AND lang IS NOT NULL")
+    rows = langid.fragments(known, 10).unionByName(langid.fragments(known, 20)).unionByName(langid.fragments(known, 50)).unionByName(langid.fragments(known, 5))
+    rows = materialise(rows.select("frag", "lang").repartition(4), "fragments")
 
     def featurize(batch: pd.DataFrame):
         return langid.bags(batch["frag"], t), np.array([classes.index(x) for x in batch["lang"]])
 
-    net = train.local_sgd(rows, langid.Network.random(t, 64, classes), featurize, train.Settings(average=False), rounds=2)
-    return _judge(_test_fragments(parts), {"local SGD": (net, 32)})
+    net = train.local_sgd(rows, langid.Network.random(t, 64, classes), featurize, train.Settings(average=False), rounds=4)
+    return _judge(_test_fragments(parts), {"local SGD": net})
 
 
 @query("langid_baselines")
 def langid_baselines(spark, d):
-    """Nearest prototype, nearest neighbour and the majority on the same fragments."""
+    """Nearest prototype by three measures, nearest neighbour and the majority, learned from all training documents, on the same fragments as the networks."""
     parts = langid.split_docs(docs(spark, d))
-    known = splits.stratified(parts.where("part = 'train'").select("doc_id", "text", "lang"), "lang", "doc_id", 100)
-    test = _test_fragments(parts).where("width > 0").withColumn("fid", F.xxhash64("lang", "frag", "width"))
-    test = materialise(test.dropDuplicates(["fid"]), "fragments")
-    kp = materialise(langid.profile(known.select(F.col("doc_id").alias("fid"), "text"), "fid", "text"), "known")
-    tp = materialise(langid.profile(test, "fid", "frag"), "tests")
-    labels = known.select(F.col("doc_id").alias("fid"), "lang")
-    got = {"nearest prototype": langid.nearest_prototype(tp, langid.prototypes(kp, labels, "fid", "lang"), "fid", "lang"), "nearest neighbour": langid.nearest_neighbour(tp, kp, labels, "fid", "lang")}
+    known = parts.where("part = 'train' AND lang IS NOT NULL").select(F.col("doc_id").alias("fid"), "text", "lang")
+    test = materialise(_test_fragments(parts).withColumn("fid", F.xxhash64("frag")), "fragments")
+    asked = test.select("fid", "frag").dropDuplicates(["fid"])  # equal fragments ask once and are joined back to all rows
+    kp = materialise(langid.profile(known, "fid", "text"), "known")
+    tp = materialise(langid.profile(asked, "fid", "frag"), "tests")
+    labels = known.select("fid", "lang")
+    protos = materialise(langid.prototypes(kp, labels, "fid", "lang"), "prototypes")
+    got = {"nearest prototype" + (f", {sim}" if sim != "cosine" else ""): langid.nearest_prototype(tp, protos, "fid", "lang", sim) for sim in ("cosine", "skew", "rank")}
+    ask, rows = (materialise(langid.sparse_profiles(x, ["fid"], c), "sparse") for x, c in ((asked, "frag"), (known, "text")))
+    got["nearest neighbour"] = langid.nearest_neighbour(ask, rows, labels, "fid", "lang").select("fid", "label")
+    top = labels.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).agg(F.min_by("lang", F.struct(-F.col("n"), F.col("lang"))).alias("label"))
+    got["majority"] = asked.select("fid").crossJoin(F.broadcast(top))  # a single row
     out = None
     for name, g in got.items():
         row = test.join(g, "fid", "left").groupBy("width").agg(F.count(F.lit(1)).alias("n"), F.avg(F.coalesce(F.col("label") == F.col("lang"), F.lit(False)).cast("double")).alias("micro_f1")).withColumn("model", F.lit(name))
@@ -309,6 +371,14 @@ def tag_accuracy(spark, d):
     return metrics.accuracy(both, "tag", "best", "lang").withColumn("accuracy", F.round("accuracy", 9))
 
 
+@query("tag_accuracy_mean", f"WITH {SILVER}, {_UNI}, l AS (SELECT lang, avg((tagged.tag = u.tag)::INT) AS a FROM tagged JOIN u ON u.word = lower(tok) GROUP BY lang) SELECT round(avg(a), 9)::DOUBLE AS accuracy FROM l")
+def tag_accuracy_mean(spark, d):
+    """The unweighted mean of the languages' accuracies."""
+    tagged = materialise(_silver(spark, d), "tagged")
+    both = tagged.withColumn("word", F.lower("tok")).join(postag.unigram_tagger(tagged), "word")
+    return metrics.accuracy(both, "tag", "best", "lang").agg(F.round(F.avg("accuracy"), 9).alias("accuracy"))
+
+
 @query("cluster_lexicon", f"WITH {SENT}, {LEX} SELECT word, freq, cluster FROM lex")
 def cluster_lexicon(spark, d):
     return postag.lexicon(docs(spark, d))
@@ -358,60 +428,91 @@ def cluster_kmeans(spark, d):
     return made.transform(vectors.withColumn("features", array_to_vector("v"))).groupBy("cluster").agg(F.count(F.lit(1)).alias("words"))
 
 
+#: Word types of the published map size.
+MAP_TYPES = 250_000
+
+
 @query("bloom_lookup")
 def bloom_lookup(spark, d):
-    """Both variants and both hash rules: bits a key, ratio to the plain list, wrong values on stored words, hits on unseen ones."""
-    lex = materialise(postag.lexicon(docs(spark, d)).withColumn("value", F.log2(F.col("freq")).cast("int")), "lexicon")
-    plain = lex.agg(F.sum(F.octet_length("word") + 3)).first()[0]
-    n, out = lex.count(), None
-    unseen = lex.select(F.concat(F.lit("~"), F.col("word")).alias("word"), F.lit(-1).alias("value"))
-    for variant, priors in (("pairs", False), ("pairs", True), ("tree", False)):
-        held = bloommap.build(lex, "word", "value", 10.0, variant, priors)
-        got = bloommap.lookup(lex.select("word", "value").unionByName(unseen), "word", held)
-        stored = F.col("value") >= 0
-        row = got.agg(
-            F.lit(f"{variant}{', by prior' if priors else ''}").alias("variant"), F.lit(held.bytes).alias("bytes"), F.lit(8 * held.bytes / n).alias("bits_per_key"), F.lit(plain / held.bytes).alias("smaller_by"),
-            F.avg(F.when(stored, F.col("found").isNull().cast("double"))).alias("lost"), F.avg(F.when(stored, (F.col("found") != F.col("value")).cast("double"))).alias("wrong"), F.avg(F.when(~stored, F.col("found").isNotNull().cast("double"))).alias("unseen_hits"),
-        )
-        out = row if out is None else out.unionByName(row)
+    """Clusters of all word types, and of a sample of 250,000, in both variants and by both hash rules.
+
+    Bits a key, ratio to the plain list, wrong values on stored words, hits on unseen ones.
+    """
+    every = materialise(postag.lexicon(docs(spark, d), min_freq=1).select("word", "freq", F.col("cluster").alias("value")), "lexicon")
+    some = materialise(every.orderBy(F.md5("word"), "word").limit(MAP_TYPES), "lexicon")  # a sample of stated size
+    out = None
+    for types, lex in (("all types", every), ("250,000 types", some)):
+        plain, n = lex.agg(F.sum(F.octet_length("word") + F.length(F.col("value").cast("string")) + 2), F.count(F.lit(1))).first()
+        unseen = lex.select(F.concat(F.lit("~"), F.col("word")).alias("word"), F.lit(-1).cast("long").alias("value"))
+        for variant, priors in (("pairs", False), ("pairs", True), ("tree", False)):
+            held = bloommap.build(lex, "word", "value", 10.0, variant, priors)
+            got = bloommap.lookup(lex.select("word", "value").unionByName(unseen), "word", held)
+            stored = F.col("value") >= 0
+            row = got.agg(
+                F.lit(types).alias("types"), F.lit(f"{variant}{', by prior' if priors else ''}").alias("variant"), F.lit(n).alias("words"), F.lit(held.bytes).alias("bytes"), F.lit(8 * held.bytes / n).alias("bits_per_key"), F.lit(plain / held.bytes).alias("smaller_by"),
+                F.avg(F.when(stored, F.col("found").isNull().cast("double"))).alias("lost"), F.avg(F.when(stored, (F.col("found") != F.col("value")).cast("double"))).alias("wrong"), F.avg(F.when(~stored, F.col("found").isNotNull().cast("double"))).alias("unseen_hits"),
+            )
+            out = row if out is None else out.unionByName(row)
     return out
 
 
 def _tag_samples(spark, d, sentences=500):
-    """Tagged sentences split by document; samples of a bounded number of sentences a language for learning."""
-    tagged = materialise(_silver(spark, d), "tagged")
-    sents = postag.tagged_sentences(tagged)
-    sents = materialise(splits.assign(sents.withColumn("k", F.col("doc_id")), "k").drop("k"), "sentences")
+    """Tagged sentences split by document; samples of a bounded number of sentences a language for learning; the lexicon."""
+    lex = materialise(postag.lexicon(docs(spark, d)), "lexicon")
+    sents = postag.tagged_sentences(materialise(postag.silver_tags(docs(spark, d), lex), "tagged"))
+    sents = materialise(splits.assign(sents, "doc_id"), "sentences")
     pick = lambda part, n: [r.asDict() for r in splits.stratified(sents.where((F.col("part") == part) & (F.size("toks") <= 60)), "lang", "sent_id", n).collect()]
-    return sents, pick("train", sentences), pick("dev", sentences // 5)
+    return sents, pick("train", sentences), pick("dev", sentences // 5), lex
 
 
-@query("tagger_trained")
-def tagger_trained(spark, d):
-    """Vanilla, with (constructed) clusters, half dimensions with clusters; joint over languages, and one model a language."""
-    sents, tr, dev = _tag_samples(spark, d)
-    test = sents.where("part = 'test'")
-    nets = {"vanilla": postag.build(tr, dev), "clusters": postag.build(tr, dev, clusters=True), "clusters, half dims": postag.build(tr, dev, 8, clusters=True)}
+def cluster_map(lex: DataFrame) -> bloommap.BloomMap:
+    """The Bloom map that a tagger reads its clusters from."""
+    return bloommap.build(lex, "word", "cluster", 10.0)
+
+
+def _neighbour_map(spark, d) -> bloommap.BloomMap:
+    """A map of distributional clusters: the commonest neighbour signatures are clusters 0 to 62, all others 63."""
+    words = materialise(postag.neighbour_signature(docs(spark, d)), "signatures")
+    top = words.groupBy("cluster").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "cluster").limit(postag.CLUSTERS - 1)
+    number = {r["cluster"]: i for i, r in enumerate(top.collect())}
+    named = F.create_map(*[F.lit(x) for kv in number.items() for x in kv]) if number else F.create_map().cast("map<string,int>")
+    return bloommap.build(words.select("word", F.coalesce(named[F.col("cluster")], F.lit(postag.CLUSTERS - 1)).alias("cluster")), "word", "cluster", 10.0)
+
+
+def _tagger_scores(test: DataFrame, nets: dict) -> DataFrame:
+    """(model, lang, tokens, accuracy, params, kb, flops) by language, and the unweighted mean of the languages as ``mean``."""
     out = None
     for name, net in nets.items():
         got = postag.predict(test, net, ["lang", "tags"])
         right = F.aggregate(F.zip_with("tags", "pred", lambda a, b: (a == b).cast("int")), F.lit(0), lambda a, x: a + x)
-        row = got.groupBy("lang").agg(F.sum(F.size("tags")).alias("tokens"), (F.sum(right) / F.sum(F.size("tags"))).alias("accuracy"))
-        row = row.select(F.lit(name).alias("model"), "lang", "tokens", "accuracy", F.lit(cost.params(net.template, len(net.c), len(net.classes))).alias("params"), F.lit(round(cost.size_kb(net, 8, 2), 1)).alias("kb"), F.lit(cost.flops(net.template.h0, len(net.c), len(net.classes))).alias("flops"))
+        row = materialise(got.groupBy("lang").agg(F.sum(F.size("tags")).alias("tokens"), (F.sum(right) / F.sum(F.size("tags"))).alias("accuracy")), "tag-scores")
+        row = row.unionByName(row.agg(F.lit("mean").alias("lang"), F.sum("tokens").alias("tokens"), F.avg("accuracy").alias("accuracy")))
+        row = row.select(F.lit(name).alias("model"), "lang", "tokens", "accuracy", F.lit(cost.params(net.template, len(net.c), len(net.classes))).alias("params"), F.lit(round(cost.size_kb(net), 1)).alias("kb"), F.lit(cost.net_flops(net)).alias("flops"))
         out = row if out is None else out.unionByName(row)
     return out
 
 
+@query("tagger_trained")
+def tagger_trained(spark, d):
+    """Vanilla, with clusters, half dimensions with clusters, all in 8-bit codes; clusters are read from Bloom maps, which count in KB.
+
+    The silver tags of frequent words depend on the constructed clusters, so that gain is built in; the
+    clusters from neighbours are independent of the tags.
+    """
+    sents, tr, dev, lex = _tag_samples(spark, d)
+    held, near = cluster_map(lex), _neighbour_map(spark, d)
+    nets = {"vanilla": postag.build(tr, dev), "clusters": postag.build(tr, dev, clusters=held), "clusters, half dims": postag.build(tr, dev, 8, clusters=held), "clusters from neighbours": postag.build(tr, dev, clusters=near)}
+    return _tagger_scores(sents.where("part = 'test'"), {name: quantize.coded(net) for name, net in nets.items()} | {"vanilla, float": nets["vanilla"]})
+
+
 @query("tagger_per_language")
 def tagger_per_language(spark, d):
-    """One vanilla model for each language, against the test sentences of that language."""
-    sents, tr, dev = _tag_samples(spark, d, 300)
+    """One model for each language in 8-bit codes, against the test sentences of that language."""
+    sents, tr, dev, _ = _tag_samples(spark, d, 300)
     out = None
     for lang in sorted({r["lang"] for r in tr}):
-        net = postag.build([r for r in tr if r["lang"] == lang], [r for r in dev if r["lang"] == lang] or dev)
-        got = postag.predict(sents.where((F.col("part") == "test") & (F.col("lang") == lang)), net, ["lang", "tags"])
-        right = F.aggregate(F.zip_with("tags", "pred", lambda a, b: (a == b).cast("int")), F.lit(0), lambda a, x: a + x)
-        row = got.groupBy("lang").agg(F.sum(F.size("tags")).alias("tokens"), (F.sum(right) / F.sum(F.size("tags"))).alias("accuracy"))
+        net = quantize.coded(postag.build([r for r in tr if r["lang"] == lang], [r for r in dev if r["lang"] == lang] or dev))
+        row = _tagger_scores(sents.where((F.col("part") == "test") & (F.col("lang") == lang)), {"monolingual": net}).where("lang <> 'mean'")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -503,13 +604,14 @@ class _Greedy:
 
 @query("segmenter_trained")
 def segmenter_trained(spark, d):
-    """Unigrams at 64 and 256 dims, bigrams, hashed characters, a beam, and all baselines: decisions and word scores."""
-    words, tr, dev = _seg_samples(spark, d, 80)
+    """Unigrams at 64 and 256 dims, bigrams, hashed characters (in 8-bit codes, vocabularies counted in KB), a beam, and all baselines: decisions and word scores."""
+    words, tr, dev = _seg_samples(spark, d)
     test = words.where("part = 'test'")
-    made = {"unigrams, 64 dims": segment.build(tr, dev, 64, epochs=1), "unigrams, 256 dims": segment.build(tr, dev, 256, epochs=1), "bigrams, 64 dims": segment.build(tr, dev, 64, bigrams=True, epochs=1), "hashed, 64 dims": segment.build(tr, dev, 64, hashed=True, epochs=1)}
-    deciders = {n: (_Greedy(*m), cost.size_kb(m[0], 8, 2)) for n, m in made.items()}
+    made = {"unigrams, 64 dims": segment.build(tr, dev, 64), "unigrams, 256 dims": segment.build(tr, dev, 256), "bigrams, 64 dims": segment.build(tr, dev, 64, bigrams=True), "hashed, 64 dims": segment.build(tr, dev, 64, hashed=True)}
+    made = {n: (quantize.coded(net), enc) for n, (net, enc) in made.items()}
+    deciders = {n: (_Greedy(*m), cost.size_kb(m[0])) for n, m in made.items()}
     deciders |= {"bigrams, 64 dims, beam": (_Greedy(*made["bigrams, 64 dims"], beam=3), deciders["bigrams, 64 dims"][1])}
-    deciders |= {"linear": (segment.LinearSegmenter().fit(tr, 1), None), "linear, conjunctions": (segment.LinearSegmenter(True).fit(tr, 1), None), "longest match": (segment.MaxMatch(tr), None), "one word": (segment.one_word, None), "every character": (segment.every_char, None)}
+    deciders |= {"linear": (segment.LinearSegmenter().fit(tr), None), "linear, conjunctions": (segment.LinearSegmenter(True).fit(tr), None), "longest match": (segment.MaxMatch(tr), None), "one word": (segment.one_word, None), "every character": (segment.every_char, None)}
     out = None
     for name, (decider, kb) in deciders.items():
         row = segment.rates(segment.evaluate(test, decider)).withColumn("model", F.lit(name)).withColumn("kb", F.lit(kb).cast("double"))
@@ -561,43 +663,66 @@ def frs_identity(spark, d):
     return _perms(spark, d).groupBy("lang").agg(F.round(F.avg(metrics.frs_pairs(p)), 6).alias("frs_pairs"), F.round(F.avg(metrics.frs_chunks(p)), 6).alias("frs_chunks"))
 
 
+@query("order_exact", f"WITH {ORDER}, e AS (SELECT sent_id, any_value(lang) AS lang, bool_and(rank = pos) AS same FROM rk GROUP BY 1) SELECT lang, round(avg(same::INT), 9)::DOUBLE AS exact FROM e GROUP BY lang")
+def order_exact(spark, d):
+    """Share of sentences whose own order is the target order."""
+    same = F.col("perm") == F.transform(F.sequence(F.lit(0), F.size("perm") - 1), lambda i: i)
+    return _perms(spark, d).groupBy("lang").agg(F.round(F.avg(same.cast("double")), 9).alias("exact"))
+
+
 @query("derivations")
 def derivations(spark, d):
-    """Lazy against eager derivations of every sentence's target order: actions, swaps, and the bound on swaps."""
+    """Lazy against eager derivations of every sentence's target order: actions, swaps, and the formula of their number."""
 
     def run(batches):
         for batch in batches:
+            rows = []
             for p in batch["perm"]:
                 p = list(p)
                 for eager in (True, False):
                     a = preorder.derivation(p, eager)
-                    yield pd.DataFrame({"eager": [eager], "words": [len(p)], "steps": [len(a)], "swaps": [a.count(preorder.SWAP)], "formula": [2 * len(p) - 1 + 2 * a.count(preorder.SWAP)]})
-
-    # Sentences of up to 40 tokens: the workload's domain (a derivation may take the square of the length).
-    made = _perms(spark, d).where(F.size("perm") <= 40).mapInPandas(run, "eager boolean, words long, steps long, swaps long, formula long")
-    return made.groupBy("eager").agg(F.count(F.lit(1)).alias("sentences"), F.sum("words").alias("words"), F.sum("steps").alias("steps"), F.sum("swaps").alias("swaps"), F.sum((F.col("steps") != F.col("formula")).cast("long")).alias("off_formula"))
-
-
-def _order_samples(spark, d, sentences=50):
-    """Sentences of 2 to 40 tokens with gold tags, predicted tags of a tagger trained on other documents, and target ranks."""
-    sents, tr, dev = _tag_samples(spark, d, 100)
-    tagger = postag.build(tr, dev, epochs=2)
-    rank = F.udf(lambda tags: preorder.silver_order(list(tags)), "array<int>")
-    short = sents.where(F.size("toks").between(2, 40))
-    both = postag.predict(short, tagger, ["sent_id", "doc_id", "lang", "part", "toks", "tags"], "pred_tags").withColumn("rank", rank("tags"))
+                    rows.append((eager, len(p), len(a), a.count(preorder.SWAP)))
+            yield pd.DataFrame(rows, columns=["eager", "words", "steps", "swaps"])
+
+    made = _perms(spark, d).mapInPandas(run, "eager boolean, words long, steps long, swaps long")
+    formula = 2 * F.col("words") - 1 + 2 * F.col("swaps")
+    return made.groupBy("eager").agg(F.count(F.lit(1)).alias("sentences"), F.sum("words").alias("words"), F.sum("steps").alias("steps"), F.sum("swaps").alias("swaps"), F.sum((F.col("steps") != formula).cast("long")).alias("off_formula"))
+
+
+def _order_samples(spark, d, sentences=150):
+    """All sentences of two tokens or more with gold tags, predicted tags of a tagger trained on other documents, and target ranks.
+
+    Learned from: bounded samples of sentences of up to 40 tokens.
+    """
+    sents, tr, dev, lex = _tag_samples(spark, d, 300)
+    tagger = quantize.coded(postag.build(tr, dev, clusters=cluster_map(lex)))
+    clause = F.aggregate("tags", F.struct(F.lit(0).alias("c"), F.array().cast("array<int>").alias("out")), lambda s, t: F.struct((s["c"] + (t == "PUNCT").cast("int")).alias("c"), F.concat(s["out"], F.array(s["c"])).alias("out")), lambda s: s["out"])
+    number = F.create_map(*[F.lit(x) for kv in (preorder.CLASS_RANK | {"PUNCT": 4}).items() for x in kv])
+    keyed = F.array_sort(F.transform(F.arrays_zip(F.col("clause"), F.col("tags")), lambda x, i: F.struct(x["clause"].alias("c"), number[x["tags"]].alias("k"), i.alias("i"))))
+    # The place of each word in the sorted list, by sorting (word, place) back.
+    rank = F.transform(F.array_sort(F.transform(keyed, lambda x, r: F.struct(x["i"].alias("i"), r.alias("r")))), lambda x: x["r"])
+    both = postag.predict(sents.where(F.size("toks") >= 2), tagger, ["sent_id", "doc_id", "lang", "part", "toks", "tags"], "pred_tags").withColumn("clause", clause).withColumn("rank", rank).drop("clause")
     both = materialise(both, "orders")
-    pick = lambda part, n: [r.asDict() for r in splits.stratified(both.where(F.col("part") == part), "lang", "sent_id", n).collect()]
+    pick = lambda part, n: [r.asDict() for r in splits.stratified(both.where((F.col("part") == part) & (F.size("toks") <= 40)), "lang", "sent_id", n).collect()]
     return both, tagger, pick("train", sentences), pick("dev", sentences // 5)
 
 
+def _as_seen(rows: list[dict]) -> list[dict]:
+    return [r | {"tags": r["pred_tags"]} for r in rows]
+
+
 @query("preorder_trained")
 def preorder_trained(spark, d):
-    """Words alone, with predicted tags, with the tagger's inputs; the bracketing baseline, identity and reverse."""
-    both, _, tr, dev = _order_samples(spark, d)
-    seen = lambda rows: [r | {"tags": r["pred_tags"]} for r in rows]
-    nets = {"words": preorder.build(tr, dev, "words", epochs=1), "predicted tags": preorder.build(seen(tr), seen(dev), "tags", epochs=1), "tagger inputs": preorder.build(tr, dev, "tagger_inputs", epochs=1), "bracketing": preorder.BracketPreorderer().fit(seen(tr)), "identity": "identity", "reverse": "reverse"}
-    got = preorder.evaluate(both.where("part = 'test'"), nets, "pred_tags")
-    kb = {n: round(cost.size_kb(x, 8, 2), 1) for n, x in nets.items() if hasattr(x, "template")}
+    """Words alone, with predicted tags, with the tagger's inputs (in 8-bit codes); bracketing (of up to 40 tokens), rule order, identity and reverse, over sentences of any length.
+
+    The KB of the model with predicted tags contain the tagger and its map.
+    """
+    both, tagger, tr, dev = _order_samples(spark, d)
+    nets = {"words": preorder.build(tr, dev, "words"), "predicted tags": preorder.build(_as_seen(tr), _as_seen(dev), "tags"), "tagger inputs": preorder.build(tr, dev, "tagger_inputs")}
+    nets = {n: quantize.coded(x) for n, x in nets.items()}
+    nets["predicted tags"].resources["bytes"] = int(cost.size_kb(tagger) * 1024)
+    kb = {n: round(cost.size_kb(x), 1) for n, x in nets.items()}
+    got = preorder.evaluate(both.where("part = 'test'"), nets | {"bracketing": preorder.BracketPreorderer().fit(_as_seen(tr)), "rule": "rule", "identity": "identity", "reverse": "reverse"}, "pred_tags")
     return got.withColumn("kb", F.element_at(F.create_map(*[F.lit(x) for kv in kb.items() for x in kv]), F.col("model")))
 
 
@@ -606,24 +731,49 @@ def preorder_trained(spark, d):
 
 @query("pipeline_tag_preorder")
 def pipeline_tag_preorder(spark, d):
-    """Tagging and preordering in one pass: tokens a second and the tagger's share."""
-    both, tagger, tr, dev = _order_samples(spark, d, 40)
-    net = preorder.build([r | {"tags": r["pred_tags"]} for r in tr], [r | {"tags": r["pred_tags"]} for r in dev], "tags", epochs=1)
+    """Tagging and preordering of all test sentences in one pass: tokens a second and the tagger's share."""
+    both, tagger, tr, dev = _order_samples(spark, d)
+    net = quantize.coded(preorder.build(_as_seen(tr), _as_seen(dev), "tags"))
     return pipelines.stage_share(pipelines.tag_preorder(both.where("part = 'test'"), tagger, net, ["sent_id"]))
 
 
+def _three_stages(spark, d):
+    """A language model, and a segmenter and a tagger for each language, in 8-bit codes; sentences split for testing."""
+    parts, tr, dev = _langid_samples(spark, d, 100)
+    language = quantize.coded(langid.build(tr, dev, 8, hidden=64))
+    words = materialise(splits.assign(_words(spark, d).where(F.size("words") > 0), "doc_id"), "seg-sentences")
+    some = splits.stratified(words.where((F.col("part") == "train") & (F.size("words") <= 60)), "lang", "sent_id", 120).select("lang", "words").collect()
+    _, tag_tr, tag_dev, lex = _tag_samples(spark, d, 200)
+    held = cluster_map(lex)
+    segmenters, taggers = {}, {}
+    for lang in language.classes:
+        mine = [r["words"] for r in some if r["lang"] == lang] or [r["words"] for r in some]
+        net, enc = segment.build(mine, mine[:20], 32, bigrams=True)
+        segmenters[lang] = (quantize.coded(net), enc)
+        own = lambda rows, lang=lang: [r for r in rows if r["lang"] == lang] or rows
+        taggers[lang] = quantize.coded(postag.build(own(tag_tr), own(tag_dev), 8, clusters=held, epochs=2))
+    return language, segmenters, taggers, words.where("part = 'test'")
+
+
+#: Layers and width of the recurrent baseline whose operations are compared.
+LSTM_SHAPE = (4, 160)
+
+
 @query("pipeline_lang_seg_tag")
 def pipeline_lang_seg_tag(spark, d):
-    """Language, words and tags of unsegmented sentences in one pass: how often the language is right, words and tokens made."""
-    parts, tr, dev = _langid_samples(spark, d, 60)
-    language = langid.build(tr, dev, 8, hidden=64, epochs=2)
-    words, seg_tr, seg_dev = _seg_samples(spark, d, 80)
-    shared = segment.build(seg_tr, seg_dev, 16, epochs=1)
-    _, tag_tr, tag_dev = _tag_samples(spark, d, 100)
-    tagger = postag.build(tag_tr, tag_dev, 8, epochs=1)
-    joined = words.where("part = 'test'").select("sent_id", "lang", F.array_join("words", "").alias("text"))
-    got = pipelines.lang_seg_tag(joined, language, dict.fromkeys(language.classes, shared), dict.fromkeys(language.classes, tagger), ["sent_id", "lang"])
-    return got.groupBy("lang").agg(F.count(F.lit(1)).alias("sentences"), F.avg((F.col("lang") == F.col("lang_pred")).cast("double")).alias("lang_right"), F.sum(F.size("words")).alias("words"), F.sum(F.size("tags")).alias("tags"))
+    """Language, words and tags of unsegmented sentences and of conversation turns in one pass, by models of the predicted language.
+
+    How often the language is right, words, tags, and the operations a token beside those of a byte-level recurrent model.
+    """
+    language, segmenters, taggers, test = _three_stages(spark, d)
+    joined = test.select(F.lit("documents").alias("tab"), "lang", F.array_join("words", "").alias("text"))
+    talk = load(spark, d, "conversations").select(F.lit("conversations").alias("tab"), F.lit(None).cast("string").alias("lang"), F.regexp_replace(F.coalesce("text", F.lit("")), r"\s+", "").alias("text")).where("text <> ''")
+    got = materialise(pipelines.lang_seg_tag(joined.unionByName(talk), language, segmenters, taggers, ["tab", "lang", "text"]), "three-stages")
+    per = lambda nets: max(cost.net_flops(n) for n in nets)
+    ours = F.sum(F.lit(float(cost.net_flops(language))) + per(s for s, _ in segmenters.values()) * F.length("text") + per(taggers.values()) * F.size("words"))
+    theirs = F.sum(F.octet_length("text")) * float(cost.lstm_flops(*LSTM_SHAPE))
+    tokens = F.sum(F.size("words"))
+    return got.groupBy("tab", "lang").agg(F.count(F.lit(1)).alias("sentences"), F.avg((F.col("lang") == F.col("lang_pred")).cast("double")).alias("lang_right"), tokens.alias("words"), F.sum(F.size("tags")).alias("tags"), (ours / tokens).alias("flops_per_token"), (theirs / tokens).alias("lstm_flops_per_token"), (theirs / ours).alias("fewer_operations"))
 
 
 # --- throughput (wall clock of warm scoring passes over whole tables) ---------------
@@ -648,28 +798,41 @@ def langid_throughput(spark, d):
     dealt = base.select("doc_id", "text").repartition(int(spark.conf.get("spark.sql.shuffle.partitions")))
     size = base.agg(F.count(F.lit(1)).alias("n"), F.sum(F.octet_length("text")).alias("b")).first()
     rows = []
-    for name, n in (("float", net), ("8 bits", langid.quantized(net))):
+    for name, n in (("float", net), ("8 bits, decoded as read", quantize.coded(net))):
         s = _timed(langid.score(dealt, n, "text", ["doc_id"]))
         rows.append((name, size["n"] / s, size["b"] / 1e6 / s))
     return spark.createDataFrame(rows, "model string, docs_per_second double, mb_per_second double")
 
 
+@query("strategy_throughput")
+def strategy_throughput(spark, d):
+    """Documents and megabytes a second of the analytic model by each physical strategy."""
+    base = docs(spark, d)
+    size = base.agg(F.count(F.lit(1)).alias("n"), F.sum(F.octet_length("text")).alias("b")).first()
+    dealt = materialise(base.select("doc_id", "text").repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), "dealt")
+    rows = []
+    for strategy in ("relational", "inrow", "vector"):
+        s = _timed(forward.predict(dealt, MODEL, "doc_id", strategy=strategy))
+        rows.append((strategy, size["n"] / s, size["b"] / 1e6 / s))
+    return spark.createDataFrame(rows, "strategy string, docs_per_second double, mb_per_second double")
+
+
 @query("tagger_throughput")
 def tagger_throughput(spark, d):
-    """Tokens a second of the half-size tagger over all sentences."""
-    t = postag.template(8)
-    net = postag.Network.random(t, 64, list(postag.TAGS))
-    sents = materialise(postag.sentence_rows(docs(spark, d)).withColumn("clusters", F.transform("toks", lambda x: F.lit(-1).cast("long"))).repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), "sentences")
-    n = sents.agg(F.sum(F.size("toks"))).first()[0]
-    return spark.createDataFrame([(n / _timed(postag.predict(sents, net, ["sent_id"])),)], "tokens_per_second double")
+    """Tokens a second of the half-size tagger with clusters from its map, in 8-bit codes, over all sentences."""
+    sents, tr, dev, lex = _tag_samples(spark, d, 100)
+    net = quantize.coded(postag.build(tr, dev, 8, clusters=cluster_map(lex), epochs=1))
+    dealt = materialise(sents.select("sent_id", "toks").repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), "sentences")
+    n = dealt.agg(F.sum(F.size("toks"))).first()[0]
+    return spark.createDataFrame([(n / _timed(postag.predict(dealt, net, ["sent_id"])),)], "tokens_per_second double")
 
 
 @query("segmenter_throughput")
 def segmenter_throughput(spark, d):
-    """Characters and kilobytes a second of the bigram segmenter over all sentences."""
+    """Characters, kilobytes and words a second of the bigram segmenter in 8-bit codes over all sentences."""
     words = materialise(_words(spark, d).where(F.size("words") > 0).repartition(int(spark.conf.get("spark.sql.shuffle.partitions"))), "seg-sentences")
     some = [r["words"] for r in splits.stratified(words, "lang", "sent_id", 50).collect()]
     net, enc = segment.build(some, some[:20], 64, bigrams=True, epochs=1)
-    n = words.agg(F.sum(F.length(F.array_join("words", ""))).alias("c"), F.sum(F.octet_length(F.array_join("words", ""))).alias("b")).first()
-    s = _timed(segment.evaluate(words, _Greedy(net, enc)))
-    return spark.createDataFrame([(n["c"] / s, n["b"] / 1000 / s)], "chars_per_second double, kb_per_second double")
+    n = words.agg(F.sum(F.length(F.array_join("words", ""))).alias("c"), F.sum(F.octet_length(F.array_join("words", ""))).alias("b"), F.sum(F.size("words")).alias("w")).first()
+    s = _timed(segment.evaluate(words, _Greedy(quantize.coded(net), enc)))
+    return spark.createDataFrame([(n["c"] / s, n["b"] / 1000 / s, n["w"] / s)], "chars_per_second double, kb_per_second double, tokens_per_second double")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -30,15 +32,74 @@ def audit(grams: DataFrame, column: str, size: int, algo: str = "md5") -> DataFr
     )
 
 
+_MIX = np.uint64(0x9E3779B97F4A7C15)
+
+
+def _settle(h: np.ndarray) -> np.ndarray:
+    h = (h ^ (h >> np.uint64(31))) * np.uint64(0xD6E8FEB86659FD93)
+    return h ^ (h >> np.uint64(32))
+
+
+class Block:
+    """The code points of many texts side by side, with each place's distance to the end of its text."""
+
+    def __init__(self, texts: list[str]):
+        self.size = np.fromiter(map(len, texts), np.int64, len(texts))
+        self.text = "".join(texts)
+        self.code = np.frombuffer(self.text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64) + np.uint64(1)
+        self.room = np.repeat(np.cumsum(self.size), self.size) - np.arange(len(self.code))
+
+    def grams(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """64-bit identities of all n-grams inside texts (a polynomial), and their places."""
+        at = np.flatnonzero(self.room >= n)
+        h = np.zeros(len(at), np.uint64)
+        for k in range(n):
+            h = h * _MIX + self.code[at + k]
+        return _settle(h), at
+
+    def counts(self, n: int) -> np.ndarray:
+        """N-grams of each text."""
+        return np.maximum(self.size - n + 1, 0)
+
+
+def gram_bags(texts: list[str], n: int, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of the n-grams of many texts, and the offsets of each text's bag; a bag without n-grams is the bucket 0."""
+    block = Block(texts)
+    many = block.counts(n)
+    room = np.maximum(many, 1)
+    ids = np.zeros(int(room.sum()), np.int64)
+    ids[np.repeat(many > 0, room)] = (block.grams(n)[0] % np.uint64(size)).astype(np.int64)
+    return ids, np.append(0, np.cumsum(room))
+
+
 def gram_buckets(text: str, n: int, size: int) -> np.ndarray:
-    """The same idea for NumPy models: a bucket for each character n-gram of a text, by a 64-bit polynomial."""
-    code = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64) + np.uint64(1)
-    if len(code) < n:
-        return np.zeros(0, np.int32)
-    h = np.zeros(len(code) - n + 1, np.uint64)
-    for k in range(n):
-        h = h * np.uint64(0x9E3779B97F4A7C15) + code[k : len(code) - n + 1 + k]
-    h ^= h >> np.uint64(31)
-    h *= np.uint64(0xD6E8FEB86659FD93)
-    h ^= h >> np.uint64(32)
-    return (h % np.uint64(size)).astype(np.int32)
+    """A bucket for each character n-gram of one text, by the same polynomial."""
+    return (Block([text]).grams(n)[0] % np.uint64(size)).astype(np.int32)
+
+
+class Md5Buckets:
+    """md5 buckets of the n-grams of a block of texts; each distinct n-gram is hashed about once in a worker.
+
+    N-grams are known by 64-bit identities in a table of ``ROOM`` places; one that lost its place is hashed again.
+    """
+
+    ROOM_BITS = 20
+
+    def __init__(self, n: int, size: int):
+        self.n, self.size = n, size
+        places = np.arange(1 << self.ROOM_BITS, dtype=np.uint64)
+        self.keys = (places ^ np.uint64(1)) << np.uint64(64 - self.ROOM_BITS)  # a key that belongs elsewhere: an empty place
+        self.values = np.zeros(1 << self.ROOM_BITS, np.int64)
+
+    def __call__(self, block: Block) -> np.ndarray:
+        key, at = block.grams(self.n)
+        place = (key >> np.uint64(64 - self.ROOM_BITS)).astype(np.int64)
+        out = self.values[place]
+        miss = np.flatnonzero(self.keys[place] != key)
+        if len(miss):
+            fresh, first, back = np.unique(key[miss], return_index=True, return_inverse=True)
+            made = np.fromiter((int(hashlib.md5(block.text[i : i + self.n].encode()).hexdigest()[:8], 16) % self.size for i in at[miss[first]].tolist()), np.int64, len(fresh))
+            out[miss] = made[back]
+            mine = (fresh >> np.uint64(64 - self.ROOM_BITS)).astype(np.int64)
+            self.keys[mine], self.values[mine] = fresh, made
+        return out

@@ -6,6 +6,7 @@ import numpy as np
 
 from .features import Template
 from .model import Network
+from .quantize import CodedNetwork
 
 #: Eight matrix products a cell and step.
 LSTM_PRODUCTS = 8
@@ -27,8 +28,17 @@ def size_bytes(template: Template, hidden: int, classes: int, bits: int = 32, sc
     return sum(g.vocab * g.dim for g in template.groups) * bits / 8 + rows * scale_bytes + 4 * dense + resources
 
 
-def size_kb(net: Network, bits: int = 32, scale_bytes: int = 0, resources: int = 0) -> float:
-    return size_bytes(net.template, len(net.c), len(net.classes), bits, scale_bytes, resources) / 1024
+def size_kb(net: Network | CodedNetwork) -> float:
+    """Kilobytes of a network as it stands: codes and scales if it is kept in codes, and the bytes of its resources (maps, vocabularies)."""
+    resources = int(net.resources.get("bytes", 0))
+    if isinstance(net, CodedNetwork):
+        scales = sum(s.size for s in net.scales) * net.scale_bytes
+        return (size_bytes(net.template, len(net.c), len(net.classes), net.bits, 0, resources) + scales) / 1024
+    return size_bytes(net.template, len(net.c), len(net.classes), 32, 0, resources) / 1024
+
+
+def net_flops(net: Network | CodedNetwork) -> int:
+    return flops(net.template.h0, len(net.c), len(net.classes))
 
 
 def lstm_params(layers: int, width: int, inputs: int | None = None) -> int:

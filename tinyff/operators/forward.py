@@ -1,6 +1,7 @@
 """The forward pass as three physical strategies.
 
-relational  n-gram counts, broadcast join with the embedding table, aggregation: SQL's form
+relational  n-gram counts, broadcast join with the embedding table, aggregation: SQL's form, which deals whole
+            texts over the tasks and is kept as a check of the others
 inrow       nested lambdas inside the row: no shuffle, no Python
 vector      NumPy over Arrow batches with a broadcast model: the form for large inputs
 """
@@ -11,11 +12,11 @@ from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import bucket
+from ..functions.hashing import Block, Md5Buckets, bucket
 from ..functions.text import bound, char_ngrams
 from ..plans.scratch import spread
 from .model import AnalyticModel
@@ -91,32 +92,42 @@ def in_row_h0(text: Column, model: AnalyticModel) -> Column:
     return F.concat(*[group(g, n, size) for g, (n, size) in enumerate(zip(model.orders, model.vocab, strict=True))])
 
 
-def _vector_predict(model: AnalyticModel, key: str):
-    import hashlib
+#: Characters of texts that are scored together.
+BLOCK_CHARS = 1 << 18
+
+
+def text_blocks(texts: list[str], most: int = BLOCK_CHARS) -> Iterator[tuple[int, int]]:
+    """Ranges of texts of about ``most`` characters together."""
+    start, size = 0, 0
+    for i, t in enumerate(texts):
+        if size and size + len(t) > most:
+            yield start, i
+            start, size = i, 0
+        size += len(t)
+    if start < len(texts):
+        yield start, len(texts)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+
+def _vector_predict(model: AnalyticModel, key: str):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables = [np.array([[model.embedding(g, v, d) for d in range(model.dim)] for v in range(size)], np.int64) for g, size in enumerate(model.vocab)]
         w = np.array([[model.hidden_weight(j, i) for i in range(model.h0)] for j in range(model.hidden)], np.int64)
         c = np.array([model.hidden_bias(j) * 16 for j in range(model.hidden)], np.int64)
         beta = np.array([[model.output_weight(y, j) for j in range(model.hidden)] for y in range(len(model.classes))], np.int64)
-        slots: list[dict[str, int]] = [{} for _ in model.orders]
+        buckets = [Md5Buckets(n, size) for n, size in zip(model.orders, model.vocab, strict=True)]
         for batch in batches:
-            h0 = np.zeros((len(batch), model.h0), np.int64)
-            for r, text in enumerate(batch["text"]):
-                text = (text or "").lower()
-                for g, (n, size) in enumerate(zip(model.orders, model.vocab, strict=True)):
-                    grams = [text[i : i + n] for i in range(len(text) - n + 1)]
-                    known = slots[g]
-                    for x in set(grams) - known.keys():
-                        known[x] = int(hashlib.md5(x.encode()).hexdigest()[:8], 16) % size
-                    if len(known) > 500_000:
-                        known.clear()
-                        known.update((x, int(hashlib.md5(x.encode()).hexdigest()[:8], 16) % size) for x in set(grams))
-                    if grams:
-                        total = tables[g][[known[x] for x in grams]].sum(0)
-                        h0[r, g * model.dim : (g + 1) * model.dim] = np.floor(128.0 * total / len(grams))
+            texts = [(t or "").lower() for t in batch.column(1).to_pylist()]
+            h0 = np.zeros((len(texts), model.h0), np.int64)
+            for a, b in text_blocks(texts):
+                block = Block(texts[a:b])
+                for g, n in enumerate(model.orders):
+                    many = block.counts(n)
+                    end, has = np.cumsum(many), many > 0
+                    run_total = np.vstack([np.zeros((1, model.dim), np.int64), np.cumsum(tables[g][buckets[g](block)], 0)])
+                    total = (run_total[end] - run_total[end - many])[has]
+                    h0[a:b, g * model.dim : (g + 1) * model.dim][has] = np.floor(128.0 * total / many[has][:, None])
             z = np.maximum(h0 @ w.T + c, 0) @ beta.T
-            yield pd.DataFrame({key: batch[key], "label": np.array(model.classes, object)[z.argmax(1)], "score": z.max(1)})
+            yield pa.record_batch({key: batch.column(0), "label": pa.array(np.array(model.classes, object)[z.argmax(1)], pa.string()), "score": pa.array(z.max(1))})
 
     return run
 
@@ -125,7 +136,7 @@ def predict(df: DataFrame, model: AnalyticModel, key: str, text: str = "text", s
     """(key, label, score) of every row of distinct keys; all strategies give the same."""
     rows = df.select(key, F.col(text).alias("text"))
     if strategy == "vector":
-        return rows.mapInPandas(_vector_predict(model, key), f"{key} {df.schema[key].dataType.simpleString()}, label string, score long")
+        return rows.mapInArrow(_vector_predict(model, key), f"{key} {df.schema[key].dataType.simpleString()}, label string, score long")
     if strategy == "relational":
         h = concat_groups(embed(gram_counts(rows, key, "text", model), key, model), rows, key, model)
     elif strategy == "inrow":

@@ -9,6 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .bloommap import BloomMap
 from .features import FeatureGroup, Template
 
 
@@ -78,21 +79,35 @@ class Network:
     def copy(self) -> Network:
         return Network(self.template, self.classes, [e.copy() for e in self.embeddings], self.w.copy(), self.c.copy(), self.beta.copy(), self.b.copy(), dict(self.resources))
 
+    def rows(self, group: int, ids: np.ndarray) -> np.ndarray:
+        """Embeddings of the ids of one group."""
+        return self.embeddings[group][ids]
+
+    def product(self, group: int, counts: np.ndarray) -> np.ndarray:
+        """Sums of embeddings, for rows of counts over the whole vocabulary of a group."""
+        return counts @ self.embeddings[group]
+
     def logits(self, h0: np.ndarray) -> np.ndarray:
         return np.maximum(h0 @ self.w.T + self.c, 0) @ self.beta.T + self.b
 
 
 def save(spark: SparkSession, net: Network, path: str) -> None:
-    """A versioned folder: parameters as one Parquet table, the specification as JSON."""
+    """A folder: parameters as one Parquet table, the specification as JSON, and the cluster map if there is one."""
     names = [f"embedding{i}" for i in range(len(net.embeddings))] + ["w", "c", "beta", "b"]
     rows = [(n, list(map(int, p.shape)), p.astype(np.float32).ravel().tolist()) for n, p in zip(names, net.parameters(), strict=True)]
     spark.createDataFrame(rows, "name string, shape array<int>, value array<float>").coalesce(1).write.mode("overwrite").parquet(f"{path}/parameters")
     spec = json.dumps({"groups": [asdict(g) for g in net.template.groups], "classes": net.classes, "resources": {k: v for k, v in net.resources.items() if isinstance(v, str | int | float | list | dict)}})
     spark.createDataFrame([(spec,)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/spec")
+    held = net.resources.get("clusters")
+    about = [] if held is None else [(bytearray(held.bits.tobytes()), json.dumps({"size": held.size, "hashes": list(held.hashes.items()), "values": held.values, "codes": list(held.codes.items()), "variant": held.variant}))]
+    spark.createDataFrame(about, "bits binary, about string").coalesce(1).write.mode("overwrite").parquet(f"{path}/map")
 
 
 def load(spark: SparkSession, path: str) -> Network:
     spec = json.loads(spark.read.text(f"{path}/spec").first()["value"])
     got = {r["name"]: np.array(r["value"], np.float32).reshape(r["shape"]) for r in spark.read.parquet(f"{path}/parameters").collect()}
     template = Template(tuple(FeatureGroup(**g) for g in spec["groups"]))
+    for r in spark.read.parquet(f"{path}/map").collect():
+        about = json.loads(r["about"])
+        spec["resources"]["clusters"] = BloomMap(np.frombuffer(bytes(r["bits"]), np.uint64), about["size"], dict(about["hashes"]), about["values"], dict(about["codes"]), about["variant"])
     return Network(template, spec["classes"], [got[f"embedding{i}"] for i in range(len(template.groups))], got["w"], got["c"], got["beta"], got["b"], spec["resources"])

@@ -23,7 +23,7 @@ def lang_seg_tag(sents: DataFrame, language: Network, segmenters: dict[str, tupl
 
         language, segmenters, taggers = held.value
         for batch in batches:
-            for a in range(0, len(batch), 256):
+            for a in range(0, len(batch), 1024):
                 part = batch.iloc[a : a + 256]
                 texts = part["text"].tolist()
                 z = train.predict(language, langid.bags(texts, language.template))
@@ -34,7 +34,7 @@ def lang_seg_tag(sents: DataFrame, language: Network, segmenters: dict[str, tupl
                     acts = segment.decode([texts[i] for i in mine], *segmenters[lang])
                     for i, act in zip(mine, acts, strict=True):
                         words[i] = [texts[i][s:e] for s, e in sorted(segment.spans(act))]
-                    for i, t in zip(mine, postag.tag_all(taggers[lang], [words[i] for i in mine], [[-1] * len(words[i]) for i in mine]), strict=True):
+                    for i, t in zip(mine, postag.tag_all(taggers[lang], [words[i] for i in mine]), strict=True):
                         tags[i] = t
                 yield part[keep].assign(lang_pred=langs, words=words, tags=tags)
 
@@ -49,11 +49,11 @@ def tag_preorder(sents: DataFrame, tagger: Network, reorderer: Network, keep: li
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         tagger, reorderer = held.value
         for batch in batches:
-            for a in range(0, len(batch), 256):
+            for a in range(0, len(batch), 1024):
                 part = batch.iloc[a : a + 256]
                 toks = [list(x) for x in part["toks"]]
                 t0 = time.perf_counter()
-                tags = postag.tag_all(tagger, toks, [[-1] * len(x) for x in toks])
+                tags = postag.tag_all(tagger, toks)
                 t1 = time.perf_counter()
                 orders = preorder.decode(toks, tags, reorderer)[0]
                 n = np.array([len(x) for x in toks], float)

@@ -1,4 +1,4 @@
-"""Tagging: silver tags by rule, word clusters, window features, independent token classification."""
+"""Tagging: silver tags by rule, word clusters in a Bloom map, window features, independent token classification."""
 
 from __future__ import annotations
 
@@ -9,9 +9,11 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import gram_buckets
+from ..functions.hashing import gram_bags
 from ..functions.text import sentences, tokens
+from ..plans.scratch import BROADCAST_ROWS
 from . import train
+from .bloommap import BloomMap, key_hash
 from .features import FeatureGroup, Template
 from .model import Network
 from .train import Bags
@@ -81,9 +83,29 @@ def _chain(cases: list[tuple[Column, Column]], last: Column) -> Column:
     return out
 
 
+#: Words whose tokens are never shuffled: the most frequent ones, whose clusters every task holds.
+HEAD_WORDS = 10_000
+
+
+def _with_cluster(rows: DataFrame, lex: DataFrame) -> DataFrame:
+    """Adds ``cluster`` by word from a written lexicon: broadcast if it is small.
+
+    A larger one is split: tokens of the most frequent words are joined to a broadcast head, so that
+    no frequent word's tokens meet in one task, and the rest is shuffled by word.
+    """
+    table = lex.select("word", "cluster")
+    if table.count() <= BROADCAST_ROWS // 4:
+        return rows.join(F.broadcast(table), "word", "left")  # at most half a million words
+    head = F.broadcast(lex.orderBy(F.desc("freq"), "word").limit(HEAD_WORDS).select("word", "cluster", F.lit(True).alias("_head")))
+    first = rows.join(head, "word", "left")
+    tail = first.where("_head IS NULL").drop("cluster").join(table, "word", "left")
+    cols = [*rows.columns, "cluster"]
+    return first.where("_head").select(*cols).unionByName(tail.select(*cols))
+
+
 def silver_tags(docs: DataFrame, lex: DataFrame) -> DataFrame:
     """Token rows with ``tag``: form, function words, word ends, context, and the lexical class of frequent words."""
-    rows = token_rows(docs).withColumn("word", F.lower("tok")).join(lex.select("word", "cluster"), "word", "left")
+    rows = _with_cluster(token_rows(docs).withColumn("word", F.lower("tok")), lex)
     is_func = _by_language({k: F.col("word").isin(v.split()) for k, v in FUNCTION_WORDS.items()}, F.lit(False))
     at = Window.partitionBy("sent_id").orderBy("pos")
     rows = rows.withColumn("func", is_func).withColumn("prev_func", F.coalesce(F.lag("func").over(at), F.lit(False)))
@@ -132,29 +154,63 @@ def slot_groups(t: Template) -> list[int]:
     return [i for i, g in enumerate(t.groups) for _ in range(g.slots)]
 
 
-def token_features(toks: list[str], i: int, t: Template, clusters: list[int] | None = None) -> list[np.ndarray]:
-    """The bags of one token, slot by slot; outside the sentence stands a padding word."""
-    word = lambda j: toks[j].lower() if 0 <= j < len(toks) else "\x00"
-    w = word(i)
-    v = [g.vocab for g in t.groups]
-    out = [gram_buckets(f"^{word(j)}$", 2, v[0]) for j in (i - 1, i, i + 1)]
-    out.append(gram_buckets(f"^{w}$", 3, v[1]))
-    out += [gram_buckets("^" + w[:3], len(w[:3]) + 1, v[2]), gram_buckets(w[-3:] + "$", len(w[-3:]) + 1, v[2])]
-    out.append(np.array([_shape(toks[i])]))
-    if len(t.groups) > 4:
-        out += [np.array([clusters[j] + 2 if 0 <= j < len(toks) else 0]) for j in (i - 1, i, i + 1)]
-    return out
-
-
-def sentence_bags(rows: list[tuple[list[str], list[int] | None]], t: Template) -> Bags:
-    return Bags.of(slot_groups(t), [token_features(toks, i, t, cl) for toks, cl in rows for i in range(len(toks))])
-
-
-def build(rows: list[dict], dev: list[dict], dim: int = 16, clusters: bool = False, hidden: int = 64, epochs: int = 3) -> Network:
-    t = template(dim, clusters)
+def end_bags(ends: list[str], size: int) -> tuple[np.ndarray, np.ndarray]:
+    """The bucket of each whole word end (of any length), as bags of one."""
+    ids = np.zeros(len(ends), np.int64)
+    length = np.fromiter(map(len, ends), np.int64, len(ends))
+    for n in np.unique(length):
+        at = np.flatnonzero(length == n)
+        ids[at] = gram_bags([ends[i] for i in at], int(n), size)[0]
+    return ids, np.arange(len(ends) + 1)
+
+
+class Words:
+    """The distinct words of many sentences, their features computed once, and the place of every token among them."""
+
+    def __init__(self, sents: list[list[str]], t: Template, clusters: BloomMap | None = None):
+        size = np.fromiter(map(len, sents), np.int64, len(sents))
+        flat = np.empty(int(size.sum()) + 1, object)
+        flat[0], flat[1:] = "\x00", [w for s in sents for w in s]  # the first stands outside sentences
+        at, words = pd.factorize(flat)
+        self.at = at[1:]
+        start = np.zeros(len(self.at) + 1, bool)
+        start[np.append(0, np.cumsum(size))] = True
+        self.before = np.where(start[:-1], 0, np.append(0, self.at[:-1])[: len(self.at)])
+        self.after = np.where(start[1:], 0, np.append(self.at[1:], 0)[: len(self.at)])
+        low = [w.lower() for w in words]
+        wrapped, v = [f"^{w}$" for w in low], [g.vocab for g in t.groups]
+        self.bags = [gram_bags(wrapped, 2, v[0]), gram_bags(wrapped, 3, v[1]), end_bags(["^" + w[:3] for w in low], v[2]), end_bags([w[-3:] + "$" for w in low], v[2]), (np.fromiter(map(_shape, words), np.int64, len(words)), np.arange(len(words) + 1))]
+        self.groups = [0, 1, 2, 2, 3]
+        if len(t.groups) > 4:
+            known = clusters.find(key_hash(low)) + 2
+            known[0] = 0
+            self.bags.append((known, np.arange(len(words) + 1)))
+            self.groups.append(4)
+
+    def slots(self) -> list[tuple[int, np.ndarray]]:
+        """For each slot of the template: which bag it reads, at which words."""
+        around = (self.before, self.at, self.after)
+        out = [(0, a) for a in around] + [(k, self.at) for k in (1, 2, 3, 4)]
+        return out + [(5, a) for a in around] * (len(self.bags) > 5)
+
+    def token_bags(self, t: Template) -> Bags:
+        made = [Bags([0], [self.bags[k][0]], [self.bags[k][1]]).take(a) for k, a in self.slots()]
+        return Bags(slot_groups(t), [m.ids[0] for m in made], [m.offsets[0] for m in made])
+
+    def h0(self, net: Network) -> np.ndarray:
+        """The inputs of all tokens: every distinct word is embedded once."""
+        rows = [train.embed(net, Bags([g], [ids], [off])) for g, (ids, off) in zip(self.groups, self.bags, strict=True)]
+        return np.concatenate([rows[k][a] for k, a in self.slots()], 1)
+
+
+def build(rows: list[dict], dev: list[dict], dim: int = 16, clusters: BloomMap | None = None, hidden: int = 64, epochs: int = 3, seed: int = 0) -> Network:
+    """Learns from sentences (``toks``, ``tags``). ``clusters``: the map whose values are features; its bytes count as the model's."""
+    t = template(dim, clusters is not None)
     index = {tag: i for i, tag in enumerate(TAGS)}
-    data = [(sentence_bags([(r["toks"], r["clusters"]) for r in part], t), np.array([index[x] for r in part for x in r["tags"]])) for part in (rows, dev)]
-    net, _ = train.sgd(Network.random(t, hidden, list(TAGS), seed=dim), *data[0], train.Settings(lr=0.1, epochs=epochs), data[1])
+    data = [(Words([r["toks"] for r in part], t, clusters).token_bags(t), np.array([index[x] for r in part for x in r["tags"]])) for part in (rows, dev)]
+    net, _ = train.sgd(Network.random(t, hidden, list(TAGS), seed=dim + seed), *data[0], train.Settings(lr=0.1, epochs=epochs, seed=1 + seed), data[1])
+    if clusters is not None:
+        net.resources |= {"clusters": clusters, "bytes": clusters.bytes}
     return net
 
 
@@ -164,23 +220,23 @@ def predict(sents: DataFrame, net: Network, keep: list[str], out: str = "pred")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            for a in range(0, len(batch), 256):
-                part = batch.iloc[a : a + 256]
+            for a in range(0, len(batch), 1024):
+                part = batch.iloc[a : a + 1024]
                 made = part[keep].copy()
-                made[out] = tag_all(held.value, [list(x) for x in part["toks"]], [list(x) for x in part["clusters"]])
+                made[out] = tag_all(held.value, [x.tolist() for x in part["toks"]])
                 yield made
 
     schema = ", ".join(f"{c} {sents.schema[c].dataType.simpleString()}" for c in keep) + f", {out} array<string>"
-    return sents.select(*dict.fromkeys([*keep, "toks", "clusters"])).mapInPandas(run, schema)
+    return sents.select(*dict.fromkeys([*keep, "toks"])).mapInPandas(run, schema)
 
 
-def tag_all(net: Network, sents: list[list[str]], clusters: list[list[int]]) -> list[list[str]]:
-    z = train.predict(net, sentence_bags(list(zip(sents, clusters, strict=True)), net.template)).argmax(1) if sents else []
-    tags, out, at = [net.classes[i] for i in z], [], 0
-    for s in sents:
-        out.append(tags[at : at + len(s)])
-        at += len(s)
-    return out
+def tag_all(net: Network, sents: list[list[str]], block: int = 1 << 15) -> list[np.ndarray]:
+    words = Words(sents, net.template, net.resources.get("clusters"))
+    if not len(words.at):
+        return [np.zeros(0, object) for _ in sents]
+    h0 = words.h0(net)
+    best = np.concatenate([net.logits(h0[a : a + block]).argmax(1) for a in range(0, len(h0), block)])
+    return np.split(np.array(net.classes, object)[best], np.cumsum([len(s) for s in sents])[:-1])
 
 
 def unigram_tagger(tagged: DataFrame, key: str = "tok") -> DataFrame:

@@ -2,40 +2,56 @@
 
 State: a stack and a buffer of spans. SHIFT moves the buffer's head to the stack;
 APPEND joins the two top spans; SWAP returns the second span to the buffer's head
-and is legal only while its key stands before the top's in the source, so every
-pair of keys swaps at most once and every derivation ends. A span's key is the
-source place of its leading word.
+and is legal only while its key stands before the top's in the source. Joined spans
+give up a key for good, so every pair of keys swaps at most once and every
+derivation ends. A span's key is the source place of its leading word, or (option)
+of its last word or of the word that stands first in the source.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.hashing import gram_buckets
+from ..functions.hashing import gram_bags
 from . import train
 from .features import FeatureGroup, Template
 from .model import Network
-from .postag import TAGS
+from .postag import TAGS, end_bags
 from .train import Bags
 
 SHIFT, APPEND, SWAP = 0, 1, 2
 ACTIONS = ["SHIFT", "APPEND", "SWAP"]
 
 
+@dataclass(slots=True)
+class Span:
+    """Words in target order, linked from ``first`` to ``last``; ``low`` stands first in the source."""
+
+    first: int
+    last: int
+    low: int
+    size: int = 1
+
+
+KEYS = {"first": lambda x: x.first, "last": lambda x: x.last, "min": lambda x: x.low}
+
+
 class TransitionSystem:
-    def __init__(self, n: int):
-        self.stack: list[list[int]] = []
-        self.buffer: list[list[int]] = [[i] for i in range(n - 1, -1, -1)]  # the head is last
+    def __init__(self, n: int, key: str = "first"):
+        self.stack: list[Span] = []
+        self.buffer = [Span(i, i, i) for i in range(n - 1, -1, -1)]  # the head is last
+        self.follow, self.key = [-1] * n, KEYS[key]
         self.swaps = self.steps = 0
 
     def legal(self) -> list[int]:
         two = len(self.stack) > 1
-        return [SHIFT] * bool(self.buffer) + [APPEND] * two + [SWAP] * (two and self.stack[-2][0] < self.stack[-1][0])
+        return [SHIFT] * bool(self.buffer) + [APPEND] * two + [SWAP] * (two and self.key(self.stack[-2]) < self.key(self.stack[-1]))
 
     def apply(self, action: int) -> None:
         if action not in self.legal():
@@ -43,8 +59,9 @@ class TransitionSystem:
         if action == SHIFT:
             self.stack.append(self.buffer.pop())
         elif action == APPEND:
-            top = self.stack.pop()
-            self.stack[-1] = self.stack[-1] + top
+            top, second = self.stack.pop(), self.stack.pop()
+            self.follow[second.last] = top.first
+            self.stack.append(Span(second.first, top.last, min(second.low, top.low), second.size + top.size))
         else:
             self.buffer.append(self.stack.pop(-2))
             self.swaps += 1
@@ -56,19 +73,24 @@ class TransitionSystem:
 
     @property
     def order(self) -> list[int]:
-        return self.stack[0] if self.stack else []
+        out, at = [], self.stack[0].first if self.stack else -1
+        while at >= 0:
+            out.append(at)
+            at = self.follow[at]
+        return out
 
 
-def derivation(rank: list[int], eager: bool = True) -> list[int]:
+def derivation(rank: list[int], eager: bool = True, key: str = "first") -> list[int]:
     """Actions that bring words into target order; ``rank[i]``: target place of word i. Eager joins neighbours at once."""
-    s, out = TransitionSystem(len(rank)), []
+    s, out = TransitionSystem(len(rank), key), []
     while not s.done:
-        if len(s.stack) > 1 and rank[s.stack[-2][0]] > rank[s.stack[-1][0]]:
-            a = SWAP
-        elif len(s.stack) > 1 and (eager or not s.buffer) and rank[s.stack[-2][-1]] + 1 == rank[s.stack[-1][0]]:
-            a = APPEND
-        else:
-            a = SHIFT
+        a = SHIFT
+        if len(s.stack) > 1:
+            second, top = s.stack[-2], s.stack[-1]
+            if rank[second.first] > rank[top.first]:
+                a = SWAP
+            elif (eager or not s.buffer) and rank[second.last] + 1 == rank[top.first]:
+                a = APPEND
         s.apply(a)
         out.append(a)
     return out
@@ -102,67 +124,129 @@ def template(kind: str = "words", dim: int = 8) -> Template:
     return Template(tuple(groups))
 
 
-class WordFeatures:
-    """Bags of each word of a sentence, computed once; index -1 is outside."""
-
-    def __init__(self, toks: list[str], tags: list[str] | None, t: Template, kind: str):
-        v = [g.vocab for g in t.groups]
-        words = [w.lower() for w in toks] + ["\x00"]
-        self.ends = [np.concatenate([gram_buckets("^" + w[:3], len(w[:3]) + 1, v[0]), gram_buckets(w[-3:] + "$", len(w[-3:]) + 1, v[0])]) for w in words]
-        self.tags = [np.array([TAGS.index(x) + 1]) for x in tags or []] + [np.zeros(1, np.int64)]
-        if kind == "tagger_inputs":
-            self.bi = [gram_buckets(f"^{w}$", 2, v[2]) for w in words]
-            self.tri = [gram_buckets(f"^{w}$", 3, v[3]) for w in words]
+def _groups(t: Template) -> list[int]:
+    return [i for i, g in enumerate(t.groups) for _ in range(g.slots)]
 
 
-def state_features(s: TransitionSystem, w: WordFeatures, n: int, kind: str) -> list[np.ndarray]:
-    top, second = (s.stack[-1] if s.stack else None), (s.stack[-2] if len(s.stack) > 1 else None)
-    at = [top[0] if top else -1, top[-1] if top else -1, second[0] if second else -1, second[-1] if second else -1, s.buffer[-1][0] if s.buffer else -1, s.buffer[-2][0] if len(s.buffer) > 1 else -1]
-    swap = bool(top and second and second[0] < top[0])
-    out = [w.ends[i] for i in at] + [np.array([min(3, len(s.stack)) * 4 + min(3, len(s.buffer))]), np.array([swap * 8 + min(7, len(top or []))])]
-    if kind == "tags":
-        out += [w.tags[i] for i in at]
-    if kind == "tagger_inputs":
-        near = lambda i, d: i + d if i >= 0 and 0 <= i + d < n else -1
-        out += [w.bi[near(i, d)] for i in at for d in (-1, 0, 1)] + [w.tri[i] for i in at]
-    return out
+class Sentences:
+    """The words of many sentences: features of distinct words once, and for each token its word and tag.
 
+    Tokens are numbered through; -1 stands outside every sentence.
+    """
 
-def _groups(t: Template) -> list[int]:
-    return [i for i, g in enumerate(t.groups) for _ in range(g.slots)]
+    def __init__(self, toks: list[list[str]], tags: list[list[str]] | None, t: Template, kind: str):
+        size = np.fromiter(map(len, toks), np.int64, len(toks))
+        self.start = np.append(0, np.cumsum(size))
+        flat = np.empty(int(size.sum()) + 1, object)
+        flat[0], flat[1:] = "\x00", [w.lower() for x in toks for w in x]
+        at, words = pd.factorize(flat)
+        self.word = np.append(at[1:], 0)  # the last is read by -1
+        self.first, self.last = (np.zeros(len(self.word), bool) for _ in range(2))
+        self.first[self.start[:-1][size > 0]] = self.last[self.start[1:][size > 0] - 1] = True
+        v = [g.vocab for g in t.groups]
+        ends = [end_bags(["^" + w[:3] for w in words], v[0])[0], end_bags([w[-3:] + "$" for w in words], v[0])[0]]
+        self.tables = [(0, np.stack(ends, 1).ravel(), 2 * np.arange(len(words) + 1))]
+        if kind == "tags":
+            number = {x: i for i, x in enumerate(TAGS, 1)}
+            self.tag = np.array([number[x] for s in tags for x in s] + [0])
+            self.tables.append((2, np.arange(len(TAGS) + 1), np.arange(len(TAGS) + 2)))
+        if kind == "tagger_inputs":
+            wrapped = [f"^{w}$" for w in words]
+            self.tables += [(g, *gram_bags(wrapped, n, v[g])) for g, n in ((2, 2), (3, 3))]
+        self.kind = kind
+
+    def slots(self, places: np.ndarray) -> list[tuple[int, np.ndarray]]:
+        """(table, row) of every slot but those of the state; ``places``: (states, PLACES) tokens."""
+        out = [(0, self.word[p]) for p in places.T]
+        if self.kind == "tags":
+            out += [(1, self.tag[p]) for p in places.T]
+        if self.kind == "tagger_inputs":
+            for p in places.T:
+                near = (np.where((p < 0) | self.first[p], -1, p - 1), p, np.where((p < 0) | self.last[p], -1, p + 1))
+                out += [(1, self.word[q]) for q in near]
+            out += [(2, self.word[p]) for p in places.T]
+        return out
+
+    def state_bags(self, t: Template, places: np.ndarray, states: np.ndarray) -> Bags:
+        one, parts = np.arange(len(places) + 1), []
+        for table, row in self.slots(places):
+            g, ids, off = self.tables[table]
+            made = Bags([g], [ids], [off]).take(row)
+            parts.append((made.ids[0], made.offsets[0]))
+        parts[PLACES:PLACES] = [(s, one) for s in states.T]
+        return Bags(_groups(t), [i for i, _ in parts], [o for _, o in parts])
+
+
+class Scorer:
+    """Action scores of many states: the share of each slot's words in the hidden layer is computed once for every word."""
+
+    def __init__(self, net: Network, words: Sentences):
+        self.net, self.words = net, words
+        dims = [net.template.groups[g].dim for g in _groups(net.template)]
+        stop = np.cumsum(dims)
+        weight = [net.w[:, b - d : b].T for d, b in zip(dims, stop, strict=True)]
+        rows = [train.embed(net, Bags([g], [ids], [off])) for g, ids, off in words.tables]
+        tables = [table for table, _ in words.slots(np.zeros((1, PLACES), np.int64))]
+        state = net.rows(1, np.arange(net.template.groups[1].vocab))
+        self.state = [state @ w for w in weight[PLACES : PLACES + 2]]
+        self.shares = [rows[k] @ w for k, w in zip(tables, weight[:PLACES] + weight[PLACES + 2 :], strict=True)]
+
+    def __call__(self, places: np.ndarray, states: np.ndarray) -> np.ndarray:
+        hidden = self.net.c + self.state[0][states[:, 0]] + self.state[1][states[:, 1]]
+        for share, (_, row) in zip(self.shares, self.words.slots(places), strict=True):
+            hidden += share[row]
+        return np.maximum(hidden, 0) @ self.net.beta.T + self.net.b
+
+
+def _seen(s: TransitionSystem, start: int) -> tuple[list[int], list[int]]:
+    """The tokens at the PLACES of a state (from ``start`` on), and its two state features."""
+    top, second = (s.stack[-1] if s.stack else None), (s.stack[-2] if len(s.stack) > 1 else None)
+    ends = lambda x: [start + x.first, start + x.last] if x else [-1, -1]
+    ahead = [start + s.buffer[-1].first if s.buffer else -1, start + s.buffer[-2].first if len(s.buffer) > 1 else -1]
+    swap = bool(top and second and s.key(second) < s.key(top))
+    return ends(top) + ends(second) + ahead, [min(3, len(s.stack)) * 4 + min(3, len(s.buffer)), swap * 8 + min(7, top.size if top else 0)]
 
 
 def gold_data(rows: list[dict], t: Template, kind: str) -> tuple[Bags, np.ndarray]:
     """States and actions of the eager derivations; ``tags`` are those the model will see (predicted ones)."""
-    made, y = [], []
-    for r in rows:
-        s, w = TransitionSystem(len(r["toks"])), WordFeatures(r["toks"], r["tags"], t, kind)
+    words = Sentences([r["toks"] for r in rows], [r["tags"] for r in rows], t, kind)
+    places, states, y = [], [], []
+    for r, start in zip(rows, words.start.tolist(), strict=False):
+        s = TransitionSystem(len(r["toks"]))
         for a in derivation(r["rank"]):
-            made.append(state_features(s, w, len(r["toks"]), kind))
+            p, f = _seen(s, start)
+            places.append(p)
+            states.append(f)
             y.append(a)
             s.apply(a)
-    return Bags.of(_groups(t), made), np.array(y)
+    return words.state_bags(t, np.array(places), np.array(states)), np.array(y)
 
 
-def build(rows: list[dict], dev: list[dict], kind: str = "words", hidden: int = 48, epochs: int = 2) -> Network:
+def build(rows: list[dict], dev: list[dict], kind: str = "words", hidden: int = 48, epochs: int = 2, seed: int = 0) -> Network:
+    """Learns from sentences (``toks``, ``tags``, ``rank``); training stops early by the score of decoded held-out sentences."""
     t = template(kind)
-    net = Network.random(t, hidden, ACTIONS, seed=len(kind))
-    net, _ = train.sgd(net, *gold_data(rows, t, kind), train.Settings(lr=0.1, epochs=epochs), gold_data(dev, t, kind))
+    net = Network.random(t, hidden, ACTIONS, seed=len(kind) + seed)
     net.resources["kind"] = kind
+
+    def score(n: Network, _) -> float:
+        orders = decode([r["toks"] for r in dev], [r["tags"] for r in dev], n)[0]
+        return float(np.mean([frs([r["rank"][i] for i in o]) for r, o in zip(dev, orders, strict=True)]))
+
+    net, _ = train.sgd(net, *gold_data(rows, t, kind), train.Settings(lr=0.1, epochs=epochs, seed=1 + seed), gold_data(dev, t, kind), every=500, metric=score)
     return net
 
 
 def decode(toks: list[list[str]], tags: list[list[str]] | None, net: Network) -> tuple[list[list[int]], int, int]:
-    """Orders of all sentences, in lock step: one matrix product per step over the unfinished ones; also steps and swaps."""
-    kind, t = net.resources["kind"], net.template
+    """Orders of all sentences, in lock step: one pass over the unfinished ones a step; also steps and swaps."""
+    words = Sentences(toks, tags, net.template, net.resources["kind"])
+    scorer, start = Scorer(net, words), words.start.tolist()
     states = [TransitionSystem(len(x)) for x in toks]
-    words = [WordFeatures(x, tags[i] if tags else None, t, kind) for i, x in enumerate(toks)]
     live = [i for i, s in enumerate(states) if not s.done]
     while live:
-        z = net.logits(train.embed(net, Bags.of(_groups(t), [state_features(states[i], words[i], len(toks[i]), kind) for i in live])))
-        for i, s in zip(live, z, strict=True):
-            legal = states[i].legal()
-            states[i].apply(max(legal, key=lambda a: s[a]))
+        seen = [_seen(states[i], start[i]) for i in live]
+        scores = scorer(np.array([p for p, _ in seen]), np.array([f for _, f in seen]))
+        for i, z in zip(live, scores.tolist(), strict=True):
+            states[i].apply(max(states[i].legal(), key=z.__getitem__))
         live = [i for i in live if not states[i].done]
     return [s.order for s in states], sum(s.steps for s in states), sum(s.swaps for s in states)
 
@@ -172,67 +256,85 @@ def frs(rank_in_order: list[int]) -> float:
     return 100.0 * sum(b == a + 1 for a, b in zip(full, full[1:], strict=False)) / (len(full) - 1)
 
 
-def evaluate(sents: DataFrame, nets: dict[str, Network | str], tag_column: str = "tags") -> DataFrame:
-    """Mean score of every named model (or ``identity``, ``reverse``) by one Arrow pass; all sentences of 2 to 40 tokens."""
+def evaluate(sents: DataFrame, nets: dict, tag_column: str = "tags") -> DataFrame:
+    """Mean score and share of exact orders of every named model by one Arrow pass over sentences of any length.
+
+    A model is a network, a function from tags to an order, or identity, reverse or rule (the rule order of the tags given).
+    """
     held = sents.sparkSession.sparkContext.broadcast(nets)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             batch = batch.iloc[np.argsort([len(x) for x in batch["toks"]])]  # equal lengths finish together
-            for a in range(0, len(batch), 256):
-                part = batch.iloc[a : a + 256]
+            for a in range(0, len(batch), 1024):
+                part = batch.iloc[a : a + 1024]
                 toks, tags, ranks = ([list(x) for x in part[c]] for c in ("toks", tag_column, "rank"))
                 for name, net in held.value.items():
-                    if isinstance(net, str):
+                    if net == "rule":
+                        orders = [np.argsort(silver_order(x)).tolist() for x in tags]
+                    elif isinstance(net, str):
                         orders = [list(range(len(x)))[:: -1 if net == "reverse" else 1] for x in toks]
                     elif callable(net):
                         orders = [net(x) for x in tags]
                     else:
                         orders = decode(toks, tags, net)[0]
-                    yield pd.DataFrame({"model": [name], "sentences": [len(toks)], "total": [sum(frs([r[i] for i in o]) for r, o in zip(ranks, orders, strict=True))]})
+                    made = [[r[i] for i in o] for r, o in zip(ranks, orders, strict=True)]
+                    yield pd.DataFrame({"model": [name], "sentences": [len(toks)], "total": [sum(map(frs, made))], "exact": [sum(m == sorted(m) for m in made)]})
 
-    out = sents.select(*dict.fromkeys(["toks", tag_column, "rank"])).mapInPandas(run, "model string, sentences long, total double")
-    return out.groupBy("model").agg(F.sum("sentences").alias("sentences"), (F.sum("total") / F.sum("sentences")).alias("frs"))
+    out = sents.select(*dict.fromkeys(["toks", tag_column, "rank"])).mapInPandas(run, "model string, sentences long, total double, exact long")
+    return out.groupBy("model").agg(F.sum("sentences").alias("sentences"), (F.sum("total") / F.sum("sentences")).alias("frs"), (F.sum("exact") / F.sum("sentences")).alias("exact"))
 
 
 class BracketPreorderer:
-    """Binary bracketing baseline: a chart over spans decides, by tag-pair weights, which neighbours are inverted."""
+    """Binary bracketing baseline: a chart over spans decides, by tag-pair weights, which neighbours are inverted.
+
+    The weights are those of an averaged perceptron. The chart takes the cube of the length, so a
+    sentence of more than ``longest`` tokens keeps its order.
+    """
 
     def __init__(self, longest: int = 40):
         self.weights: dict[tuple[str, str], float] = {}
         self.longest = longest
 
-    def fit(self, rows: list[dict]) -> BracketPreorderer:
-        for r in rows:
-            for i in range(len(r["tags"])):
-                for j in range(i + 1, min(i + 6, len(r["tags"]))):
-                    pair = (r["tags"][i], r["tags"][j])
-                    self.weights[pair] = self.weights.get(pair, 0.0) + (1.0 if r["rank"][i] < r["rank"][j] else -1.0)
-        for pair, v in self.weights.items():
-            self.weights[pair] = float(np.sign(v)) * np.log1p(abs(v))
+    def fit(self, rows: list[dict], epochs: int = 2) -> BracketPreorderer:
+        total, step = {}, 1
+        for _ in range(epochs):
+            for r in rows:
+                if not 1 < len(r["tags"]) <= self.longest:
+                    continue
+                place = np.argsort(self(r["tags"]))
+                for j, b in enumerate(r["tags"]):
+                    for i, a in enumerate(r["tags"][:j]):
+                        kept = r["rank"][i] < r["rank"][j]
+                        if kept != (place[i] < place[j]):
+                            d = 1.0 if kept else -1.0
+                            self.weights[a, b] = self.weights.get((a, b), 0.0) + d
+                            total[a, b] = total.get((a, b), 0.0) + d * step
+                step += 1
+        self.weights = {pair: v - total[pair] / step for pair, v in self.weights.items()}
         return self
 
     def __call__(self, tags: list[str]) -> list[int]:
         n = len(tags)
+        if n > self.longest or n < 2:
+            return list(range(n))
         keep = np.array([[self.weights.get((a, b), 0.1) for b in tags] for a in tags])
         total = np.zeros((n + 1, n + 1))
         total[1:, 1:] = np.cumsum(np.cumsum(keep, 0), 1)
-        cross = lambda a, m, b: total[m, b] - total[a, b] - total[m, m] + total[a, m]
-        best, how = np.zeros((n + 1, n + 1)), {}
+        best, cut, inverted = np.zeros((n + 1, n + 1)), np.zeros((n + 1, n + 1), np.int64), np.zeros((n + 1, n + 1), bool)
         for size in range(2, n + 1):
             for a in range(n - size + 1):
-                b, top = a + size, (-np.inf, a + 1, False)
-                for m in range(a + 1, b):
-                    c = float(cross(a, m, b))
-                    v = best[a, m] + best[m, b] + abs(c)
-                    if v > top[0]:
-                        top = (v, m, c < 0)
-                best[a, b], how[a, b] = top[0], top[1:]
+                b = a + size
+                m = np.arange(a + 1, b)
+                cross = total[m, b] - total[a, b] - total[m, m] + total[a, m]  # pairs of a left and a right word
+                value = best[a, m] + best[m, b] + np.abs(cross)
+                k = int(value.argmax())
+                best[a, b], cut[a, b], inverted[a, b] = value[k], m[k], cross[k] < 0
 
         def read(a: int, b: int) -> list[int]:
             if b - a == 1:
                 return [a]
-            m, inverted = how[a, b]
-            return read(m, b) + read(a, m) if inverted else read(a, m) + read(m, b)
+            m = int(cut[a, b])
+            return read(m, b) + read(a, m) if inverted[a, b] else read(a, m) + read(m, b)
 
-        return read(0, n) if n else []
+        return read(0, n)

@@ -19,6 +19,7 @@ from ..functions.hashing import gram_buckets
 from ..functions.text import chars
 from . import train
 from .features import FeatureGroup, Template
+from .forward import text_blocks
 from .model import Network
 from .train import Bags
 
@@ -89,6 +90,11 @@ class Encoder:
         self.sizes = (HASHED if hashed else len(self.uni) + 2, len(self.bi) + 2 if bigrams else 0)
         self.cache: dict[str, int] = {}
 
+    @property
+    def bytes(self) -> int:
+        """Bytes of the vocabularies: every n-gram in UTF-8 and its end mark."""
+        return sum(len(g.encode("utf-8", "surrogatepass")) + 1 for table in (self.uni, self.bi) if table for g in table)
+
     def one(self, c: str) -> int:
         if c == "\x00":
             return 0
@@ -102,12 +108,13 @@ class Encoder:
         """Ids of all windows of a text: (length, unigram slots) and (length, bigram slots)."""
         pad = max(-UNI[0], UNI[-1] + 1)
         full = "\x00" * pad + text + "\x00" * pad
-        ids = np.array([self.one(c) for c in full])
+        ids = np.fromiter(map(self.one, full), np.int64, len(full))
         at = np.arange(len(text)) + pad
         uni = np.stack([ids[at + o] for o in UNI], 1)
         if self.bi is None:
             return uni, None
-        two = np.array([self.bi.get(full[i : i + 2], 1) for i in range(len(full) - 1)])
+        known = self.bi.get
+        two = np.fromiter((known(x + y, 1) for x, y in zip(full, full[1:], strict=False)), np.int64, len(full) - 1)
         return uni, np.stack([two[at + o] for o in BI], 1)
 
 
@@ -134,38 +141,105 @@ def gold_data(sents: list[list[str]], enc: Encoder) -> tuple[Bags, np.ndarray]:
     return _bags(np.concatenate(uni), np.concatenate(bi) if enc.bi is not None else None, np.concatenate(prev)), np.concatenate(y)
 
 
-def build(sents: list[list[str]], dev: list[list[str]], dim: int = 64, bigrams: bool = False, hashed: bool = False, hidden: int = 64, epochs: int = 2) -> tuple[Network, Encoder]:
+def build(sents: list[list[str]], dev: list[list[str]], dim: int = 64, bigrams: bool = False, hashed: bool = False, hidden: int = 64, epochs: int = 2, seed: int = 0) -> tuple[Network, Encoder]:
+    """Learns from sentences as word lists; training stops early by the word F1 of decoded held-out sentences."""
     enc = Encoder(["".join(s) for s in sents], bigrams, hashed)
-    net = Network.random(template(dim, *enc.sizes), hidden, [SPLIT, MERGE], seed=dim)
-    net, _ = train.sgd(net, *gold_data(sents, enc), train.Settings(lr=0.1, epochs=epochs), gold_data(dev, enc))
+    net = Network.random(template(dim, *enc.sizes), hidden, [SPLIT, MERGE], seed=dim + seed)
+    texts, gold = ["".join(s) for s in dev], [spans([k for w in s for k in [0] + [1] * (len(w) - 1)]) for s in dev]
+
+    def word_f1(n: Network, _) -> float:
+        return _f1(gold, [spans(x) for x in decode(texts, n, enc)])
+
+    net, _ = train.sgd(net, *gold_data(sents, enc), train.Settings(lr=0.1, epochs=epochs, seed=1 + seed), gold_data(dev, enc), every=500, metric=word_f1)
+    net.resources["bytes"] = enc.bytes
     return net, enc
 
 
+def _f1(gold: list[set], pred: list[set]) -> float:
+    return 2 * sum(len(g & p) for g, p in zip(gold, pred, strict=True)) / max(1, sum(map(len, gold)) + sum(map(len, pred)))
+
+
+#: Characters whose windows are scored together.
+BLOCK_CHARS = 1 << 17
+
+
+class Scorer:
+    """Action scores of every character for every pair of previous actions, all characters of a block at once.
+
+    The hidden layer is linear in its inputs, so each window place has a table of its vocabulary's
+    share in the hidden layer; a character adds up the rows of its window, and each of the four pairs
+    of previous actions adds its own share.
+    """
+
+    def __init__(self, net: Network, enc: Encoder):
+        self.net, self.enc, t = net, enc, net.template
+        at, self.tables, self.past = 0, [], []
+        for g, group in enumerate(t.groups):
+            rows = net.rows(g, np.arange(group.vocab))
+            for _ in range(group.slots):
+                share = np.ascontiguousarray(rows @ net.w[:, at : at + group.dim].T)
+                (self.past if group.kind == "action" else self.tables).append(share)
+                at += group.dim
+
+    def _out(self, hidden: np.ndarray, before: int, earlier: int) -> np.ndarray:
+        return np.maximum(hidden + (self.past[0][before] + self.past[1][earlier]), 0) @ self.net.beta.T + self.net.b
+
+    def log_odds(self, texts: list[str]) -> np.ndarray:
+        """(characters of all texts, 4): log p(MERGE) - log p(SPLIT) after the pairs (before, earlier) = 00, 01, 10, 11.
+
+        The second character of a text has only one action before it, which is SPLIT: its first column is that case.
+        """
+        grids = [self.enc.grid(t) for t in texts if t]
+        cols = np.concatenate([g[0] for g in grids]).T
+        if self.enc.bi is not None:
+            cols = np.concatenate([cols, np.concatenate([g[1] for g in grids]).T])
+        hidden = np.broadcast_to(self.net.c, (cols.shape[1], len(self.net.c))).copy()
+        for table, ids in zip(self.tables, cols, strict=True):
+            hidden += table[ids]
+        out = np.empty((cols.shape[1], 4), np.float32)
+        for k, (before, earlier) in enumerate(((0, 0), (0, 1), (1, 0), (1, 1))):
+            z = self._out(hidden, before, earlier)
+            out[:, k] = z[:, 1] - z[:, 0]
+        size = np.array([len(t) for t in texts if t])
+        second = (np.cumsum(size) - size + 1)[size > 1]
+        z = self._out(hidden[second], 0, 2)
+        out[second, 0] = z[:, 1] - z[:, 0]
+        return out
+
+
+def _greedy(merge: list[tuple[bool, bool, bool, bool]]) -> list[int]:
+    """Follows the best action from character to character; ``merge``: by the pair of previous actions."""
+    out, state = [0], 0
+    for row in merge[1:]:
+        a = row[state]
+        out.append(int(a))
+        state = (a << 1) | (state >> 1)
+    return out
+
+
+def _beam(odds: np.ndarray, beam: int) -> list[int]:
+    """The best of ``beam`` hypotheses a character, by the sum of log-probabilities."""
+    split, merge = -np.logaddexp(0, odds), -np.logaddexp(0, -odds)
+    hyps = [(0.0, 0, [0])]
+    for at in range(1, len(odds)):
+        grown = [(p + float(x[at, s]), (a << 1) | (s >> 1), [*h, a]) for p, s, h in hyps for a, x in ((0, split), (1, merge))]
+        hyps = sorted(grown, key=lambda h: -h[0])[:beam]
+    return hyps[0][2]
+
+
 def decode(texts: list[str], net: Network, enc: Encoder, beam: int = 1) -> list[list[int]]:
-    """Greedy or beam decoding, all texts in lock step: one matrix product per character position; 0 is SPLIT."""
-    grids = [enc.grid(t) if t else (None, None) for t in texts]
-    # A hypothesis: (log-probability, actions); every text has up to ``beam`` of them.
-    hyps: list[list[tuple[float, list[int]]]] = [[(0.0, [])] for _ in texts]
-    for at in range(max((len(t) for t in texts), default=0)):
-        live = [(r, h) for r, t in enumerate(texts) if at < len(t) for h in range(len(hyps[r]))]
-        uni = np.stack([grids[r][0][at] for r, _ in live])
-        bi = np.stack([grids[r][1][at] for r, _ in live]) if enc.bi is not None else None
-        past = [hyps[r][h][1] for r, h in live]
-        prev = np.array([[a[-1] if a else 2, a[-2] if len(a) > 1 else 2] for a in past])
-        z = net.logits(train.embed(net, _bags(uni, bi, prev)))
-        if at == 0:
-            z[:, 1] = -1e9  # the first action is SPLIT
-        z = z - np.logaddexp(z[:, :1], z[:, 1:])
-        if beam == 1:
-            for (r, _), a in zip(live, z.argmax(1).tolist(), strict=True):
-                hyps[r][0][1].append(a)
-            continue
-        grown: dict[int, list] = {}
-        for (r, h), s in zip(live, z, strict=True):
-            grown.setdefault(r, []).extend((hyps[r][h][0] + float(s[a]), [*hyps[r][h][1], a]) for a in (0, 1))
-        for r, g in grown.items():
-            hyps[r] = sorted(g, key=lambda x: -x[0])[:beam]
-    return [max(h, key=lambda x: x[0])[1] for h in hyps]
+    """Greedy or beam decoding; 0 is SPLIT, which the first action always is."""
+    scorer, out = Scorer(net, enc), [[] for _ in texts]
+    full = [i for i, t in enumerate(texts) if t]
+    for a, b in text_blocks([texts[i] for i in full], BLOCK_CHARS):
+        mine = full[a:b]
+        odds = scorer.log_odds([texts[i] for i in mine])
+        ends = np.cumsum([len(texts[i]) for i in mine])
+        better = (odds > 0).tolist()
+        for i, end in zip(mine, ends.tolist(), strict=True):
+            begin = end - len(texts[i])
+            out[i] = _greedy(better[begin:end]) if beam == 1 else _beam(odds[begin:end], beam)
+    return out
 
 
 def spans(actions: list[int]) -> set[tuple[int, int]]:
@@ -214,8 +288,9 @@ def every_char(texts: list[str]) -> list[list[int]]:
 class MaxMatch:
     """Longest dictionary word from the left; a character that starts none is a word."""
 
-    def __init__(self, sents: list[list[str]], longest: int = 24):
-        self.words, self.longest = {w for s in sents for w in s}, longest
+    def __init__(self, sents: list[list[str]]):
+        self.words = {w for s in sents for w in s}
+        self.longest = max(map(len, self.words), default=1)
 
     def __call__(self, texts: list[str]) -> list[list[int]]:
         out = []

@@ -12,7 +12,8 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
 from .model import Network
 
@@ -48,11 +49,30 @@ class Bags:
         return Bags(self.groups, ids, offsets)
 
 
+#: Cells of a matrix of counts that is in memory at once.
+COUNT_CELLS = 1 << 22
+
+
+def _sums(net: Network, g: int, ids: np.ndarray, off: np.ndarray) -> np.ndarray:
+    """Summed embeddings of each bag: full bags by a product of counts, others by gathering rows."""
+    n, vocab = len(off) - 1, net.template.groups[g].vocab
+    if not n:
+        return np.zeros((0, net.template.groups[g].dim), np.float32)
+    if len(ids) * 16 < n * vocab:
+        return np.add.reduceat(net.rows(g, ids), off[:-1], axis=0)
+    out, step = [], max(1, COUNT_CELLS // vocab)
+    for a in range(0, n, step):
+        b = min(a + step, n)
+        part = ids[off[a] : off[b]] + np.repeat(np.arange(b - a), np.diff(off[a : b + 1])) * vocab
+        out.append(net.product(g, np.bincount(part, minlength=(b - a) * vocab).reshape(b - a, vocab).astype(np.float32)))
+    return np.concatenate(out)
+
+
 def embed(net: Network, x: Bags, combine: str = "mean") -> np.ndarray:
     out = []
     for g, ids, off in zip(x.groups, x.ids, x.offsets, strict=True):
-        total = np.add.reduceat(net.embeddings[g][ids], off[:-1], axis=0) if len(off) > 1 else np.zeros((0, net.embeddings[g].shape[1]), np.float32)
-        out.append(total / np.diff(off)[:, None] if combine == "mean" else total)
+        total = _sums(net, g, ids, off)
+        out.append(total / np.diff(off)[:, None].astype(total.dtype) if combine == "mean" else total)
     return np.concatenate(out, axis=1)
 
 
@@ -145,23 +165,44 @@ def sgd(net: Network, x: Bags, y: np.ndarray, s: Settings, dev: tuple[Bags, np.n
     return mean, history
 
 
-GRID = [{"lr": lr, "momentum": m, "l2": l2, "decay": d} for lr in (0.05, 0.2) for m in (0.8, 0.9) for l2 in (0.0, 1e-4) for d in (0.96,)]
+GRID = [{"lr": lr, "momentum": m, "l2": l2, "decay": d} for lr in (0.05, 0.2) for m in (0.8, 0.9) for l2 in (0.0, 1e-4) for d in (0.9, 0.96)]
+
 
+def grid(spark: SparkSession, start: Network, x: Bags, y: np.ndarray, dev: tuple[Bags, np.ndarray], settings: Settings, trials: list[dict] = GRID, metric: Callable | None = None) -> DataFrame:
+    """(trial, params, metric): one Spark task per trial over a broadcast sample (its size is bounded by the caller).
 
-def grid(spark: SparkSession, start: Network, x: Bags, y: np.ndarray, dev: tuple[Bags, np.ndarray], settings: Settings, trials: list[dict] = GRID) -> DataFrame:
-    """(trial, params, metric): one Spark task per trial over a broadcast sample (its size is bounded by the caller)."""
-    held = spark.sparkContext.broadcast((start, x, y, dev))
+    ``metric``: the task's measure of (network, dev), by which training also stops early; decision accuracy if none is given.
+    """
+    held = spark.sparkContext.broadcast((start, x, y, dev, metric))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             for t in batch["trial"]:
-                net, x, y, dev = held.value
-                _, history = sgd(net, x, y, replace(settings, **trials[t]), dev)
+                net, x, y, dev, metric = held.value
+                _, history = sgd(net, x, y, replace(settings, **trials[t]), dev, metric=metric)
                 yield pd.DataFrame({"trial": [t], "params": [str(trials[t])], "metric": [max(history)]})
 
     return spark.range(len(trials)).withColumnRenamed("id", "trial").repartition(len(trials)).mapInPandas(run, "trial long, params string, metric double")
 
 
+def sql_step(features: DataFrame, labels: DataFrame, weights: DataFrame, key: str, label: str, lr: float) -> DataFrame:
+    """One full-batch gradient step of a softmax layer without a hidden one, in relational form.
+
+    features (key, v, x), labels (key, label), weights (class, v, w: few rows) -> (class, v, grad, w), the gradient of the mean cross-entropy.
+    """
+    few = F.broadcast(weights)
+    z = features.join(few, "v").groupBy(key, "class").agg(F.sum(F.col("x") * F.col("w")).alias("z"))
+    row = Window.partitionBy(key)
+    e = z.withColumn("e", F.exp(F.col("z") - F.max("z").over(row)))
+    p = e.withColumn("p", F.col("e") / F.sum("e").over(row)).join(labels.select(key, F.col(label).alias("gold")), key)
+    delta = p.select(key, "class", (F.col("p") - (F.col("class") == F.col("gold")).cast("double")).alias("d"))
+    n = labels.agg(F.count(F.lit(1)).alias("n"))
+    grad = features.join(delta, key).groupBy("class", "v").agg(F.sum(F.col("x") * F.col("d")).alias("g"))
+    done = few.join(grad, ["class", "v"], "left").crossJoin(F.broadcast(n))  # a single row
+    g = F.coalesce("g", F.lit(0.0)) / F.col("n")
+    return done.select("class", "v", g.alias("grad"), (F.col("w") - lr * g).alias("w"))
+
+
 def local_sgd(rows: DataFrame, start: Network, featurize: Callable[[pd.DataFrame], tuple[Bags, np.ndarray]], settings: Settings, rounds: int = 2) -> Network:
     """Data-parallel training: every partition takes SGD steps over its rows, parameters are averaged by row counts each round."""
     net = start.copy()
@@ -180,8 +221,6 @@ def local_sgd(rows: DataFrame, start: Network, featurize: Callable[[pd.DataFrame
                     yield pd.DataFrame({"i": [i], "n": [n], "value": [(p.ravel() * n).astype(np.float64).tolist()]})
 
         # Sums element by element inside Spark: one row per parameter matrix reaches the driver.
-        from pyspark.sql import functions as F
-
         parts = rows.mapInPandas(run, "i int, n long, value array<double>")
         summed = parts.select("i", "n", F.posexplode("value").alias("at", "x")).groupBy("i", "at").agg((F.sum("x") / F.sum("n")).alias("x"))
         got = summed.groupBy("i").agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "x"))), lambda s: s["x"]).alias("value")).collect()
