@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 
 from tinyff.functions import hashing
-from tinyff.operators import bloommap, cost, forward, langid, model, postag, quantize, train
+from tinyff.operators import bloommap, bytespan, cost, forward, langid, model, postag, quantize, train
 from tinyff.operators.features import FeatureGroup, Template
 
 
@@ -133,3 +133,29 @@ def test_model_store_keeps_the_map(spark, tmp_path):
     back = model.load(spark, str(tmp_path / "m"))
     keys = bloommap.key_hash([f"w{i}" for i in range(80)])
     assert (back.resources["clusters"].find(keys) == net.resources["clusters"].find(keys)).all() and back.resources["bytes"] == 7
+
+
+def test_recurrent_gradients_and_spans():
+    net = bytespan.ByteSpanNetwork(["A", "B"], 6, 2, dtype=np.float64)
+    texts, spans = [b"ab cd", b"x"], [[(0, 2, "A"), (3, 2, "B")], [(0, 1, "B")]]
+    _, grads = net.loss_and_grad(texts, spans)
+    for p, g in zip(net.parameters(), grads, strict=True):
+        for i in list(np.ndindex(p.shape))[::53]:
+            old = p[i]
+            p[i] = old + 1e-5
+            up = net.loss_and_grad(texts, spans)[0]
+            p[i] = old - 1e-5
+            down = net.loss_and_grad(texts, spans)[0]
+            p[i] = old
+            assert abs((up - down) / 2e-5 - g[i]) < 1e-6
+    net = bytespan.ByteSpanNetwork(["A", "B"], 16, 2).fit(list(zip(texts, spans, strict=True)) * 16, epochs=250, rate=1e-2)
+    assert net.write(texts) == [set(s) for s in spans]
+
+
+def test_segments_cover_all_tokens():
+    toks = ["a" * 30, "é" * 20, "x", "y" * 100, "z"]
+    cut = list(bytespan.segments(toks))
+    assert [(a, b) for _, a, b in cut] == [(0, 1), (1, 3), (3, 4), (4, 5)] and max(len(t) for t, _, _ in cut) == bytespan.SEGMENT
+    for text, a, b in cut:
+        for at, n, tag in bytespan.gold_spans(toks[a:b], toks[a:b]):
+            assert text[at : at + n] == tag.encode()[: bytespan.SEGMENT]

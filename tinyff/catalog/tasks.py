@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text
-from ..operators import bloommap, cost, forward, langid, metrics, pipelines, postag, preorder, quantize, segment, splits, train
+from ..operators import bloommap, bytespan, cost, forward, langid, metrics, pipelines, postag, preorder, quantize, segment, splits, train
 from ..plans.scratch import materialise
 from ..registry import query
 from ..sources.tables import load
@@ -494,15 +494,27 @@ def _tagger_scores(test: DataFrame, nets: dict) -> DataFrame:
 
 @query("tagger_trained")
 def tagger_trained(spark, d):
-    """Vanilla, with clusters, half dimensions with clusters, all in 8-bit codes; clusters are read from Bloom maps, which count in KB.
+    """Vanilla, with clusters, half dimensions with clusters, all in 8-bit codes, and the byte-level recurrent network.
 
-    The silver tags of frequent words depend on the constructed clusters, so that gain is built in; the
-    clusters from neighbours are independent of the tags.
+    Clusters are read from Bloom maps, which count in KB. The silver tags of frequent words depend on the
+    constructed clusters, so that gain is built in; the clusters from neighbours are independent of the tags.
+    The recurrent network finds the tokens itself and takes about a thousand training steps, far too few for good spans.
     """
     sents, tr, dev, lex = _tag_samples(spark, d)
     held, near = cluster_map(lex), _neighbour_map(spark, d)
     nets = {"vanilla": postag.build(tr, dev), "clusters": postag.build(tr, dev, clusters=held), "clusters, half dims": postag.build(tr, dev, 8, clusters=held), "clusters from neighbours": postag.build(tr, dev, clusters=near)}
-    return _tagger_scores(sents.where("part = 'test'"), {name: quantize.coded(net) for name, net in nets.items()} | {"vanilla, float": nets["vanilla"]})
+    test = sents.where("part = 'test'")
+    out = _tagger_scores(test, {name: quantize.coded(net) for name, net in nets.items()} | {"vanilla, float": nets["vanilla"]})
+    recurrent = bytespan.ByteSpanNetwork(list(postag.TAGS), 48).fit(bytespan.training_data(tr), epochs=10)
+    return out.unionByName(_span_scores(test, recurrent))
+
+
+def _span_scores(test: DataFrame, net: bytespan.ByteSpanNetwork) -> DataFrame:
+    """The same columns for the recurrent network; its operations are those of the bytes and symbols of an average token."""
+    rows = materialise(bytespan.evaluate(test, net), "span-scores")
+    own = rows.select("lang", "tokens", (F.col("right") / F.col("tokens")).alias("accuracy"), (F.col("steps") / F.col("tokens")).alias("steps"))
+    own = own.unionByName(own.agg(F.lit("mean").alias("lang"), F.sum("tokens").alias("tokens"), F.avg("accuracy").alias("accuracy"), F.avg("steps").alias("steps")))
+    return own.select(F.lit("bytes to spans").alias("model"), "lang", "tokens", "accuracy", F.lit(net.size).alias("params"), F.lit(round(4 * net.size / 1024, 1)).alias("kb"), (F.col("steps") * net.flops(1)).cast("long").alias("flops"))
 
 
 @query("tagger_per_language")
