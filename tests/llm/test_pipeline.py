@@ -4,6 +4,7 @@ import re
 
 import corpus_pipeline
 from conftest import SF
+from pyspark.sql import functions as F
 
 from llm_brute import LOW, brute_components
 from tinyff.llm import mixing
@@ -65,3 +66,30 @@ def test_null_ids_in_every_stage(spark):
     taken = mixing.mix(docs).where("doc_id IS NULL").agg({"copies": "sum"}).first()[0]
     assert copies.where("doc_id IS NULL").count() == taken > 0
     assert copies.where("doc_id IS NULL AND text IS NULL").count() == 0
+
+
+def test_repeated_ids_are_judged_by_their_texts(spark):
+    """One id under several texts: each row stays or goes by its own text; columns of any name pass through."""
+    bench = spark.read.parquet(f"{SF}/benchmark.parquet").first()["text"]
+    base = [f"word{i}" for i in range(60)]
+    own, twin, lone = " ".join(base), " ".join(base[:-1] + ["changed"]), " ".join(f"lone{i}" for i in range(40))
+    data = [(1, own), (1, lone), (2, own), (3, twin), (3, bench), (4, lone), (4, lone), (None, bench), (None, bench), (5, None), (5, "")]
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in data], schema)
+    for c in ("score", "predicted", "n_words", "n_hit", "hit_ranges", "items", "contaminated", "id", "rep", "n", "copy", "digest", "kept"):
+        docs = docs.withColumn(c, F.lit(f"own {c}"))
+    show = lambda df: sorted((-1 if r["doc_id"] is None else r["doc_id"], r["text"] or "") for r in df.collect())
+
+    exact = corpus_pipeline.drop_exact_copies(spark, docs, SF)
+    assert show(exact) == sorted([(2, own), (3, twin), (3, bench), (4, lone), (5, "")])
+    near = corpus_pipeline.drop_near_copies(spark, docs, SF)
+    assert [x for x in show(near) if x[1] in (own, twin)] == [(2, own)]
+    clean = corpus_pipeline.drop_contaminated(spark, docs, SF)
+    assert show(clean) == sorted((-1 if i is None else i, t or "") for i, t in data if t != bench)
+    kind = corpus_pipeline.drop_toxic(spark, docs, SF)
+    mixed = corpus_pipeline.mix_sources(spark, docs, SF)
+    for out in (exact, near, clean, kind):
+        assert out.columns == docs.columns and out.where("score = 'own score' AND contaminated = 'own contaminated'").count() == out.count()
+    assert mixed.columns == [*docs.columns, "mix_copy"]
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, docs.limit(0), SF).count() == 0

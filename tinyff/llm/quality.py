@@ -9,7 +9,10 @@ text's bins, so scoring is a few vectorised additions.
 Bounds: tables are fitted on at most about ``2 * per_class`` labelled texts.
 Defined cases: null and empty texts have the all-zero vector and a score; without
 labels of both classes every score is the share of good labels (0 without any);
-repeated rows are scored each; further columns pass through or are ignored.
+null labels and ids teach nothing, an id labelled twice counts once with the larger
+label, and of several texts under an id the first in byte order is learned from;
+equal features share a bin and a score; repeated rows are scored each; further
+columns pass through or are ignored, and those named score or predicted are replaced.
 """
 
 from __future__ import annotations
@@ -23,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .kernel import BLANK_SPLIT, Alphabet, Words
-from .rows import label_sample, with_text_columns
+from .rows import label_sample, one_text_each, with_text_columns
 
 PER_CLASS = 8000
 #: Scores from this value on predict 1.
@@ -164,6 +167,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         return QualityModel(prior=prior)
     # The ids are bounded by the sample.
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(F.broadcast(sample), "id")
+    texts = one_text_each(texts)
 
     def make():
         return lambda data, offsets: {f"f{j}": c for j, c in enumerate(features(data, offsets).T)}

@@ -89,6 +89,12 @@ def label_sample(labels: DataFrame, id_col: str, label_col: str, per_class: int)
     return chosen.select("id", "label", F.pmod(F.xxhash64("id", F.lit(7)), F.lit(100)).cast("int").alias("draw")), counts
 
 
+def one_text_each(texts: DataFrame) -> DataFrame:
+    """Of several rows (id, text, ...) of one id the one whose text is first in byte order, null before all."""
+    rest = [c for c in texts.columns if c not in ("id", "text")]
+    return texts.groupBy("id").agg(F.min(F.struct("text", *rest)).alias("one")).select("id", "one.*")
+
+
 def logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, l2: float = 1e-2, steps: int = 60) -> np.ndarray:
     """Newton's method for a weighted logistic regression; the last coefficient is the (free) intercept."""
     x = np.column_stack([x, np.ones(len(x))])

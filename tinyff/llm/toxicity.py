@@ -18,7 +18,10 @@ text is scored, map-side.
 
 Defined cases: null and empty texts are scored as texts of no words; without
 labels of both classes every score is the share of toxic labels (0 without any);
-repeated rows are scored each; further columns pass through or are ignored.
+null labels and ids teach nothing, an id labelled twice counts once with the larger
+label, and of several texts under an id the first in byte order is learned from;
+repeated rows are scored each; further columns pass through or are ignored, and
+those named score or predicted are replaced.
 """
 
 from __future__ import annotations
@@ -34,7 +37,7 @@ from pyspark.sql import types as T
 
 from ..plans.scratch import materialise
 from .kernel import ALNUM, Lookup, Words, blocks, mix
-from .rows import fold_of, label_sample, logistic, with_text_columns
+from .rows import fold_of, label_sample, logistic, one_text_each, with_text_columns
 
 PER_CLASS = 3000
 #: Percent of the labelled sample that the word models learn from; the rest calibrates.
@@ -167,13 +170,15 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         return ToxicityModel(prior=prior)
     # At most about 2 * per_class ids: bounded by the sample.
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(F.broadcast(sample), "id").select("id", "text", "label", "draw")
-    texts = materialise(texts.dropDuplicates(["id"]), "toxic-sample")
+    texts = materialise(one_text_each(texts), "toxic-sample")
     tokens = texts.where(F.col("draw") < MODEL_SHARE).select("text", F.col("label").cast("int")).mapInArrow(_bigrams, "h long, w long, toxic tinyint")
     pairs = materialise(tokens.groupBy("h", "w").agg(F.sum(F.col("toxic").cast("long")).alias("t"), F.sum(1 - F.col("toxic").cast("long")).alias("o")), "toxic-pairs")
     cut = lambda c: F.least(F.col(c).cast("double"), F.lit(Z) * F.sqrt(c))
     least = int(Z * Z)
     uni = pairs.groupBy("w").agg(F.count_if(F.col("t") > 0).alias("t"), F.count_if(F.col("o") > 0).alias("o"))
     sums = uni.agg(F.sum("t").alias("kt"), F.sum("o").alias("ko"), F.sum(cut("t")).alias("dt"), F.sum(cut("o")).alias("do")).collect()[0]
+    if sums["kt"] is None:  # none of the labelled texts is there
+        return ToxicityModel(prior=prior)
     known = _numpy(uni.where((F.col("t") > least) | (F.col("o") > least)))
     big = _numpy(pairs.where((F.col("t") > least) | (F.col("o") > least)))
     h, w, word = (x.view(np.uint64) for x in (big["h"], big["w"], known["w"]))
