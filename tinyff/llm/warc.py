@@ -190,10 +190,10 @@ def read_index(spark: SparkSession, target: str) -> DataFrame:
     return lines.select(F.col("v")[0].alias("archive"), F.col("v")[1].cast("long").alias("offset"), F.col("v")[2].cast("long").alias("length"), F.col("v")[3].alias("record_type"), F.col("v")[4].alias("record_id"))
 
 
-def _read_archive(name: str, content: bytes | None, entries: list[dict] | None, whole: bool) -> list[tuple]:
+def _read_archive(name: str, content: bytes, entries: list[dict] | None, whole: bool) -> list[tuple]:
     """The listed members of one archive, parsed; errors name what differs. ``whole``: the list must cover the archive."""
-    if content is None or entries is None:
-        raise ValueError(f"archive {name} has no {'file' if content is None else 'index'}")
+    if entries is None:
+        raise ValueError(f"archive {name} has no index")
     found, stop = [], 0
     for e in entries:
         if whole and e["offset"] != stop:
@@ -212,7 +212,8 @@ def _read_archive(name: str, content: bytes | None, entries: list[dict] | None,
 def read_records(spark: SparkSession, target: str, only: Column | None = None) -> DataFrame:
     """The records of the normalised archives, entered at the offsets of the sidecar index; ``only``: a condition on index rows.
 
-    Without a condition, index and archives must cover each other: whatever one lacks is an error.
+    Without a condition, index and archives must cover each other: whatever one lacks is an error. The lists of
+    members are broadcast if they are small; otherwise archives are shuffled to them.
     """
     folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{target}/kind=warc")
     if not folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(folder):
@@ -220,7 +221,10 @@ def read_records(spark: SparkSession, target: str, only: Column | None = None) -
     files = spark.read.format("binaryFile").load(f"{target}/kind=warc").select(F.substring("content", NAME_AT, NAME_CHARS).cast("string").alias("archive"), "content")
     index = read_index(spark, target) if only is None else read_index(spark, target).where(only)
     lists = index.groupBy("archive").agg(F.sort_array(F.collect_list(F.struct("offset", "length", "record_type", "record_id"))).alias("entries"))  # bounded by an archive
-    whole = only is None
+    lists, whole = materialise(lists, "archive-lists"), only is None
+    listed, there = lists.count(), spark.read.format("binaryFile").load(f"{target}/kind=warc").select("path").count()
+    if whole and listed != there:  # every file is one archive, and one without a list is an error below
+        raise ValueError(f"the index lists {listed} archives, but there are {there}")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -229,13 +233,16 @@ def read_records(spark: SparkSession, target: str, only: Column | None = None) -
                 cols = [pa.array(c, t) for c, t in zip(zip(*found, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64()), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array([name.as_py()] * len(found)), *cols], names=[c.split()[0] for c in _RESULT.split(", ")])
 
-    return files.join(lists, "archive", "full" if whole else "right").select("archive", "content", "entries").mapInArrow(run, _RESULT)
+    return files.join(small_side(lists), "archive", "left" if whole else "inner").select("archive", "content", "entries").mapInArrow(run, _RESULT)
 
 
 def round_trip(pages: DataFrame, folder: str | None = None, most: int = ARCHIVE_BYTES) -> DataFrame:
-    """Writes ``pages`` as monolithic archives, normalises them and reads the records back."""
-    spark = pages.sparkSession
+    """Writes ``pages`` as monolithic archives, normalises them and reads the records back; without ``folder`` the monolithic ones go once they are normalised."""
+    spark, scratch = pages.sparkSession, folder is None
     folder = folder or scratch_path(spark, "warc")
     write_monolithic(pages, f"{folder}/monolithic", most=most)
     normalise(spark, f"{folder}/monolithic", f"{folder}/records", most)
+    if scratch:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{folder}/monolithic")
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
     return read_records(spark, f"{folder}/records").select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
