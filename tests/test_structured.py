@@ -7,7 +7,7 @@ import pytest
 
 from pyspark.sql import functions as F
 
-from tinyff.operators import bloommap, metrics, postag, preorder, quantize, segment, train
+from tinyff.operators import bloommap, langid, metrics, pipelines, postag, preorder, quantize, segment, train
 
 
 def test_segmentation_system():
@@ -137,3 +137,31 @@ def test_bracketing_learns_and_leaves_long_sentences():
     rows = [{"tags": ["NOUN", "VERB", "FUNC"], "rank": [0, 2, 1]}, {"tags": ["VERB", "NOUN"], "rank": [1, 0]}]
     b = preorder.BracketPreorderer(longest=5).fit(rows)
     assert b(["NOUN", "VERB", "FUNC"]) == [0, 2, 1] and b(["VERB", "NOUN"]) == [1, 0] and b(["VERB"] * 6) == list(range(6))
+
+
+def test_tagger_template_against_single_words():
+    """The bags of every slot, from n-grams taken one word at a time."""
+    from tinyff.functions.hashing import gram_buckets
+
+    t = postag.template(4)
+    v = [g.vocab for g in t.groups]
+    for toks in (["The", "CAT", "x", "42", "—"], ["é"]):
+        bags = postag.Words([toks], t).token_bags(t)
+        padded = ["\x00", *toks, "\x00"]
+        for i in range(len(toks)):
+            w = toks[i].lower()
+            want = [gram_buckets(f"^{padded[i + k].lower()}$", 2, v[0]) for k in range(3)] + [gram_buckets(f"^{w}$", 3, v[1])]
+            want += [gram_buckets("^" + w[:3], len(w[:3]) + 1, v[2]), gram_buckets(w[-3:] + "$", len(w[-3:]) + 1, v[2]), [postag._shape(toks[i])]]
+            assert [bags.ids[s][bags.offsets[s][i] : bags.offsets[s][i + 1]].tolist() for s in range(len(want))] == [(list(x) or [0]) for x in want]
+
+
+def test_fused_pipeline_is_its_stages(spark):
+    texts = ["thecatsat", "derhund", "", "catcat"]
+    language = langid.build(langid.Sample(["the cat"] * 20 + ["der hund"] * 20, np.array([0] * 20 + [1] * 20), ["en", "de"]), langid.Sample(["the", "der"], np.array([0, 1]), ["en", "de"]), 4, 16, epochs=8)
+    seg = {x: segment.build([["the", "cat"], ["der", "hund"]] * 10, [["the"]], 4) for x in ("en", "de")}
+    tag = {x: postag.Network.random(postag.template(4), 8, list(postag.TAGS), seed=k) for k, x in enumerate(("en", "de"))}
+    got = {r["text"]: r for r in pipelines.lang_seg_tag(spark.createDataFrame([(t,) for t in texts], "text string"), language, seg, tag, ["text"]).collect()}
+    for t in texts:
+        lang = language.classes[int(train.predict(language, langid.bags([t], language.template)).argmax())]
+        words = [t[a:b] for a, b in sorted(segment.spans(segment.decode([t], *seg[lang])[0]))]
+        assert (got[t]["lang_pred"], got[t]["words"], got[t]["tags"]) == (lang, words, list(postag.tag_all(tag[lang], [words])[0]))

@@ -259,13 +259,13 @@ def langid_baselines(spark, d):
 
 @query("langid_transfer")
 def langid_transfer(spark, d):
-    """The model on other tables: pages (their lang attribute as weak label), conversations, benchmark passages."""
+    """The model on other tables, normalised first: pages (their lang attribute as weak label), conversations, benchmark passages."""
     _, tr, dev = _langid_samples(spark, d)
     net = langid.build(tr, dev, 16, epochs=3)
     pages = load(spark, d, "pages").select(F.lit("pages").alias("tab"), F.nullif(F.regexp_extract("html", r'lang="([a-z]+)"', 1), F.lit("")).alias("weak"), text.visible_text(F.col("html")).alias("t"))
     talk = load(spark, d, "conversations").select(F.lit("conversations").alias("tab"), F.lit(None).cast("string").alias("weak"), F.col("text").alias("t"))
     bench = load(spark, d, "benchmark").select(F.lit("benchmark").alias("tab"), F.lit(None).cast("string").alias("weak"), F.col("text").alias("t"))
-    got = langid.score(pages.unionByName(talk).unionByName(bench), net, "t", ["tab", "weak"])
+    got = langid.score(pages.unionByName(talk).unionByName(bench), net, "t", ["tab", "weak"], preprocess=text.normalise)
     return got.groupBy("tab", "label").agg(F.count(F.lit(1)).alias("n"), F.avg((F.col("weak") == F.col("label")).cast("double")).alias("agrees"))
 
 
@@ -631,6 +631,18 @@ def segmenter_trained(spark, d):
     return out
 
 
+#: Trials of the structured tasks' grids.
+_TRIALS = [{"lr": lr, "momentum": m, "decay": x} for lr in (0.05, 0.1) for m in (0.8, 0.9) for x in (0.9, 0.96)]
+
+
+@query("segmenter_grid")
+def segmenter_grid(spark, d):
+    """Grid search of the segmenter by the word F1 of decoded held-out sentences."""
+    _, tr, dev = _seg_samples(spark, d, 60)
+    net, enc = segment.start(tr, 16, bigrams=True)
+    return train.grid(spark, net, *segment.gold_data(tr, enc), segment.gold_data(dev, enc), train.Settings(epochs=1), _TRIALS, segment.word_f1_of(dev, enc))
+
+
 # --- preordering ------------------------------------------------------------------
 
 ORDER = f"{SILVER}, cl AS (SELECT *, coalesce(sum((tag = 'PUNCT')::INT) OVER (PARTITION BY sent_id ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS clause, CASE tag WHEN 'PUNCT' THEN 4 {' '.join(f'''WHEN '{k}' THEN {v}''' for k, v in preorder.CLASS_RANK.items())} END AS class FROM tagged), rk AS (SELECT sent_id, lang, pos, row_number() OVER (PARTITION BY sent_id ORDER BY clause, class, pos) - 1 AS rank FROM cl)"
@@ -738,6 +750,15 @@ def preorder_trained(spark, d):
     return got.withColumn("kb", F.element_at(F.create_map(*[F.lit(x) for kv in kb.items() for x in kv]), F.col("model")))
 
 
+@query("preorder_grid")
+def preorder_grid(spark, d):
+    """Grid search of the preorderer with predicted tags by the score of decoded held-out sentences."""
+    _, _, tr, dev = _order_samples(spark, d, 60)
+    net = preorder.start("tags")
+    data = [preorder.gold_data(_as_seen(rows), net.template, "tags") for rows in (tr, dev)]
+    return train.grid(spark, net, *data[0], data[1], train.Settings(epochs=1), _TRIALS, preorder.score_of(_as_seen(dev)))
+
+
 # --- pipelines ---------------------------------------------------------------------
 
 

@@ -222,17 +222,27 @@ def gold_data(rows: list[dict], t: Template, kind: str) -> tuple[Bags, np.ndarra
     return words.state_bags(t, np.array(places), np.array(states)), np.array(y)
 
 
-def build(rows: list[dict], dev: list[dict], kind: str = "words", hidden: int = 48, epochs: int = 2, seed: int = 0) -> Network:
-    """Learns from sentences (``toks``, ``tags``, ``rank``); training stops early by the score of decoded held-out sentences."""
-    t = template(kind)
-    net = Network.random(t, hidden, ACTIONS, seed=len(kind) + seed)
-    net.resources["kind"] = kind
+def score_of(dev: list[dict]):
+    """The task's measure: mean score of decoded held-out sentences."""
 
-    def score(n: Network, _) -> float:
-        orders = decode([r["toks"] for r in dev], [r["tags"] for r in dev], n)[0]
+    def score(net: Network, _) -> float:
+        orders = decode([r["toks"] for r in dev], [r["tags"] for r in dev], net)[0]
         return float(np.mean([frs([r["rank"][i] for i in o]) for r, o in zip(dev, orders, strict=True)]))
 
-    net, _ = train.sgd(net, *gold_data(rows, t, kind), train.Settings(lr=0.1, epochs=epochs, seed=1 + seed), gold_data(dev, t, kind), every=500, metric=score)
+    return score
+
+
+def start(kind: str = "words", hidden: int = 48, seed: int = 0) -> Network:
+    net = Network.random(template(kind), hidden, ACTIONS, seed=len(kind) + seed)
+    net.resources["kind"] = kind
+    return net
+
+
+def build(rows: list[dict], dev: list[dict], kind: str = "words", hidden: int = 48, epochs: int = 2, seed: int = 0) -> Network:
+    """Learns from sentences (``toks``, ``tags``, ``rank``); training stops early by the score of decoded held-out sentences."""
+    net = start(kind, hidden, seed)
+    settings = train.Settings(lr=0.1, epochs=epochs, seed=1 + seed)
+    net, _ = train.sgd(net, *gold_data(rows, net.template, kind), settings, gold_data(dev, net.template, kind), every=500, metric=score_of(dev))
     return net
 
 

@@ -141,17 +141,24 @@ def gold_data(sents: list[list[str]], enc: Encoder) -> tuple[Bags, np.ndarray]:
     return _bags(np.concatenate(uni), np.concatenate(bi) if enc.bi is not None else None, np.concatenate(prev)), np.concatenate(y)
 
 
-def build(sents: list[list[str]], dev: list[list[str]], dim: int = 64, bigrams: bool = False, hashed: bool = False, hidden: int = 64, epochs: int = 2, seed: int = 0) -> tuple[Network, Encoder]:
-    """Learns from sentences as word lists; training stops early by the word F1 of decoded held-out sentences."""
+def start(sents: list[list[str]], dim: int = 64, bigrams: bool = False, hashed: bool = False, hidden: int = 64, seed: int = 0) -> tuple[Network, Encoder]:
+    """An untrained network over the vocabularies of the sentences, which count as its resources."""
     enc = Encoder(["".join(s) for s in sents], bigrams, hashed)
     net = Network.random(template(dim, *enc.sizes), hidden, [SPLIT, MERGE], seed=dim + seed)
+    net.resources["bytes"] = enc.bytes
+    return net, enc
+
+
+def word_f1_of(dev: list[list[str]], enc: Encoder):
+    """The task's measure: word F1 of decoded held-out sentences."""
     texts, gold = ["".join(s) for s in dev], [spans([k for w in s for k in [0] + [1] * (len(w) - 1)]) for s in dev]
+    return lambda net, _: _f1(gold, [spans(x) for x in decode(texts, net, enc)])
 
-    def word_f1(n: Network, _) -> float:
-        return _f1(gold, [spans(x) for x in decode(texts, n, enc)])
 
-    net, _ = train.sgd(net, *gold_data(sents, enc), train.Settings(lr=0.1, epochs=epochs, seed=1 + seed), gold_data(dev, enc), every=500, metric=word_f1)
-    net.resources["bytes"] = enc.bytes
+def build(sents: list[list[str]], dev: list[list[str]], dim: int = 64, bigrams: bool = False, hashed: bool = False, hidden: int = 64, epochs: int = 2, seed: int = 0) -> tuple[Network, Encoder]:
+    """Learns from sentences as word lists; training stops early by the word F1 of decoded held-out sentences."""
+    net, enc = start(sents, dim, bigrams, hashed, hidden, seed)
+    net, _ = train.sgd(net, *gold_data(sents, enc), train.Settings(lr=0.1, epochs=epochs, seed=1 + seed), gold_data(dev, enc), every=500, metric=word_f1_of(dev, enc))
     return net, enc
 
 
@@ -244,7 +251,7 @@ def decode(texts: list[str], net: Network, enc: Encoder, beam: int = 1) -> list[
 
 def spans(actions: list[int]) -> set[tuple[int, int]]:
     starts = [i for i, a in enumerate(actions) if a == 0]
-    return set(zip(starts, [*starts[1:], len(actions)], strict=True))
+    return set(zip(starts, [*starts[1:], len(actions)], strict=True)) if actions else set()
 
 
 COUNTS = "lang string, chars long, right long, both long, predicted long, gold long"
