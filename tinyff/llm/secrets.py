@@ -37,14 +37,16 @@ class Rule:
     group: int = 0
     least: int = 0
     base: bool = True
+    #: Characters that every match contains, if there are any; texts without them are not searched.
+    holds: str = ""
 
 
 #: Fixed patterns of the base kinds, then the rule that this method adds.
 RULES = (
     Rule("assign", 1, 0, r"""((?:[pP][aA][sS][sS][wW][oO][rR][dD]|[pP][aA][sS][sS][wW][dD]|[sS][eE][cC][rR][eE][tT]|[tT][oO][kK][eE][nN]|[aA][pP][iI]_?[kK][eE][yY])["']?\x20*[:=]\x20*["']?)([A-Za-z0-9+/_.=-]+)""", 2, 8),
-    Rule("access", 1, 1, r"AKIA[A-Z0-9]{12,}"),
+    Rule("access", 1, 1, r"AKIA[A-Z0-9]{12,}", holds="AKIA"),
     Rule("hex", 1, 2, r"[0-9a-f]{32,}"),
-    Rule("pem", 1, 3, r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----", base=False),
+    Rule("pem", 1, 3, r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----", base=False, holds="PRIVATE KEY-----"),
 )
 
 _SCANNED = T.StructType([T.StructField("blob", T.BinaryType()), T.StructField("kind", T.StringType()), T.StructField("version", T.IntegerType())])
@@ -77,7 +79,9 @@ def _pieces(rule: Rule) -> Column:
 
 def findings(blobs: DataFrame, rules: tuple[Rule, ...]) -> DataFrame:
     """(blob, text, kinds) -> one row per match that its rule accepts."""
-    scans = F.array(*[F.struct(F.lit(r.kind).alias("kind"), F.lit(r.version).alias("version"), F.lit(r.least).alias("least"), F.when(F.array_contains("kinds", r.kind), _pieces(r)).alias("parts")) for r in rules])
+    # Most texts hold no match: they are found out by one search, and only the others are taken to pieces.
+    asked = lambda r: F.array_contains("kinds", r.kind) & (F.contains("text", F.lit(r.holds)) if r.holds else F.lit(True)) & F.col("text").rlike(r.pattern)
+    scans = F.array(*[F.struct(F.lit(r.kind).alias("kind"), F.lit(r.version).alias("version"), F.lit(r.least).alias("least"), F.when(asked(r), _pieces(r)).alias("parts")) for r in rules])
     per_kind = blobs.select("blob", F.explode(F.filter(scans, lambda s: F.size(s["parts"]) > 0)).alias("scan")).select("blob", "scan.*")
     parts = per_kind.select("blob", "kind", "version", "least", F.posexplode("parts").alias("i", "part"))
     at = Window.partitionBy("blob", "kind", "version").orderBy("i")
