@@ -49,6 +49,9 @@ RULES = (
     Rule("pem", 1, 3, r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----", base=False, holds="PRIVATE KEY-----"),
 )
 
+#: With at most so many findings in the ledger, their spans are broadcast.
+MOST_FOUND = 100_000
+
 _SCANNED = T.StructType([T.StructField("blob", T.BinaryType()), T.StructField("kind", T.StringType()), T.StructField("version", T.IntegerType())])
 _FOUND = T.StructType([*_SCANNED.fields, T.StructField("start", T.LongType()), T.StructField("end", T.LongType())])
 
@@ -89,6 +92,11 @@ def findings(blobs: DataFrame, rules: tuple[Rule, ...]) -> DataFrame:
     return placed.where(F.col("part.own") >= F.col("least")).select("blob", "kind", "version", (F.col("end") - F.col("part.len")).alias("start"), "end")
 
 
+def _fewer_files(narrow: DataFrame) -> DataFrame:
+    """A shuffled table of narrow rows in an eighth of the session's shuffle partitions, as every run adds files to the ledger."""
+    return narrow.coalesce(max(1, int(narrow.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 8))
+
+
 def scan_unseen(versions: DataFrame, ledger: str, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Brings the ledger up to date for all rows of ``versions``; returns (id, blob), one row per input row."""
     spark = versions.sparkSession
@@ -97,11 +105,11 @@ def scan_unseen(versions: DataFrame, ledger: str, rules: tuple[Rule, ...] = RULE
     asked = paths.where("chars > 0").groupBy("blob").agg(F.min(F.coalesce("id", F.lit(-1))).alias("id"))
     pairs = asked.select("blob", "id", F.inline(F.array(*wanted)))
     unseen = pairs.join(ledger_table(spark, ledger, "scanned"), ["blob", "kind", "version"], "left_anti")
-    todo = materialise(unseen.groupBy("blob", "id").agg(F.collect_set("kind").alias("kinds")), "unseen")
+    todo = materialise(_fewer_files(unseen.groupBy("blob", "id").agg(F.collect_set("kind").alias("kinds"))), "unseen")
     one = F.coalesce(F.col(id_col), F.lit(-1)).alias("id")
     texts = versions.select(one, F.col(text_col).alias("text"), blob_id(F.col(text_col)).alias("blob")).where(F.length("text") > 0)
     found = findings(texts.join(small_side(todo), ["blob", "id"]), rules).dropDuplicates(["blob", "kind", "version", "start"])
-    found.write.mode("append").parquet(f"{ledger}/found")
+    _fewer_files(found).write.mode("append").parquet(f"{ledger}/found")
     marks = todo.select("blob", F.explode("kinds").alias("kind"))
     version = F.create_map(*[x for r in rules for x in (F.lit(r.kind), F.lit(r.version))])
     marks.withColumn("version", version[F.col("kind")]).write.mode("append").parquet(f"{ledger}/scanned")
@@ -113,7 +121,9 @@ def report(paths: DataFrame, ledger: str, rules: tuple[Rule, ...] = RULES, id_co
     spark = paths.sparkSession
     rank = {r.kind: r.rank for r in rules}
     current = F.array(*[F.struct(F.lit(r.kind).alias("kind"), F.lit(r.version).alias("version")) for r in rules])
-    found = ledger_table(spark, ledger, "found").dropDuplicates(["blob", "kind", "version", "start"]).where(F.array_contains(current, F.struct("kind", "version")))
+    table = ledger_table(spark, ledger, "found")
+    few = table.count() <= MOST_FOUND  # by the footers of the ledger's files
+    found = table.dropDuplicates(["blob", "kind", "version", "start"]).where(F.array_contains(current, F.struct("kind", "version")))
     order = F.create_map(*[F.lit(x) for kv in rank.items() for x in kv])
     base = F.col("kind").isin([r.kind for r in rules if r.base])
     span = F.struct("start", order[F.col("kind")].alias("rank"), "end", "kind", base.alias("base"))
@@ -126,7 +136,7 @@ def report(paths: DataFrame, ledger: str, rules: tuple[Rule, ...] = RULES, id_co
     )
     zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c)
     none = lambda c: F.coalesce(F.col(c), F.lit(""))
-    joined = paths.join(small_side(materialise(per_blob, "blob-findings"), 50_000), "blob", "left")
+    joined = paths.join(F.broadcast(per_blob) if few else per_blob, "blob", "left")
     return joined.select(F.col("id").alias(id_col), zero("n_assign"), zero("n_access"), zero("n_hex"), F.sha2(none("base_spans"), 256).alias("base_sha256"), none("spans").alias("spans"))
 
 
