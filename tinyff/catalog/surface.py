@@ -83,7 +83,7 @@ def st11(spark, d):
     """Language id on a document stream: counts by ten-hour window and label (the analytic model, vector strategy)."""
     stream = streams.document_stream(spark, streams.stage_files(docs(spark, d), 3, "doc_id"))
     run = forward._vector_predict(MODEL, "ts")
-    scored = stream.select("ts", "text").mapInPandas(run, "ts timestamp, label string, score long").withWatermark("ts", "1 hour")
+    scored = stream.select("ts", "text").mapInArrow(run, "ts timestamp, label string, score long").withWatermark("ts", "1 hour")
     out = scored.groupBy(F.window("ts", "10 hours").alias("w"), "label").agg(F.count(F.lit(1)).alias("n"))
     return streams.drain(out.select(F.col("w.start").alias("start"), "label", "n"))
 
