@@ -51,7 +51,7 @@ def _number_hash(x: np.ndarray, seed: np.ndarray) -> np.ndarray:
 def positions(keys: np.ndarray, item: int | np.ndarray, i: int, size: int) -> np.ndarray:
     """The i-th position of (key, item) pairs."""
     item = np.broadcast_to(np.asarray(item, np.int64).view(np.uint64), keys.shape)
-    h = _number_hash(np.uint64(i), _number_hash(item, _number_hash(keys, np.uint64(42))))
+    h = _number_hash(np.array([i], np.uint64), _number_hash(item, _number_hash(keys, np.array([42], np.uint64))))
     return np.mod(h.view(np.int64), size)
 
 
