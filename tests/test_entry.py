@@ -1,9 +1,12 @@
 """The registry: names, SQL pairs, the flagship, and independence of the llm subpackage."""
 
+import glob
+import os
 import subprocess
 import sys
 
 from conftest import ROOT, SF
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from tinyff.registry import QUERIES, SQL
@@ -33,6 +36,20 @@ def test_late_row_is_dropped(spark):
     assert streams.drain(streams.tumbling(stream)).agg({"n": "sum"}).first()[0] < rows.count()
 
 
+def test_staged_files_come_in_order(spark):
+    """A file stream orders files by time; the order of ``stage_files`` must not hang on which task ends first."""
+    rows = spark.range(400).select(F.col("id").alias("event_id"))
+    path = streams.stage_files(rows, 4, "event_id")
+    files = sorted(glob.glob(f"{path}/part-*"))
+    assert len(files) == 4 and [os.path.getmtime(b) - os.path.getmtime(a) for a, b in zip(files, files[1:], strict=False)] == [1.0] * 3
+
+
+def test_stream_counts_every_event_once(spark):
+    got = {r["event_type"]: r["n"] for r in QUERIES["st6_dedupe"](spark, SF).collect()}
+    want = spark.read.parquet(f"{SF}/events.parquet").groupBy("event_type").count().collect()
+    assert got == {r["event_type"]: r["count"] for r in want}
+
+
 def test_pruned_scan(spark):
     plan = QUERIES["s2_pruned_and_pushed"](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "l_extendedprice" not in plan and "PushedFilters: [IsNotNull(l_quantity)" in plan

@@ -6,17 +6,34 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.scratch import scratch_path
+from ..plans.scratch import file_system, scratch_path
 from ..sources.tables import SCHEMAS
 
 
 def stage_files(df: DataFrame, parts: int, order: str) -> str:
-    """Writes a table as ``parts`` files in order, so that a stream sees it in as many steps."""
+    """Writes a table as ``parts`` files in order, so that a stream sees it in as many steps.
+
+    A file stream takes files by their times, and tasks end in any order: the times are set a second apart, by part.
+    """
     path = scratch_path(df.sparkSession, "stream-in")
     df.repartitionByRange(parts, order).sortWithinPartitions(order).write.parquet(path)
+    _date_in_order(df.sparkSession, path)
     return path
 
 
+def _date_in_order(spark: SparkSession, path: str) -> None:
+    """Sets the times of a folder's part files in the order of their names, and checks that the file system keeps them."""
+    root, fs = file_system(spark, path)
+    listed = lambda: sorted((f for f in fs.listStatus(root) if f.getPath().getName().startswith("part-")), key=lambda f: f.getPath().getName())
+    files = listed()
+    last = max((f.getModificationTime() for f in files), default=0)
+    for i, f in enumerate(files):
+        fs.setTimes(f.getPath(), last - 1000 * (len(files) - 1 - i), -1)
+    times = [f.getModificationTime() for f in listed()]
+    if any(a >= b for a, b in zip(times, times[1:], strict=False)):
+        raise ValueError(f"the file system of {path} does not keep the times by which a stream orders its files")
+
+
 def events_stream(spark: SparkSession, path: str, delay: str = "2 hours") -> DataFrame:
     schema = SCHEMAS["events"].replace("timestamp_ntz", "timestamp")
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", delay)
