@@ -243,3 +243,13 @@ def test_contamination_does_not_depend_on_blocks(spark):
     assert one[0] == (5, 5, ("1", "~"), True) and one[1] == (4, 3, ("~",), True) and one[2] == (2, 0, (), False) and one[3] == one[4] == (0, 0, (), False) and one[5] == (100, 100, ("7",), True)
     digest = spark.createDataFrame([(["1", None],)], "i array<string>").select(decontaminate.item_digest(F.col("i"))).first()[0]
     assert digest == spark.createDataFrame([(["1"],)], "i array<string>").select(decontaminate.item_digest(F.col("i"))).first()[0]
+
+
+def test_toxic_texts_of_any_length_are_found(spark):
+    """Held-out texts: the rule of one half must find most of the toxic ones, long ones too, and leave the others alone."""
+    d = "/root/testdata/sf0.1"
+    docs, labels = (spark.read.parquet(f"{d}/{t}.parquet") for t in ("documents", "labels"))
+    model = toxicity.fit(docs, toxicity.train_labels(labels))
+    held = docs.join(labels.where((rows.fold_of(F.col("doc_id")) == 0) & F.col("toxic").isNotNull()), "doc_id")
+    share = {r["toxic"]: r["s"] for r in toxicity.score(held, model, keep=["toxic"]).groupBy("toxic").agg(F.avg("predicted").alias("s")).collect()}
+    assert share[1] > 0.77 and share[0] < 0.02

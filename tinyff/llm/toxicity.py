@@ -9,8 +9,10 @@ expression is left to the shared backoff and only well-attested differences spea
 The two log-likelihoods are compared word by word. Their length-normalised
 difference over the whole text says little where a few words in a long text decide
 (the README has figures), so the score is a logistic calibration of that difference,
-of its part above two marks (also length-normalised) and of the numbers of words
-above the marks; it is fitted on labelled texts that the models have not seen.
+of its part above some marks (also length-normalised), of the numbers and the shares
+of words above the marks and of the number of words: what some marked words mean
+depends on how many words stand around them. It is fitted on labelled texts that the
+models have not seen.
 
 Bounds: at most about ``per_class`` labelled texts a class are learned from, so
 the broadcast model is bounded; shared counts cover all documents; every whole
@@ -45,8 +47,8 @@ MODEL_SHARE = 65
 #: A count n is discounted by Z * sqrt(n), at most by n.
 Z = 2.0
 #: Words whose log-ratio exceeds these values are also counted by themselves for the calibration.
-MARKS = (1.0, 2.0)
-MEASURES = ("mean", *(f"{m}{k}" for m in ("excess", "over") for k in range(len(MARKS))))
+MARKS = (0.5, 1.0, 1.5, 2.0, 3.0, 4.0)
+MEASURES = ("mean", "words", *(f"{m}{k}" for m in ("excess", "over") for k in range(len(MARKS))))
 
 
 def _discount(n):
@@ -78,8 +80,10 @@ class ToxicityModel:
     prior: float = 0.0
 
     def features(self, got: dict) -> np.ndarray:
-        """Length-normalised: the mean log-ratio, the mean excess over each mark; and how many words exceed it."""
-        return np.column_stack([got["mean"], *(got[f"excess{k}"] for k in range(len(MARKS))), *(np.log1p(got[f"over{k}"]) for k in range(len(MARKS)))])
+        """Length-normalised: the mean log-ratio, the mean excess over each mark and the share of words above it; how many words exceed it, and how many there are."""
+        over = [got[f"over{k}"] for k in range(len(MARKS))]
+        shares = [x / np.maximum(got["words"], 1) for x in over]
+        return np.column_stack([got["mean"], *(got[f"excess{k}"] for k in range(len(MARKS))), *map(np.log1p, over), *shares, np.log1p(got["words"])])
 
     def scores(self, got: dict) -> np.ndarray:
         if self.beta is None:
@@ -116,7 +120,7 @@ def _ratios(model: ToxicityModel):
                 run = np.append(0.0, np.cumsum(x))
                 return run[words.bounds[1:]] - run[words.bounds[:-1]]
 
-            out = {"mean": total(ratio) / np.maximum(n, 1)}
+            out = {"mean": total(ratio) / np.maximum(n, 1), "words": n.astype(float)}
             for k, mark in enumerate(MARKS):
                 out[f"excess{k}"] = total(np.maximum(ratio - mark, 0)) / np.maximum(n, 1)
                 out[f"over{k}"] = np.rint(total(ratio > mark))
