@@ -72,6 +72,18 @@ def test_strategies_agree_and_edges(spark):
     assert got[0] == got[1] == got[2] and len(got[0]) == 6
 
 
+def test_sums_by_the_kernel_are_those_of_the_join(spark):
+    """Embeddings come from the vector kernel: no n-gram becomes a row; rows of one key count together, as in SQL."""
+    rows = [(1, ""), (2, "a"), (3, "###"), (4, "Straße é 漢字 😀"), (5, None), (6, "the quick brown fox"), (6, "again"), (7, "ab" * 500)]
+    df, m = spark.createDataFrame(rows, "k long, text string"), model.AnalyticModel()
+    sums = forward.group_sums(df, "k", "text", m)
+    assert "Generate" not in sums._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in forward.gram_counts(df, "k", "text", m)._jdf.queryExecution().executedPlan().toString()
+    for how in ("mean", "sum"):
+        joined = forward.embed(forward.gram_counts(df, "k", "text", m), "k", m, how)
+        assert sorted(map(tuple, forward.combined(sums, "k", m, how).collect())) == sorted(map(tuple, joined.collect()))
+
+
 def test_model_store(spark, tmp_path):
     net, x, _ = small()
     model.save(spark, net, str(tmp_path / "m"))
