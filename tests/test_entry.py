@@ -50,6 +50,15 @@ def test_stream_counts_every_event_once(spark):
     assert got == {r["event_type"]: r["count"] for r in want}
 
 
+def test_costs_are_of_given_tables(spark):
+    for name in ("cost_params", "cost_size_kb", "cost_flops", "cost_lstm", "cost_decisions"):
+        assert "FileScan parquet" in QUERIES[name](spark, SF)._jdf.queryExecution().executedPlan().toString(), name
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    steps = docs.agg(F.sum(F.octet_length("text"))).first()[0]
+    assert QUERIES["cost_lstm"](spark, SF).where("layers = 2").agg(F.sum("steps"), F.sum("flops")).first() == (steps, steps * 2 * 8 * 160 * 320)
+    assert QUERIES["cost_flops"](spark, SF).where("classes = 4").agg(F.sum("flops")).first()[0] == docs.count() * 2 * (64 * 208 + 208 * 4)
+
+
 def test_pruned_scan(spark):
     plan = QUERIES["s2_pruned_and_pushed"](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "l_extendedprice" not in plan and "PushedFilters: [IsNotNull(l_quantity)" in plan
