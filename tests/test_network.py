@@ -1,6 +1,7 @@
 """Layers, gradients, quantization, costs."""
 
 import hashlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -84,6 +85,15 @@ def test_sums_by_the_kernel_are_those_of_the_join(spark):
         assert sorted(map(tuple, forward.combined(sums, "k", m, how).collect())) == sorted(map(tuple, joined.collect()))
 
 
+def test_profiles_make_no_row_of_an_ngram(spark):
+    """Counted before anything is exploded; rows of one key count together."""
+    df = spark.createDataFrame([(1, "abab"), (1, "Ab"), (2, None), (3, "")], "k long, text string")
+    prof = langid.profile(df, "k", "text", (1, 2), 50)
+    assert "MapInArrow" in prof._jdf.queryExecution().executedPlan().toString()
+    want = Counter(int(hashlib.md5(g.encode()).hexdigest()[:8], 16) % 50 for t in ("abab", "ab") for n in (1, 2) for g in (t[i : i + n] for i in range(len(t) - n + 1)))
+    assert {(r["k"], r["v"]): r["cnt"] for r in prof.collect()} == {(1, v): n for v, n in want.items()}
+
+
 def test_model_store(spark, tmp_path):
     net, x, _ = small()
     model.save(spark, net, str(tmp_path / "m"))
