@@ -48,17 +48,18 @@ def tag_preorder(sents: DataFrame, tagger: Network, reorderer: Network, keep: li
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         tagger, reorderer = held.value
+        tagging = postag.Tagger(tagger)
         for batch in batches:
-            for a in range(0, len(batch), 1024):
-                part = batch.iloc[a : a + 256]
-                toks = [list(x) for x in part["toks"]]
-                t0 = time.perf_counter()
-                tags = postag.tag_all(tagger, toks)
-                t1 = time.perf_counter()
-                orders = preorder.decode(toks, tags, reorderer)[0]
-                n = np.array([len(x) for x in toks], float)
-                share = n / n.sum()
-                yield part[keep].assign(tags=tags, order=orders, tag_s=(t1 - t0) * share, order_s=(time.perf_counter() - t1) * share)
+            if not len(batch):
+                continue
+            toks = [x.tolist() for x in batch["toks"]]
+            t0 = time.perf_counter()
+            tags = postag.tag_all(tagger, toks, tagging)
+            t1 = time.perf_counter()
+            orders = preorder.decode(toks, tags, reorderer)[0]
+            n = np.array([len(x) for x in toks], float)
+            share = n / max(1.0, n.sum())
+            yield batch[keep].assign(tags=tags, order=orders, tag_s=(t1 - t0) * share, order_s=(time.perf_counter() - t1) * share)
 
     schema = ", ".join(f"{c} {sents.schema[c].dataType.simpleString()}" for c in keep) + ", tags array<string>, order array<int>, tag_s double, order_s double"
     return sents.select(*dict.fromkeys([*keep, "toks"])).mapInPandas(run, schema)
