@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import functions as F
 
 from tinyff.catalog.core import docs
-from tinyff.operators import pipelines, postag, preorder, quantize
+from tinyff.operators import pipelines, postag, preorder, quantize, segment
 from tinyff.plans.scratch import materialise
 
 SF = "/root/testdata/sf0.001"
@@ -65,3 +65,24 @@ def test_tag_preorder_takes_every_sentence(spark):
     tagger, net = postag.Network.random(postag.template(4), 8, list(postag.TAGS)), preorder.start("tags")
     got = pipelines.tag_preorder(sents, quantize.coded(tagger), net, ["sent_id"]).collect()
     assert sorted(r["sent_id"] for r in got) == list(range(1500)) and all(sorted(r["order"]) == [0, 1, 2] and len(r["tags"]) == 3 for r in got)
+
+
+def test_greedy_kernel_and_evaluation(spark):
+    """Remembered windows give the actions of the decoder; sums are those of plain spans, by every decoder and for rows without a language."""
+    rng = random.Random(4)
+    sents = [["".join(rng.choice("abcdé漢") for _ in range(rng.randint(1, 6))) for _ in range(rng.randint(1, 9))] for _ in range(60)] + [["𝄞z\u0000q"]]
+    texts = ["", *map("".join, sents), "a", "ab", ""]
+    for bigrams, hashed in ((False, False), (True, False), (False, True)):
+        net, enc = segment.build(sents[:40], sents[:4], 8, bigrams=bigrams, hashed=hashed, epochs=1)
+        kernel, want = segment.Greedy(quantize.coded(net), enc), segment.decode(texts, quantize.coded(net), enc)
+        for _ in range(2):
+            got = kernel(np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32).astype(np.int64), np.array([len(t) for t in texts]))
+            assert got.tolist() == [k for x in want for k in x]
+    rows = [(["de", None, "en"][i % 3], x) for i, x in enumerate(sents)]
+    gold = [segment.spans([k for w in x for k in [0] + [1] * (len(w) - 1)]) for _, x in rows]
+    for decider in (segment.one_word, segment.every_char):
+        pred = [segment.spans(x) for x in decider(["".join(x) for _, x in rows])]
+        for r in segment.evaluate(spark.createDataFrame(rows, "lang string, words array<string>"), decider).collect():
+            mine = [i for i, (x, _) in enumerate(rows) if x == r["lang"]]
+            assert (r["both"], r["predicted"], r["gold"]) == tuple(sum(len(x) for x in y) for y in ([gold[i] & pred[i] for i in mine], [pred[i] for i in mine], [gold[i] for i in mine]))
+            assert r["chars"] == sum(len("".join(rows[i][1])) for i in mine)

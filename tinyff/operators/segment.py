@@ -12,6 +12,8 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -249,6 +251,104 @@ def decode(texts: list[str], net: Network, enc: Encoder, beam: int = 1) -> list[
     return out
 
 
+class Greedy:
+    """Greedy decoding of many texts as one array of code points.
+
+    A character's best actions depend on the ids of its window and on the two actions before it. Those of a window
+    are scored once and remembered in a table of ``ROOM`` places, by the whole window; one that lost its place is
+    scored again. The texts then take their actions in lock step.
+    """
+
+    ROOM_BITS, ID_BITS = 20, 10
+
+    def __init__(self, net: Network, enc: Encoder):
+        self.scorer, self.enc = Scorer(net, enc), enc
+        self.ids = np.full(1 << 16, -1, np.int64)  # of code points, -1: not asked for yet
+        self.keys, self.values = np.full(1 << self.ROOM_BITS, -1, np.int64), np.zeros(1 << self.ROOM_BITS, np.uint8)
+        known = len(enc.uni) + 2 if enc.uni is not None else 0
+        self.dense = 0 < known <= 1 << self.ID_BITS
+        if self.dense and enc.bi is not None:
+            self.bi = np.full((known, known), 1, np.int64)
+            for g, i in enc.bi.items():
+                self.bi[enc.one(g[0]), enc.one(g[1])] = i
+
+    def _unigrams(self, code: np.ndarray) -> np.ndarray:
+        out = self.ids[np.minimum(code, (1 << 16) - 1)]
+        ask = np.flatnonzero((out < 0) | (code >= (1 << 16) - 1))
+        for c in np.unique(code[ask]).tolist():
+            i = self.enc.one(chr(c))
+            out[ask[code[ask] == c]] = i
+            if c < (1 << 16) - 1:
+                self.ids[c] = i
+        return out
+
+    def _score(self, window: np.ndarray) -> np.ndarray:
+        """Bits 0 to 3: MERGE is better after the pairs of actions 00, 01, 10, 11; bit 4: after one SPLIT at a text's begin. ``window``: (places, characters)."""
+        scorer, out = self.scorer, np.empty(window.shape[1], np.uint8)
+        for a in range(0, len(out), 1 << 14):
+            w = window[:, a : a + (1 << 14)]
+            cols = [*w] if self.enc.bi is None else [*w, *(self.bi[w[o - UNI[0]], w[o - UNI[0] + 1]] for o in BI)]
+            hidden = np.broadcast_to(scorer.net.c, (w.shape[1], len(scorer.net.c))).copy()
+            for table, ids in zip(scorer.tables, cols, strict=True):
+                hidden += table[ids]
+            bits = np.zeros(w.shape[1], np.uint8)
+            for k, pair in enumerate(((0, 0), (0, 1), (1, 0), (1, 1), (0, 2))):
+                z = scorer._out(hidden, *pair)
+                bits |= (z[:, 1] - z[:, 0] > 0).astype(np.uint8) << k
+            out[a : a + w.shape[1]] = bits
+        return out
+
+    def bits(self, code: np.ndarray, size: np.ndarray) -> np.ndarray:
+        """The bits of every character of texts of ``size`` characters side by side."""
+        before, behind = -UNI[0], UNI[-1]
+        room = before + behind
+        at = np.arange(len(code)) + np.repeat(np.arange(len(size)) * room + before, size)
+        padded = np.zeros(len(code) + len(size) * room, np.int64)
+        padded[at] = self._unigrams(code)
+        key = np.zeros(len(code), np.int64)
+        for o in UNI:
+            key = (key << self.ID_BITS) | padded[at + o]
+        place = ((key.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - self.ROOM_BITS)).astype(np.int64)
+        out = self.values[place]
+        miss = np.flatnonzero(self.keys[place] != key)
+        if len(miss):
+            fresh, first, back = np.unique(key[miss], return_index=True, return_inverse=True)
+            made = self._score(np.stack([padded[at[miss[first]] + o] for o in UNI]))
+            out[miss] = made[back]
+            mine = place[miss[first]]
+            # Of windows that want one place the last stays, with its own bits.
+            last = np.unique(mine[::-1], return_index=True)[1]
+            last = len(mine) - 1 - last
+            self.keys[mine[last]], self.values[mine[last]] = fresh[last], made[last]
+        return out
+
+    def __call__(self, code: np.ndarray, size: np.ndarray) -> np.ndarray:
+        """The actions of every character; 0 is SPLIT."""
+        if not self.dense:
+            text, ends = code.astype(np.uint32).tobytes().decode("utf-32-le", "surrogatepass"), np.cumsum(size)
+            made = decode([text[e - n : e] for e, n in zip(ends.tolist(), size.tolist(), strict=True)], self.scorer.net, self.enc)
+            return np.array([k for x in made for k in x], np.uint8)
+        bits, out = self.bits(code, size), np.zeros(len(code), np.uint8)
+        begin = (np.cumsum(size) - size)[np.argsort(-size, kind="stable")]
+        longer = len(size) - np.searchsorted(np.sort(size), np.arange(int(size.max(initial=0))), "right")  # texts of more than t characters
+        state = np.zeros(len(size), np.uint8)
+        for t in range(1, len(longer)):
+            n = longer[t]
+            at, state = begin[:n] + t, state[:n]
+            a = (bits[at] >> (state if t > 1 else np.uint8(4))) & 1
+            out[at] = a
+            state = (a << 1) | (state >> 1)
+        return out
+
+
+def _spans(split: np.ndarray) -> np.ndarray:
+    """The end of the span that begins at a place; 0 where none begins."""
+    begin = np.flatnonzero(split)
+    out = np.zeros(len(split), np.int64)
+    out[begin] = np.append(begin[1:], len(split))[: len(begin)]
+    return out
+
+
 def spans(actions: list[int]) -> set[tuple[int, int]]:
     starts = [i for i, a in enumerate(actions) if a == 0]
     return set(zip(starts, [*starts[1:], len(actions)], strict=True)) if actions else set()
@@ -258,22 +358,34 @@ COUNTS = "lang string, chars long, right long, both long, predicted long, gold l
 
 
 def evaluate(sents: DataFrame, decoder) -> DataFrame:
-    """Character decisions and word spans against gold, summed by language; ``decoder``: list of texts -> list of actions."""
+    """Character decisions and word spans against gold, summed by language; ``decoder``: list of texts -> list of actions.
+
+    A decoder with a method ``kernel`` gives a function of code points and sizes of texts instead.
+    """
     held = sents.sparkSession.sparkContext.broadcast(decoder)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kernel = held.value.kernel() if hasattr(held.value, "kernel") else None
         for batch in batches:
-            batch = batch.sort_values("lang")
-            for a in range(0, len(batch), 512):
-                part = batch.iloc[a : a + 512]
-                gold = [[k for w in ws for k in [0] + [1] * (len(w) - 1)] for ws in part["words"]]
-                pred = held.value(["".join(ws) for ws in part["words"]])
-                rows = [(len(g), sum(x == y for x, y in zip(g, p, strict=True)), len(spans(g) & spans(p)), len(spans(p)), len(spans(g))) for g, p in zip(gold, pred, strict=True)]
-                out = pd.DataFrame(rows, columns=["chars", "right", "both", "predicted", "gold"])
-                out.insert(0, "lang", part["lang"].to_numpy())
-                yield out.groupby("lang", as_index=False).sum()
-
-    return sents.select("lang", "words").mapInPandas(run, COUNTS).groupBy("lang").agg(*[F.sum(c).alias(c) for c in ("chars", "right", "both", "predicted", "gold")])
+            words, many = batch.column("words").flatten(), np.diff(batch.column("words").offsets.to_numpy())
+            length = pa.compute.utf8_length(words).to_numpy().astype(np.int64)
+            size = np.bincount(np.repeat(np.arange(len(many)), many), length, len(many)).astype(np.int64)
+            text = "".join(words.to_pylist())
+            gold = np.ones(len(text), np.uint8)
+            gold[(np.cumsum(length) - length)[length > 0]] = 0
+            if kernel is not None:
+                code = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
+                pred = kernel(code, size)
+            else:
+                texts = [text[e - n : e] for e, n in zip(np.cumsum(size).tolist(), size.tolist(), strict=True)]
+                pred = np.fromiter((k for x in held.value(texts) for k in x), np.uint8, len(text))
+            ours, theirs = _spans(pred == 0), _spans(gold == 0)
+            named = batch.column("lang").dictionary_encode(null_encoding="encode")
+            lang = np.repeat(named.indices.to_numpy(), size)
+            sums = [np.bincount(lang[hit], minlength=len(named.dictionary)) for hit in (np.ones(len(text), bool), pred == gold, (ours > 0) & (ours == theirs), ours > 0, theirs > 0)]
+            yield pa.RecordBatch.from_arrays([named.dictionary, *(pa.array(x.astype(np.int64)) for x in sums)], names=["lang", "chars", "right", "both", "predicted", "gold"])
+
+    return sents.select("lang", "words").mapInArrow(run, COUNTS).groupBy("lang").agg(*[F.sum(c).alias(c) for c in ("chars", "right", "both", "predicted", "gold")])
 
 
 def rates(counts: DataFrame) -> DataFrame:
