@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import functions as F
 
 from tinyff.catalog.core import docs
-from tinyff.operators import pipelines, postag, preorder, quantize, segment
+from tinyff.operators import langid, pipelines, postag, preorder, quantize, segment, train
 from tinyff.plans.scratch import materialise
 
 SF = "/root/testdata/sf0.001"
@@ -86,3 +86,35 @@ def test_greedy_kernel_and_evaluation(spark):
             mine = [i for i, (x, _) in enumerate(rows) if x == r["lang"]]
             assert (r["both"], r["predicted"], r["gold"]) == tuple(sum(len(x) for x in y) for y in ([gold[i] & pred[i] for i in mine], [pred[i] for i in mine], [gold[i] for i in mine]))
             assert r["chars"] == sum(len("".join(rows[i][1])) for i in mine)
+
+
+def test_steps_without_averaging_copy_nothing(monkeypatch):
+    """Without averaging the trained parameters are returned, and gradients of embeddings are added place by place in one dimension."""
+    texts, y = ["the cat", "der hund", "a", "zwei"] * 20, np.array([0, 1, 0, 1] * 20)
+    t = langid.template(4)
+    x, net, seen = langid.bags(texts, t), langid.Network.random(t, 8, ["en", "de"]), []
+    plain = np.add
+
+    class Add:
+        def __getattr__(self, name):
+            return getattr(plain, name)
+
+        def at(self, a, places, values):
+            seen.append((a.ndim, a.dtype == values.dtype))
+            plain.at(a, places, values)
+
+    monkeypatch.setattr(train.np, "add", Add())
+    _, grads = train.loss_and_grad(net, x, y)
+    monkeypatch.undo()
+    assert set(seen) == {(1, True)}
+    moved = net.embeddings[2].copy()
+    at = tuple(np.argwhere(np.abs(grads[2]) == np.abs(grads[2]).max())[0])
+    values = []
+    for step in (1e-2, -1e-2):
+        net.embeddings[2] = moved.copy()
+        net.embeddings[2][at] += step
+        values.append(train.loss_and_grad(net, x, y)[0])
+    assert abs((values[0] - values[1]) / 2e-2 - grads[2][at]) < 1e-3
+    net.embeddings[2] = moved
+    out, history = train.sgd(net, x, y, train.Settings(average=False, epochs=2))
+    assert history == [] and not np.allclose(out.w, net.w)
