@@ -73,6 +73,17 @@ def test_strategies_agree_and_edges(spark):
     assert got[0] == got[1] == got[2] and len(got[0]) == 6
 
 
+@pytest.mark.parametrize(("orders", "vocab"), [((1, 2, 3, 4), (100, 500, 1000, 5000)), ((3, 1), (50, 20)), ((2,), (1000,)), ((2, 5, 2), (30, 400, 70))])
+def test_in_row_hashes_each_ngram_of_a_text_once(spark, orders, vocab):
+    """Equal n-grams of a row are counted before they are hashed; ends of texts, whose windows are short, give no longer n-gram."""
+    texts = ["", None, "a", "aa", "aaa", "aaaa", "abcab", "ab" * 3000, "b\nA\n" * 40, "😀😁😀a😀", "İi\x00ß\x00 漢字漢字", " .\r\n\u2028 ", "the quick brown fox the quick"]
+    df, m = spark.createDataFrame(list(enumerate(texts)), "k long, text string"), model.AnalyticModel(orders=orders, vocab=vocab)
+    got = forward.predict(df, m, "k", strategy="inrow")
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "sort_array" in plan and "split(" not in plan and "Exchange" not in plan and "Python" not in plan and "InArrow" not in plan
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, forward.predict(df, m, "k").collect()))
+
+
 def test_sums_by_the_kernel_are_those_of_the_join(spark):
     """Embeddings come from the vector kernel: no n-gram becomes a row; rows of one key count together, as in SQL."""
     rows = [(1, ""), (2, "a"), (3, "###"), (4, "Straße é 漢字 😀"), (5, None), (6, "the quick brown fox"), (6, "again"), (7, "ab" * 500)]
