@@ -109,6 +109,24 @@ def test_preorder_scores_are_those_of_the_bags(kind):
     assert [sorted(o) for o in orders] == [[0, 1, 2, 3], [0], [0, 1]] and steps == 2 * 7 - 3 + 2 * swaps
 
 
+@pytest.mark.parametrize("kind", ["words", "tags", "tagger_inputs"])
+def test_preorder_few_sentences_go_on_alone(kind, monkeypatch):
+    net = preorder.Network.random(preorder.template(kind), 8, preorder.ACTIONS, seed=3)
+    net.resources["kind"] = kind
+    rng = np.random.default_rng(4)
+    toks = [[f"w{x}" for x in rng.integers(0, 30, n)] for n in (0, 1, 2, 40, 7, 3)]
+    tags = [[postag.TAGS[x] for x in rng.integers(0, len(postag.TAGS), len(s))] for s in toks]
+    passes, score = [], preorder.Scorer.__call__
+    monkeypatch.setattr(preorder.Scorer, "__call__", lambda self, places, states: passes.append(len(places)) or score(self, places, states))
+    alone = preorder.decode(toks, tags, net)
+    assert not passes  # a pass over arrays for each step of one long sentence costs far more than its scores
+    monkeypatch.setattr(preorder, "FEW", 0)
+    assert preorder.decode(toks, tags, net) == alone and passes
+    monkeypatch.setattr(preorder, "FEW", 3)
+    assert preorder.decode(toks, tags, net) == alone
+
+
+
 def test_tagger_inputs_are_those_of_the_bags(spark):
     lex = spark.createDataFrame([("cat", 3), ("sat", 5)], "word string, cluster int")
     held = bloommap.build(lex, "word", "cluster", 16.0)
