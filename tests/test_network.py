@@ -192,3 +192,44 @@ def test_segments_cover_all_tokens():
     for text, a, b in cut:
         for at, n, tag in bytespan.gold_spans(toks[a:b], toks[a:b]):
             assert text[at : at + n] == tag.encode()[: bytespan.SEGMENT]
+
+
+def _some_texts(n: int, seed: int) -> list[str]:
+    rng = np.random.default_rng(seed)
+    words = ["".join(rng.choice(list("abcdeé"), rng.integers(1, 6))) for _ in range(60)]
+    return [" ".join(rng.choice(words, rng.integers(1, 30))) for _ in range(n)]
+
+
+def test_neighbours_by_bands_list_no_pairs(spark):
+    """Against every pair that shares a band; equal texts tie, so the smallest id wins."""
+    from pyspark.sql import functions as F
+
+    from tinyff.plans import scratch
+
+    texts = _some_texts(300, 5)
+    texts[200] = texts[120]
+    texts[250] = ""
+    rows = scratch.materialise(langid.sparse_profiles(spark.createDataFrame(list(enumerate(texts)), "k long, text string"), ["k"], "text", size=40), "sparse")
+    coded = {r["k"]: r for r in langid.bands(rows, "k", size=40).collect()}
+    long = rows.select("k", F.inline(F.arrays_zip(F.col("at").alias("v"), "cnt")))
+    sign = lambda i: F.when(F.pmod(F.xxhash64("v", F.lit(3000 + i)), F.lit(2)) == 0, F.col("cnt")).otherwise(-F.col("cnt"))
+    for r in long.groupBy("k").agg(*[F.sum(sign(i)).alias(f"s{i}") for i in range(96)]).collect():
+        assert coded[r["k"]]["codes"] == [sum((r[f"s{12 * b + i}"] > 0) << i for i in range(12)) for b in range(8)]
+    dense = np.zeros((len(texts), 40))
+    for k, r in coded.items():
+        dense[k, r["at"]] = r["cnt"]
+    length = np.sqrt((dense**2).sum(1))
+    want, exact = {}, {}
+    for q in range(0, 100):
+        for found, same in ((want, True), (exact, False)):
+            near = [(-np.floor(dense[q] @ (dense[o] / length[o]) * 1e6 + 0.5) / 1e6, o) for o in range(100, 300) if length[o] and (not same or any(a == b for a, b in zip(coded[q]["codes"], coded[o]["codes"], strict=True)))]
+            near = [x for x in near if x[0] < 0]
+            if near:
+                found[q] = min(near)[1]
+    test, known = rows.where("k < 100"), rows.where("k >= 100")
+    got = langid.neighbour_by_bands(test, known, "k", 40, block=30)
+    assert {r["k"]: r["other"] for r in got.collect()} == want and want != exact
+    held = spark.createDataFrame([(k, "x") for k in range(300)], "k long, lab string")
+    assert {r["k"]: r["other"] for r in langid.nearest_neighbour(test, known, held, "k", "lab", 40).collect()} == exact
+    plan = got._jdf.queryExecution().toString()
+    assert "Join" not in plan and "codes" not in plan  # written rounds: no table of pairs
