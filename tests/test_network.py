@@ -233,3 +233,19 @@ def test_neighbours_by_bands_list_no_pairs(spark):
     assert {r["k"]: r["other"] for r in langid.nearest_neighbour(test, known, held, "k", "lab", 40).collect()} == exact
     plan = got._jdf.queryExecution().toString()
     assert "Join" not in plan and "codes" not in plan  # written rounds: no table of pairs
+
+
+@pytest.mark.parametrize("sim", ["cosine", "skew", "rank"])
+def test_sparse_prototypes_are_those_of_the_rows(spark, sim):
+    from pyspark.sql import functions as F
+
+    texts = [*_some_texts(60, 6), "", "zz"]
+    df = spark.createDataFrame([(i, t, "pqr"[i % 3]) for i, t in enumerate(texts)], "k long, text string, lab string")
+    sparse, long = langid.sparse_profiles(df, ["k", "lab"], "text", size=40), langid.profile(df, "k", "text", size=40)
+    known, test = F.col("k") % 2 == 0, F.col("k") % 2 == 1
+    protos = langid.prototypes(sparse.where(known), None, "k", "lab")
+    slow = langid.prototypes(long.where(known), df.select("k", "lab"), "k", "lab")
+    assert sorted(protos.collect()) == sorted(slow.collect())
+    got = langid.nearest_prototype(sparse.where(test), protos, "k", "lab", sim, 40)
+    assert sorted(got.collect()) == sorted(langid.nearest_prototype(long.where(test), slow, "k", "lab", sim, 40).collect())
+    assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()  # no row of a bucket is shuffled
