@@ -249,3 +249,32 @@ def test_sparse_prototypes_are_those_of_the_rows(spark, sim):
     got = langid.nearest_prototype(sparse.where(test), protos, "k", "lab", sim, 40)
     assert sorted(got.collect()) == sorted(langid.nearest_prototype(long.where(test), slow, "k", "lab", sim, 40).collect())
     assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()  # no row of a bucket is shuffled
+
+
+def test_neighbour_signature_shuffles_no_token(spark):
+    texts = ["The cat sat. the dog, THE cat", "a the a cat", "cat", "", "dog the. sat the cat the", "ÉTÉ the été a"]
+    docs = spark.createDataFrame([(i, "en", t) for i, t in enumerate(texts)], "doc_id long, lang string, text string")
+    sents = [[t.lower() for t in r["toks"]] for r in postag.sentence_rows(docs).collect()]
+    counts = Counter(w for s in sents for w in s)
+    top = sorted(counts, key=lambda w: (-counts[w], w))[:3]
+    want = {}
+    for side in (0, 1):
+        near = Counter((s[i + 1 - side], s[i + side]) if side == 0 else (s[i], s[i + 1]) for s in sents for i in range(len(s) - 1))
+        for word in counts:
+            found = sorted((-n, x) for (w, x), n in near.items() if w == word and x in top)
+            want.setdefault(word, []).append(found[0][1] if found else None)
+    want = {w: "|".join(x or "-" for x in both) for w, both in want.items() if any(both)}
+    got = postag.neighbour_signature(postag.sentence_rows(docs), 3)
+    assert {r["word"]: r["cluster"] for r in got.collect()} == want
+    assert "Window" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_stopped_segments_take_no_steps(monkeypatch):
+    net = bytespan.ByteSpanNetwork(["A", "B"], 8, 2, seed=4)
+    net.bias[net.stop] = 0.3
+    texts = [bytes([97 + (i * k) % 26 for k in range(1 + i % 30)]) for i in range(60)]
+    alone = [net.write([t])[0] for t in texts]
+    steps, step = [], bytespan.ByteSpanNetwork._step
+    monkeypatch.setattr(bytespan.ByteSpanNetwork, "_step", lambda self, x, *a: steps.append(len(x)) or step(self, x, *a))
+    assert net.write(texts) == alone
+    assert len(set(steps)) > 2 and min(steps) < len(texts)
